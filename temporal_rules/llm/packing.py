@@ -26,15 +26,14 @@ PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, salt
 def piece_table(docs: DataFrame, tokenizer: str, end_id: int, size: int, text: str = "text", doc_id: str = "doc_id", with_ids: bool = False) -> DataFrame:
     """Pieces of all documents: ids of the text (null: empty), then ``end_id``; only a document of more
     than ``size`` ids is cut, and only its first piece may be shorter.  Repeated doc_ids stay apart by their rows."""
-    from .tokens import encoder
+    from .tokens import by_bytes, encoder
 
     reach_workers(docs.sparkSession)
 
     def cut(batches):
         enc = encoder(tokenizer)
         for batch in batches:
-            for lo in range(0, batch.num_rows, 1024):
-                part = batch.slice(lo, 1024)
+            for part in by_bytes(batch, 1):
                 ids, off = enc.encode(part.column(1))
                 n = np.diff(off) + 1
                 wide = np.full(int(n.sum()), end_id, "<u4")

@@ -91,12 +91,14 @@ def write_store(docs: DataFrame, tokenizer: str, end_id: int, text: str = "text"
     repeated ones stay, in the order of their frames' bytes.  An empty table gives a store without shards.  Other columns
     of ``docs`` are ignored.  Texts are encoded before the shuffle, so what moves is compressed.
     """
-    from .tokens import encoder
+    from .tokens import by_bytes, encoder
 
     spark = docs.sparkSession
     reach_workers(spark)
     docs = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
-    sample = docs.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_docs) if sample_docs else docs.limit(0)
+    # The sample is chosen by ids alone, so its sort does not carry texts; at most sample_docs ids are broadcast.
+    chosen = docs.select("doc_id").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_docs)
+    sample = docs.join(F.broadcast(chosen), "doc_id", "left_semi")
 
     def serialised(batches):
         for batch in batches:
@@ -116,8 +118,7 @@ def write_store(docs: DataFrame, tokenizer: str, end_id: int, text: str = "text"
     def frames(batches):
         enc, comp = encoder(tokenizer), _compressor(dictionary, level)
         for batch in batches:
-            for lo in range(0, batch.num_rows, 512):
-                part = batch.slice(lo, 512)
+            for part in by_bytes(batch, 1):
                 ids, off = enc.encode(part.column(1))
                 end = np.array([end_id], ids.dtype).tobytes()
                 blobs = [comp.compress(ids[a:b].tobytes() + end) for a, b in zip(off.tolist(), off[1:].tolist())]

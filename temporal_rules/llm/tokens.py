@@ -26,16 +26,28 @@ def encoder(path: str) -> "BatchEncoder":
     return _encoders[path]
 
 
+def by_bytes(batch: pa.RecordBatch, column: int, limit: int = 6 << 20):
+    """Slices of a batch whose texts have about ``limit`` bytes, or one text, each."""
+    ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+    lo = 0
+    while lo < batch.num_rows:
+        hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + limit, side="right")))
+        yield batch.slice(lo, hi - lo)
+        lo = hi
+
+
 class BatchEncoder:
     """``encode`` maps an Arrow string array to all its ids and the offsets of its texts in them."""
 
-    def __init__(self, path: str, remember: int = 500_000):
+    def __init__(self, path: str, remember: int = 250_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.type = np.uint16 if self.library.get_vocab_size(with_added_tokens=True) < 65_536 else np.uint32
+        # Two generations of chunks: the young one becomes the old one when full, and what is met again moves on.
         self.known: dict[str, bytes] = {"\x03": b""}
+        self.old: dict[str, bytes] = {}
         self.remember = remember
         newline = self._ids(["\n"])[0]
         self.newline = int(newline[0]) if len(newline) == 1 else None
@@ -50,7 +62,7 @@ class BatchEncoder:
     def _ids(self, texts: list[str]) -> list[np.ndarray]:
         return [np.asarray(e.ids, self.type) for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def encode(self, texts: pa.Array, at_once: int = 4 << 20) -> tuple[np.ndarray, np.ndarray]:
+    def encode(self, texts: pa.Array, at_once: int = 6 << 20) -> tuple[np.ndarray, np.ndarray]:
         if isinstance(texts, pa.ChunkedArray):
             texts = texts.combine_chunks()
         texts = pc.fill_null(texts.cast(pa.large_string()), "")
@@ -93,8 +105,6 @@ class BatchEncoder:
 
     def _learn(self, chunks: list[str]) -> None:
         """Encode chunks not seen before, many at a time with a newline between."""
-        if len(self.known) + len(chunks) > self.remember:
-            self.known = {"\x03": b""}
         kinds: dict[str, list[str]] = {"": [], "\n": [], "\x01": [], "\x02": [], "\x03": []}
         for c in chunks:
             kinds.get(c[:1], kinds[""]).append(c)
@@ -133,23 +143,27 @@ class BatchEncoder:
             coded = pc.dictionary_encode(lists.flatten())
             which = coded.indices.to_numpy(zero_copy_only=False)
             names = coded.dictionary.to_pylist()
-            known = self.known
+            if len(self.known) > self.remember:
+                self.old, self.known = self.known, {"\x03": b""}
+            known, old = self.known, self.old
             new = [x for x in names if x not in known]
+            if old and new:
+                known.update([(x, old[x]) for x in new if x in old])
+                new = [x for x in new if x not in old]
             if new:
-                if len(known) + len(new) > self.remember:
-                    new = names
                 self._learn(new)
-                known = self.known
             blobs = [known[x] for x in names]
             flat = np.frombuffer(b"".join(blobs), self.type)
-            length = np.fromiter(map(len, blobs), np.int64, len(blobs)) // flat.itemsize
-            first = np.cumsum(length) - length
+            length = np.fromiter(map(len, blobs), np.int32, len(blobs)) // flat.itemsize
+            first = np.cumsum(length, dtype=np.int32) - length
             size = length[which]
-            ends = np.cumsum(size)
-            ids = flat[np.repeat(first[which] - (ends - size), size) + np.arange(ends[-1] if len(ends) else 0)]
+            ends = np.cumsum(size, dtype=np.int32)
+            at = np.repeat(first[which] - (ends - size), size)
+            at += np.arange(len(at), dtype=np.int32)
+            ids = flat[at]
             bounds = np.frombuffer(lists.buffers()[1], np.int64 if pa.types.is_large_list(lists.type) else np.int32)[lists.offset : lists.offset + len(lists) + 1]
             bounds = bounds - bounds[0]
-            total = np.concatenate([[0], ends])
+            total = np.concatenate([[0], ends]).astype(np.int64)
             n[ok] = total[bounds[1:]] - total[bounds[:-1]]
         if ok.all():
             return ids, n
