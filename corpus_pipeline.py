@@ -1,11 +1,50 @@
-"""Stages that turn raw documents into packed training sequences."""
+"""Raw documents to packed training sequences, in four stages.
 
-STAGES = []
+Every stage takes (spark, docs, sf_dir) and works on all that the one before kept; all but the
+last return the columns of documents.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+
+from temporal_rules.llm.common import staged
+from temporal_rules.llm.minhash_dedup import one_of_each
+from temporal_rules.llm.mixing import mixed_documents
+from temporal_rules.llm.packing import pack_documents
+from temporal_rules.llm.queries import vocabulary
+from temporal_rules.llm.toxicity import fit, without_toxic
+
+
+def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the labelled neighbours call toxic go."""
+    return without_toxic(docs, fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
+
+
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near duplicates stays."""
+    return one_of_each(docs)
+
+
+def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Sources are repeated or cut to their target weights."""
+    return mixed_documents(docs)
+
+
+def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents become sequences of at most 1024 token ids."""
+    out = pack_documents(docs, vocabulary(), end_id=2, size=1024)
+    return out.select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
+
+
+STAGES = [("toxicity", toxicity), ("near_duplicates", near_duplicates), ("mixing", mixing), ("packing", packing)]
+
+#: Learned scores, sketches, schedules and tokens have no form in SQL; tests compare with brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
-        docs = stage(spark, docs, sf_dir)
-    return docs
+    for name, stage in STAGES[:-1]:
+        docs = staged(stage(spark, docs, sf_dir), name)
+    return STAGES[-1][1](spark, docs, sf_dir)

@@ -139,3 +139,48 @@ def taken_words(mixture: Mixture) -> DataFrame:
     d, t = mixture.documents.alias("d"), taken.alias("t")
     same = (F.col("d.src") == F.col("t.src")) & (F.col("d.position") == F.col("t.position")) & F.col("d.doc_id").eqNullSafe(F.col("t.doc_id")) & (F.col("d.salt") == F.col("t.salt")) & (F.col("d.size") == F.col("t.size"))
     return d.join(t, same, "left").select("d.doc_id", "d.source", "d.salt", "d.size", "d.source_size", "d.target", F.coalesce("t.taken", F.lit(0).cast("long")).alias("taken"))
+
+
+def mixed_documents(docs: DataFrame, **how) -> DataFrame:
+    """The mix as rows of docs: a document taken more than once is repeated, one of which only the
+    first words are taken is cut after them, one that is not taken is left out.
+
+    All columns stay as they are, but ``n_chars``, where there is one, follows a cut text.
+    """
+    import re
+
+    columns = docs.columns
+    seed = how.get("seed", 17)
+    taken = taken_words(mix(docs, **how)).groupBy("doc_id", "salt").agg(F.sum("taken").alias("__taken"), F.max("size").alias("__size"), F.count(F.lit(1)).alias("__rows"))
+    taken = staged(taken, "taken")
+    salted = docs.withColumn("__salt", F.xxhash64(F.lit(seed), F.col("doc_id").cast("long"), F.xxhash64("text")))
+    if not taken.where("__rows > 1").isEmpty():  # rows that are one and the same share what is taken of them
+        salted = salted.dropDuplicates(["doc_id", "__salt"])
+    t = taken.where("__taken > 0").select(F.col("doc_id").alias("__id"), "salt", "__taken", "__size")
+    rows = salted.join(t, F.col("doc_id").cast("long").eqNullSafe(F.col("__id")) & (F.col("__salt") == F.col("salt"))).select(*columns, "__taken", "__size")
+    word = re.compile(r"[^\x20\x09-\x0D]+")
+    at, chars = columns.index("text"), columns.index("n_chars") if "n_chars" in columns else None
+
+    def cut(text: str, words: int) -> str:
+        for i, m in enumerate(word.finditer(text), 1):
+            if i == words:
+                return text[: m.end()]
+        return text
+
+    def give(batches):
+        for batch in batches:
+            n, size = batch.column("__taken").to_numpy(), batch.column("__size").to_numpy()
+            whole, part = n // size, n % size
+            base = batch.drop_columns(["__taken", "__size"]) if hasattr(batch, "drop_columns") else batch.select(columns)
+            yield base.take(pa.array(np.repeat(np.arange(len(n)), whole)))
+            some = np.flatnonzero(part)
+            if len(some):
+                few = base.take(pa.array(some))
+                texts = [cut(t, int(k)) for t, k in zip(few.column(at).to_pylist(), part[some])]
+                arrays = list(few.columns)
+                arrays[at] = pa.array(texts, few.schema.field(at).type)
+                if chars is not None:
+                    arrays[chars] = pa.array([len(x) for x in texts], few.schema.field(chars).type)
+                yield pa.record_batch(arrays, schema=few.schema)
+
+    return rows.mapInArrow(give, docs.schema)

@@ -16,6 +16,12 @@ def vocabulary() -> str:
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
+def op1_stable_projection_ann(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .stable_ann import nearest_neighbours
+
+    return nearest_neighbours(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 100 == 0, k=10)
+
+
 def op2_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .token_store import write_store
 
@@ -23,12 +29,38 @@ def op2_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return store.documents(spark)
 
 
+def op3_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .minhash_dedup import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "documents"))
+
+
+def op4_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .html_blocks import extract
+
+    return extract(table(spark, sf_dir, "pages"))
+
+
 def op5_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .mixing import mix, taken_words
 
     return taken_words(mix(table(spark, sf_dir, "documents"))).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .toxicity import fit, held_out, score_documents
+
+    docs = table(spark, sf_dir, "documents")
+    scored = score_documents(docs, fit(docs, table(spark, sf_dir, "labels")))
+    return scored.select("doc_id", held_out().alias("held_out"), "score", "predicted", "evidence")
+
+
+def op9_vector_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .ego_join import similar_vectors
+
+    return similar_vectors(table(spark, sf_dir, "embeddings"), t=0.95)
+
+
 def op10_pattern_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .packing import pack_documents
 
@@ -37,8 +69,13 @@ def op10_pattern_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op1_stable_projection_ann": op1_stable_projection_ann,
     "op2_token_files": op2_token_files,
+    "op3_near_duplicates": op3_near_duplicates,
+    "op4_main_text": op4_main_text,
     "op5_source_mix": op5_source_mix,
+    "op6_toxicity": op6_toxicity,
+    "op9_vector_near_duplicates": op9_vector_near_duplicates,
     "op10_pattern_packing": op10_pattern_packing,
 }
 
