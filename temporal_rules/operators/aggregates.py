@@ -23,13 +23,13 @@ def agg_at_each_time(r: TemporalRelation, by: list[str], f: str, value: str | No
     v = F.col(value) if value else F.lit(1)
     if f in ("sum", "count", "avg"):
         exact = v.cast("decimal(28,6)") if f != "count" else F.lit(1).cast("decimal(28,6)")
-        up = r.df.select(*by, F.col(LO).alias("__at"), F.lit(1).alias("n"), exact.alias("s"))
-        down = r.df.where(F.col(HI) < POS).select(*by, (F.col(HI) + 1).alias("__at"), F.lit(-1).alias("n"), (-exact).alias("s"))
-        steps = up.unionByName(down).groupBy(*by, "__at").agg(F.sum("n").alias("n"), F.sum("s").alias("s"))
+        up = r.df.select(*by, F.col(LO).alias("__at"), F.lit(1).alias("__n"), exact.alias("__s"))
+        down = r.df.where(F.col(HI) < POS).select(*by, (F.col(HI) + 1).alias("__at"), F.lit(-1).alias("__n"), (-exact).alias("__s"))
+        steps = up.unionByName(down).groupBy(*by, "__at").agg(F.sum("__n").alias("__n"), F.sum("__s").alias("__s"))
         w = Window.partitionBy(*part).orderBy("__at")
         run = w.rowsBetween(Window.unboundedPreceding, 0)
-        seg = steps.select(*by, F.col("__at").alias(LO), F.coalesce(F.lead("__at").over(w) - 1, F.lit(POS)).alias(HI), F.sum("n").over(run).alias("n"), F.sum("s").over(run).alias("s")).where("n > 0")
-        got = {"sum": F.col("s"), "count": F.col("n").cast("long"), "avg": F.col("s") / F.col("n")}[f]
+        seg = steps.select(*by, F.col("__at").alias(LO), F.coalesce(F.lead("__at").over(w) - 1, F.lit(POS)).alias(HI), F.sum("__n").over(run).alias("__n"), F.sum("__s").over(run).alias("__s")).where("__n > 0")
+        got = {"sum": F.col("__s"), "count": F.col("__n").cast("long"), "avg": F.col("__s") / F.col("__n")}[f]
         df = seg.select(*by, got.alias(out), LO, HI)
     else:
         cuts = r.df.select(*by, F.col(LO).alias("__at")).unionByName(r.df.where(F.col(HI) < POS).select(*by, (F.col(HI) + 1).alias("__at"))).distinct()

@@ -71,17 +71,27 @@ def literal_relation(x: Literal, env: dict[str, TemporalRelation], o: Options) -
     return apply_chain(r.with_df(out, named, r.coalesced and not dropped), list(x.ops), o.placement, o.fuse)
 
 
-def rule_relation(rule: Rule, env: dict[str, TemporalRelation], o: Options, instead: dict[int, TemporalRelation] | None = None) -> TemporalRelation:
-    """The facts that one rule derives; ``instead`` replaces the relation of a body literal by number."""
+def rule_relation(rule: Rule, env: dict[str, TemporalRelation], o: Options, instead: dict[int, TemporalRelation] | None = None, static: dict[int, TemporalRelation] | None = None) -> TemporalRelation:
+    """The facts that one rule derives; ``instead`` replaces the relation of a body atom by literal number,
+    ``static`` gives literals that are evaluated already."""
+
     def source(i: int, x: Literal) -> TemporalRelation:
+        if static and i in static:
+            return static[i]
         if instead and i in instead:
             return literal_relation(x, {**env, x.atom.predicate: instead[i]}, o)
         return literal_relation(x, env, o)
 
+    conditions_done: list = []
     todo = [(i, x) for i, x in enumerate(rule.literals) if not x.negated]
+    for i, x in todo:
+        if static and i in static:
+            own = {t.name for a in x.atoms() for t in a.terms if isinstance(t, Var)}
+            done = [c for c in rule.conditions if isinstance(c, Compare) and c.variables and c.variables <= own]
+            conditions_done += done
     if instead:
         todo.sort(key=lambda p: p[0] not in instead)
-    out, conditions = None, list(rule.conditions)
+    out, conditions = None, [c for c in rule.conditions if c not in conditions_done]
 
     def filtered(r: TemporalRelation) -> TemporalRelation:
         for c in list(conditions):
@@ -105,8 +115,10 @@ def rule_relation(rule: Rule, env: dict[str, TemporalRelation], o: Options, inst
     if out is None:
         r = next(iter(env.values()))
         out = always_true(r.df.sparkSession, r.timeline)
-    for x in rule.negative:
-        s = literal_relation(x, env, o)
+    for i, x in enumerate(rule.literals):
+        if not x.negated:
+            continue
+        s = source(i, x)
         out = temporal_minus(out, s, list(s.keys))
     head_vars = [t.name for t in rule.head.terms if isinstance(t, Var)] if rule.head else list(out.keys)
     for c in [c for c in conditions if isinstance(c, Aggregate)]:
@@ -211,6 +223,8 @@ class Engine:
             delta[p] = known[p]
         self.report.rounds[label] = counts = []
         looping = [r for r in rules if any(a.predicate in group for x in r.literals for a in x.atoms())]
+        # What does not depend on the recursion is evaluated once, and read by every round.
+        static = {id(r): self._static(r, group) for r in looping}
         for _ in range(self.o.max_rounds):
             env = {**self.env, **known}
             derived: dict[str, list[TemporalRelation]] = {p: [] for p in group}
@@ -219,10 +233,10 @@ class Engine:
                 plain = all(x.atom is not None and not any(o.startswith("always") for o, _ in x.ops) for i, x in enumerate(r.literals) if i in spots)
                 gathers = any(isinstance(c, Aggregate) for c in r.conditions)
                 if self.o.strategy == "naive" or not plain or gathers:
-                    derived[r.head.predicate].append(rule_relation(r, env, self.o))
+                    derived[r.head.predicate].append(rule_relation(r, env, self.o, None, static[id(r)]))
                 else:
                     for i in spots:
-                        derived[r.head.predicate].append(rule_relation(r, env, self.o, {i: delta[r.literals[i].atom.predicate]}))
+                        derived[r.head.predicate].append(rule_relation(r, env, self.o, {i: delta[r.literals[i].atom.predicate]}, static[id(r)]))
             added = 0
             for p in group:
                 if not derived[p]:
@@ -243,6 +257,22 @@ class Engine:
             raise RuleError(f"{label} did not end within {self.o.max_rounds} rounds; its model is {self.report.kind}: state a horizon")
         self.env.update(known)
 
+    def _static(self, rule: Rule, group: list[str]) -> dict[int, TemporalRelation]:
+        out = {}
+        for i, x in enumerate(rule.literals):
+            if any(a.predicate in group or a.predicate == "top" for a in x.atoms()):
+                continue
+            r = literal_relation(x, self.env, self.o)
+            for c in rule.conditions:
+                if isinstance(c, Compare) and c.variables and c.variables <= set(r.keys):
+                    r = r.where(F.expr(f"({c.left}) {c.op} ({c.right})"))
+            used = {t.name for t in rule.head.terms if isinstance(t, Var)} | {t.name for j, y in enumerate(rule.literals) if j != i for a in y.atoms() for t in a.terms if isinstance(t, Var)}
+            used |= {v for c in rule.conditions if not (isinstance(c, Compare) and c.variables <= set(r.keys)) for v in (c.variables if not isinstance(c, Aggregate) else {c.value, *c.contributors})}
+            keep = [k for k in r.keys if k in used] if not any(isinstance(c, Aggregate) for c in rule.conditions) else list(r.keys)
+            slim = coalesce(r.select(**{k: k for k in keep})) if keep != list(r.keys) and not x.negated else r
+            out[i] = slim.with_df(staged(slim.df, "static"), coalesced=slim.coalesced)
+        return out
+
     def _clip(self, r: TemporalRelation) -> TemporalRelation:
         if not self.o.horizon:
             return r

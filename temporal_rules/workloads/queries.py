@@ -310,16 +310,12 @@ def _hier_facts(spark, sf):
 
 @query
 def hier_nonrec(spark, sf):
-    program = HIER.replace("activeCust", "activecust").replace("inRegion", "inregion").replace("partOf", "partof")
-    facts = {k.lower(): v for k, v in _hier_facts(spark, sf).items()}
-    return Engine(program, facts).query("steady", ["cust"]).to_df()
+    return Engine(HIER, _hier_facts(spark, sf)).query("steady", ["cust"]).to_df()
 
 
 @query
 def hier_regions(spark, sf):
-    program = HIER.replace("activeCust", "activecust").replace("inRegion", "inregion").replace("partOf", "partof")
-    facts = {k.lower(): v for k, v in _hier_facts(spark, sf).items()}
-    return Engine(program, facts).query("hot", ["region"]).to_df()
+    return Engine(HIER, _hier_facts(spark, sf)).query("hot", ["region"]).to_df()
 
 
 @query
@@ -407,7 +403,7 @@ def report_cause(spark, sf):
     high = points(d.join(k, F.col("v") > F.col("k")).select("d"), ["d"], "d")
     first = relation(spark.range(1).select(F.lit(0).alias("s"), F.lit(1).alias("e"), F.lit(1).alias("kind")), ["kind"], "s", "e", end_open=False)
     e = Engine("report(K) :- first(K). report(K) :- past[30,30] report(K).", {"first": first}).run()
-    return pattern_join(e.patterns["report"], high, []).to_df()
+    return pattern_join(e.patterns["report"], high, []).select(d="d", kind="c0").to_df()
 
 
 @query
@@ -454,8 +450,11 @@ SERIES = {
     "ts_seasonal": lambda s: ts.decompose(s, 7).seasonal,
     "ts_residual": lambda s: ts.decompose(s, 7).residual,
 }
+#: Digits at which no exact value lies half-way: sums have four decimals, averages of 7 or 12 of them more.
+DIGITS = {k: 4 for k in ("ts_shift", "ts_rolling", "ts_rolling_partial", "ts_stock_to_flow", "ts_flow_to_stock")}
+DIGITS |= {k: 6 for k in ("ts_sma", "ts_cma", "ts_trend", "ts_detrend")} | {"ts_cma_even": 7}
 for _n, _g in SERIES.items():
-    QUERIES[_n] = lambda spark, sf, g=_g: _series(g(b.daily_revenue(spark, sf)))
+    QUERIES[_n] = lambda spark, sf, g=_g, digits=DIGITS.get(_n, 2): _series(g(b.daily_revenue(spark, sf)), digits)
 
 
 @query
