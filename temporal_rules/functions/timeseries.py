@@ -152,8 +152,10 @@ def ema_blocks(s: Series, n: int, block: int = 4096) -> Series:
     """The same average for very long series: blocks of points fold to y -> a y + b, blocks are chained in
     order, and every point is its block's start value and a running weighted sum.  Only block rows meet."""
     k = 2.0 / (1 + n)
+    if k >= 1:
+        return s.with_df(s.df.where("v is not null").select(*s.keys, "t", "v"))
     # Weights within a block stay inside the range of doubles.
-    block = max(1, min(block, int(200 / -math.log(1 - k)) if k < 1 else 1))
+    block = max(1, min(block, int(200 / -math.log(1 - k))))
     keys = list(s.keys)
     ranked = staged(s.df.where("v is not null").select(*keys, "t", "v", F.row_number().over(s.by_time).alias("i")), "series")
     seeds = ranked.where(F.col("i") <= n).groupBy(*keys).agg(F.avg("v").alias("v"), F.count(F.lit(1)).alias("c"), F.max("t").alias("t")).where(F.col("c") == n)

@@ -50,6 +50,7 @@ def agg_across_time(r: TemporalRelation, by: list[str], **aggs: Column) -> DataF
 
 def monotonic(r: TemporalRelation, by: list[str], f: str, value: str, contributor: list[str], out: str = "value") -> TemporalRelation:
     """Every contributor counts by its best value at an instant: the greatest for msum, mcount and mmax, the least for mmin."""
+    contributor = [c for c in contributor if c not in by]
     best = agg_at_each_time(r, [*by, *contributor], "min" if f == "mmin" else "max", value, "__best", merge=False)
     plain = {"msum": "sum", "mcount": "count", "mmin": "min", "mmax": "max"}[f]
     return agg_at_each_time(best, by, plain, "__best", out)

@@ -80,11 +80,15 @@ def accelerate_constant(r: TemporalRelation, rng: Range) -> TemporalRelation:
     if rng.lo == rng.hi:
         raise ValueError("a range of one instant repeats for ever; use a pattern")
     s = r.timeline.scale
-    a, b = s * rng.lo + rng.lo_open * (s - 1), s * rng.hi - rng.hi_open * (s - 1)
-    k0 = F.greatest(F.lit(0), F.ceil((F.col(LO) + a - F.col(HI) - 1) / (b - a)).cast("long"))
+    a, b = s * rng.lo, s * rng.hi
+    # An open end of the range opens a copy's end once, however often the fact is moved.
+    k0 = F.greatest(F.lit(0), F.ceil((F.col(LO) - F.col(HI) + F.lit(a + int(rng.lo_open) + int(rng.hi_open) - 1)) / (b - a)).cast("long"))
     df = r.df.withColumn("__k", F.explode(F.sequence(F.lit(0).cast("long"), k0)))
-    last = F.col("__k") == k0
-    out = df.select(*r.keys, (F.col(LO) + F.col("__k") * a).alias(LO), F.when(last, F.lit(POS)).otherwise(F.col(HI) + F.col("__k") * b).alias(HI))
+    k, moved = F.col("__k"), F.col("__k") > 0
+    lo, hi = F.col(LO) + k * a, F.col(HI) + k * b
+    lo = F.when(moved, lo.bitwiseOR(F.lit(1))).otherwise(lo) if rng.lo_open else lo
+    hi = F.when(moved, (hi - 1).bitwiseOR(F.lit(1))).otherwise(hi) if rng.hi_open else hi
+    out = df.select(*r.keys, lo.alias(LO), F.when(k == k0, F.lit(POS)).otherwise(hi).alias(HI)).where(F.col(LO) <= F.col(HI))
     return coalesce(r.with_df(out))
 
 

@@ -152,7 +152,7 @@ class Engine:
     def __init__(self, program: Program | str, facts: dict[str, TemporalRelation], options: Options = Options()):
         self.program = parse(program) if isinstance(program, str) else program
         if options.fuse:
-            self.program = Program(fuse_chains(self.program).rules)
+            self.program = fuse_chains(self.program, keep=True)
         self.facts, self.o, self.report = dict(facts), options, Report()
         validate(self.program, {p: len(r.keys) for p, r in facts.items()})
         self.report.kind = analysis.model_kind(self.program)

@@ -5,7 +5,7 @@ from pathlib import Path
 import pytest
 
 HOME = str(Path(__file__).resolve().parents[1])
-sys.path.insert(0, HOME)
+sys.path[:0] = [HOME, str(Path(__file__).parent)]
 os.environ["PYTHONPATH"] = os.pathsep.join(x for x in (os.environ.get("PYTHONPATH", ""), HOME) if x)
 
 
