@@ -92,6 +92,16 @@ def accelerate_constant(r: TemporalRelation, rng: Range) -> TemporalRelation:
     return coalesce(r.with_df(out))
 
 
+def admit(delta: TemporalRelation, known: PatternRelation) -> TemporalRelation:
+    """The part of new facts that a pattern does not already say; only its occurrences near them are generated."""
+    from ..operators.joins import temporal_minus
+
+    ends = delta.df.agg(F.min(LO).alias("a"), F.max(HI).alias("b")).first()
+    if ends["a"] is None:
+        return delta
+    return temporal_minus(delta, known.unroll(ends["a"], ends["b"]), list(delta.keys))
+
+
 def recognise(rows: DataFrame, keys, period: int) -> DataFrame:
     """Base rows of a fixpoint whose facts repeat after ``period``: the first fact of every residue."""
     return rows.groupBy(*keys, F.pmod(F.col(LO), F.lit(period)).alias("__r"), (F.col(HI) - F.col(LO)).alias("__w")).agg(F.min(LO).alias(LO)).select(*keys, LO, (F.col(LO) + F.col("__w")).alias(HI))

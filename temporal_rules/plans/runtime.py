@@ -23,13 +23,15 @@ from .rewrite import fuse_chains, simplify
 
 @dataclass(frozen=True)
 class Options:
-    """placement: minimal, earliest or always; strategy: naive or seminaive; fuse: compose operator chains."""
+    """placement: minimal, earliest or always; strategy: naive or seminaive; fuse: compose operator chains;
+    hints: extra merges after same-head rules ('union') and of inputs ('input')."""
 
     placement: str = "minimal"
     strategy: str = "seminaive"
     fuse: bool = True
     max_rounds: int = 200
     horizon: tuple[int, int] | None = None
+    hints: frozenset = frozenset()
 
 
 @dataclass
@@ -161,7 +163,7 @@ class Engine:
 
     def run(self) -> "Engine":
         heads = self.program.heads()
-        self.env = {p: (coalesce(r) if self.o.placement == "always" else r) for p, r in self.facts.items()}
+        self.env = {p: (coalesce(r) if self.o.placement == "always" or "input" in self.o.hints else r) for p, r in self.facts.items()}
         recursive = {p: tuple(g) for g in analysis.recursive_groups(self.program) for p in g}
         done = set()
         for group in analysis.components(self.program):
@@ -178,7 +180,7 @@ class Engine:
                     base = self.facts[p]
                     parts.append(base.with_df(base.df.select(*(F.col(k).alias(f"c{i}") for i, k in enumerate(base.keys)), LO, HI), [f"c{i}" for i in range(len(base.keys))]))
                 r = _union(parts)
-                self.env[p] = coalesce(r) if self.o.placement == "always" else r
+                self.env[p] = coalesce(r) if self.o.placement == "always" or "union" in self.o.hints and len(parts) > 1 else r
         return self
 
     def _self_loop(self, p: str, rules: list[Rule]) -> tuple[list[Rule], Range] | None:
@@ -299,6 +301,14 @@ class Engine:
             r = r.select(**dict(zip(names, r.keys)))
         return coalesce(r)
 
+    def query_span(self, predicate: str, between: tuple[int, int], names: list[str] | None = None) -> TemporalRelation:
+        """As ``query`` with ``between``, but base facts outside what the answer can depend on are filtered at the scans."""
+        from .planner import input_span, within_span
+
+        spans = input_span(self.program, predicate, between)
+        facts = {p: within_span(r, spans.get(p, (None, None))) for p, r in self.facts.items()}
+        return Engine(self.program, facts, self.o).query(predicate, names, between)
+
     def violations(self) -> list[tuple[str, TemporalRelation]]:
         """For every constraint the instances of its body that hold."""
         if not self.env:
