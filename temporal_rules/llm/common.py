@@ -3,13 +3,14 @@
 from __future__ import annotations
 
 import os
-import tempfile
 import uuid
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..staging import shared_folder
+
 PACKAGE_HOME = str(Path(__file__).resolve().parents[2])
 
 
@@ -31,20 +32,6 @@ def reach_workers(spark: SparkSession) -> None:
         env["PYTHONPATH"] = os.pathsep.join(x for x in (known, PACKAGE_HOME) if x)
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """The cluster's spark.checkpoint.dir; a temporary folder of this machine only where it is unset (local tests)."""
-    known = spark.conf.get("spark.checkpoint.dir", None)
-    if known:
-        return known.rstrip("/")
-    if not spark.sparkContext.master.startswith("local"):
-        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
-    got = spark.sparkContext._jsc.sc().getCheckpointDir()
-    if got.isEmpty():
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="rules-shared-"))
-        got = spark.sparkContext._jsc.sc().getCheckpointDir()
-    return got.get().rstrip("/")
-
-
 def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{shared_folder(spark)}/llm-{name}-{uuid.uuid4().hex}"
 

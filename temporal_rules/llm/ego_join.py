@@ -172,14 +172,25 @@ def similar_vectors(rows: DataFrame, t: float = 0.95, key: str = "vec_id", colum
 
     def corner(group):
         p = unit(matrix(group.column("v"), width)) @ known.value
-        return pa.table({"interval": group.column("interval").slice(0, 1), "low": pa.array([p.min(0).tolist()], pa.list_(pa.float64())), "high": pa.array([p.max(0).tolist()], pa.list_(pa.float64()))})
+        return pa.table({"interval": group.column("interval").slice(0, 1), "n": pa.array([group.num_rows], pa.int64()), "low": pa.array([p.min(0).tolist()], pa.list_(pa.float64())), "high": pa.array([p.max(0).tolist()], pa.list_(pa.float64()))})
 
     # One box for each interval, at most ``most_intervals`` of them whatever the number of rows.
-    found = sorted(sequence.groupBy("interval").applyInArrow(corner, "interval long, low array<double>, high array<double>").collect(), key=lambda r: r["interval"])
+    found = sorted(sequence.groupBy("interval").applyInArrow(corner, "interval long, n long, low array<double>, high array<double>").collect(), key=lambda r: r["interval"])
     if not found:
         return alone(base)
-    number = [r["interval"] for r in found]
-    low, high = np.array([r["low"] for r in found]), np.array([r["high"] for r in found])
+    # Neighbours in the sequence are joined up to the wanted size, however many partitions the sort had.
+    group_of, sizes = [], []
+    for r in found:
+        if not sizes or sizes[-1] + r["n"] > interval:
+            sizes.append(0)
+        sizes[-1] += r["n"]
+        group_of.append(len(sizes) - 1)
+    number = list(range(len(sizes)))
+    cuts = np.searchsorted(group_of, number)
+    low = np.minimum.reduceat(np.array([r["low"] for r in found]), cuts, axis=0)
+    high = np.maximum.reduceat(np.array([r["high"] for r in found]), cuts, axis=0)
+    joined = spark.createDataFrame([(r["interval"], g) for r, g in zip(found, group_of)], "interval long, number long")
+    ordered = sequence.join(F.broadcast(joined), "interval")  # one row for each interval of the sort
     shared = spark.sparkContext.broadcast((number, low, high))
 
     def partners(batches):
@@ -192,15 +203,15 @@ def similar_vectors(rows: DataFrame, t: float = 0.95, key: str = "vec_id", colum
                 yield pa.record_batch([pa.array([number[at]] * len(near), pa.int64()), pa.array([number[j] for j in near], pa.int64())], ["i", "j"])
 
     pairs = staged(spark.range(0, len(number), 1, min(len(number), 200)).mapInArrow(partners, "i long, j long"), "pairs")
-    left = pairs.join(sequence, pairs["i"] == sequence["interval"]).select("i", "j", "v", "rep", "times", "place", F.lit(0).alias("side"))
-    right = pairs.where("i <> j").join(sequence, pairs["j"] == sequence["interval"]).select("i", "j", "v", "rep", "times", "place", F.lit(1).alias("side"))
+    left = pairs.join(ordered, F.col("i") == F.col("number")).select("i", "j", "v", "rep", "times", "interval", "place", F.lit(0).alias("side"))
+    right = pairs.where("i <> j").join(ordered, F.col("j") == F.col("number")).select("i", "j", "v", "rep", "times", "interval", "place", F.lit(1).alias("side"))
 
     def compare(group):
         side = group.column("side").to_numpy()
-        place, rep, times = (group.column(c).to_numpy() for c in ("place", "rep", "times"))
+        run, place, rep, times = (group.column(c).to_numpy() for c in ("interval", "place", "rep", "times"))
         vectors = unit(matrix(group.column("v"), width))
         pick = [np.flatnonzero(side == s) for s in (0, 1)]
-        pick = [p[np.argsort(place[p], kind="stable")] for p in pick]
+        pick = [p[np.lexsort((place[p], run[p]))] for p in pick]
         a, b = pick
         if len(b):
             na, nb, links = join_intervals(vectors[a], vectors[b], times[a], times[b], known.value, t)
