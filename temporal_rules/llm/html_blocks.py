@@ -166,7 +166,7 @@ def decide(block: Block, scoped: bool, short: int, long: int, low: float, high:
     stops = sum(w in STOP_WORDS for w in words) / len(words)
     if stops >= high:
         return True if len(block.text) >= long else None
-    return None if stops >= low else False
+    return None if stops >= low or not block.linked else False
 
 
 def main_text(page: str | None, short: int = 70, long: int = 160, low: float = 0.1, high: float = 0.2, links: float = 0.33) -> str:

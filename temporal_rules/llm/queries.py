@@ -55,6 +55,21 @@ def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", held_out().alias("held_out"), "score", "predicted", "evidence")
 
 
+def op7_quote_threads(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .chat_threads import threads
+
+    return threads(table(spark, sf_dir, "conversations"))
+
+
+def op8_shard_table(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document's slot and shard, and its words, so that shards' sizes can be summed."""
+    from .common import words_of
+    from .shard_table import place
+
+    docs = table(spark, sf_dir, "documents").select("doc_id", words_of().alias("words"))
+    return place(docs, [f"shard-{i:03d}" for i in range(256)], ["doc_id"])
+
+
 def op9_vector_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .ego_join import similar_vectors
 
@@ -75,6 +90,8 @@ QUERIES = {
     "op4_main_text": op4_main_text,
     "op5_source_mix": op5_source_mix,
     "op6_toxicity": op6_toxicity,
+    "op7_quote_threads": op7_quote_threads,
+    "op8_shard_table": op8_shard_table,
     "op9_vector_near_duplicates": op9_vector_near_duplicates,
     "op10_pattern_packing": op10_pattern_packing,
 }
