@@ -18,14 +18,11 @@ def session_of(df: DataFrame) -> SparkSession:
     return df.sparkSession
 
 
-def reach_workers(spark: SparkSession) -> None:
+def reach_workers(spark: SparkSession, rows: int = 1_000) -> None:
     """Let Python workers import this package when the driver found it by its own path only, and hand them
     Arrow batches of bounded size: texts are long, and a batch is held by the JVM and by the worker."""
-    for name, most in (("maxRecordsPerBatch", 1_000), ("maxBytesPerBatch", 16 << 20)):
-        name = f"spark.sql.execution.arrow.{name}"
-        now = spark.conf.get(name).lower().removesuffix("b")
-        if not now.isdigit() or not 0 < int(now) <= most:
-            spark.conf.set(name, str(most))
+    for name, most in (("maxRecordsPerBatch", rows), ("maxBytesPerBatch", 16 << 20)):
+        spark.conf.set(f"spark.sql.execution.arrow.{name}", str(most))
     env = spark.sparkContext.environment
     known = env.get("PYTHONPATH", "")
     if PACKAGE_HOME not in known.split(os.pathsep):

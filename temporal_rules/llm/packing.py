@@ -28,7 +28,7 @@ def piece_table(docs: DataFrame, tokenizer: str, end_id: int, size: int, text: s
     than ``size`` ids is cut, and only its first piece may be shorter.  Repeated doc_ids stay apart by their rows."""
     from .tokens import by_bytes, encoder
 
-    reach_workers(docs.sparkSession)
+    reach_workers(docs.sparkSession, 10_000)  # large batches: a word met twice in one is looked up once
 
     def cut(batches):
         enc = encoder(tokenizer)

@@ -96,4 +96,22 @@ QUERIES = {
     "op10_pattern_packing": op10_pattern_packing,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+_REACH = """r(x, y) as (select i, i from v union select r.x, l.b from r join l on r.y = l.a),
+ c as (select x, min(y) y from r group by x)"""
+
+#: All pairs that share a shingle, and all pairs of vectors; components by reachability.
+ORACLE_SQL: dict[str, str] = {
+    "op3_near_duplicates": rf"""with recursive w as (select doc_id i, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') ws from documents),
+ v as (select i from w),
+ s as (select distinct i, unnest(case when len(ws) = 0 then []::varchar[] when len(ws) < 5 then [array_to_string(ws, ' ')] else list_transform(range(1, len(ws) - 3), lambda k: array_to_string(ws[k:k + 4], ' ')) end) sh from w),
+ n as (select i, count(*) n from s group by i),
+ p as (select a.i a, b.i b, count(*) c from s a join s b on a.sh = b.sh and a.i <> b.i group by 1, 2),
+ l as (select a, b from p join n x on x.i = a join n y on y.i = b where 100 * c >= 75 * (x.n + y.n - c)),
+ {_REACH}
+ select w.i doc_id, coalesce(n.n, 0)::bigint n_shingles, c.y component_id, w.i = c.y kept from w join c on c.x = w.i left join n on n.i = w.i""",
+    "op9_vector_near_duplicates": f"""with recursive e as (select vec_id i, embedding::double[] x from embeddings where embedding is not null and list_bool_and(list_transform(embedding, lambda q: q is not null and isfinite(q))) and list_bool_or(list_transform(embedding, lambda q: q <> 0))),
+ v as (select vec_id i from embeddings),
+ l as (select a.i a, b.i b from e a join e b on a.i <> b.i and list_cosine_similarity(a.x, b.x) >= 0.95),
+ {_REACH}
+ select c.x vec_id, (select count(*) from l where l.a = c.x)::bigint n_links, c.y component_id, c.x = c.y kept from c""",
+}

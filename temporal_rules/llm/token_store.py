@@ -84,7 +84,7 @@ class TokenStore:
         return read_store(spark, self)
 
 
-def write_store(docs: DataFrame, tokenizer: str, end_id: int, text: str = "text", doc_id: str = "doc_id", sample_docs: int = 2000, sample_bytes: int = 32 << 10, dictionary_bytes: int = 64 << 10, level: int = 3, rows_per_shard: int = 100_000) -> TokenStore:
+def write_store(docs: DataFrame, tokenizer: str, end_id: int, text: str = "text", doc_id: str = "doc_id", sample_docs: int = 2000, sample_bytes: int = 32 << 10, dictionary_bytes: int = 64 << 10, level: int = 1, rows_per_shard: int = 100_000) -> TokenStore:
     """Encode all documents and write a store in the shared folder.
 
     Null texts are empty; every document ends with ``end_id``; null doc_ids come first and
@@ -94,7 +94,7 @@ def write_store(docs: DataFrame, tokenizer: str, end_id: int, text: str = "text"
     from .tokens import by_bytes, encoder
 
     spark = docs.sparkSession
-    reach_workers(spark)
+    reach_workers(spark, 10_000)  # large batches: a word met twice in one is looked up once
     docs = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
     # The sample is chosen by ids alone, so its sort does not carry texts; at most sample_docs ids are broadcast.
     chosen = docs.select("doc_id").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_docs)

@@ -26,7 +26,7 @@ def encoder(path: str) -> "BatchEncoder":
     return _encoders[path]
 
 
-def by_bytes(batch: pa.RecordBatch, column: int, limit: int = 6 << 20):
+def by_bytes(batch: pa.RecordBatch, column: int, limit: int = 12 << 20):
     """Slices of a batch whose texts have about ``limit`` bytes, or one text, each."""
     ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False).astype(np.int64))
     lo = 0
@@ -62,7 +62,7 @@ class BatchEncoder:
     def _ids(self, texts: list[str]) -> list[np.ndarray]:
         return [np.asarray(e.ids, self.type) for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def encode(self, texts: pa.Array, at_once: int = 6 << 20) -> tuple[np.ndarray, np.ndarray]:
+    def encode(self, texts: pa.Array, at_once: int = 12 << 20) -> tuple[np.ndarray, np.ndarray]:
         if isinstance(texts, pa.ChunkedArray):
             texts = texts.combine_chunks()
         texts = pc.fill_null(texts.cast(pa.large_string()), "")
