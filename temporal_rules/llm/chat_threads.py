@@ -110,17 +110,29 @@ def threads(messages: DataFrame, max_doublings: int = 40) -> DataFrame:
     linked = nodes.join(best, ["conv_id", "turn"], "left").select(
         "conv_id", "turn", F.coalesce("qc", F.when(F.col("before").isNotNull(), F.col("conv_id"))).alias("pc"), F.coalesce("qt", "before").alias("pt"), F.col("qc").isNotNull().alias("by_quote")
     )
-    linked = staged(linked, "replies")
-    at = staged(linked.select("conv_id", "turn", F.coalesce("pc", "conv_id").alias("ac"), F.coalesce("pt", "turn").alias("at"), F.when(F.col("pc").isNotNull(), 1).otherwise(0).cast("long").alias("depth")), "pointers")
+    # A run of messages that each follow the one before is a segment; only quoting messages begin a further one,
+    # so pointers are doubled over those alone, however long conversations are.
+    seg = F.sum(F.col("by_quote").cast("long")).over(Window.partitionBy("conv_id").orderBy("turn").rowsBetween(Window.unboundedPreceding, 0))
+    linked = linked.withColumn("seg", seg)
+    linked = staged(linked.withColumn("step", (F.row_number().over(Window.partitionBy("conv_id", "seg").orderBy("turn")) - 1).cast("long")), "replies")
+    homes = linked.select(F.col("conv_id").alias("pc"), F.col("turn").alias("pt"), F.col("seg").alias("up_seg"), F.col("step").alias("up_step"))
+    # Of a quoting message: its segment, the segment that it replies into, and its distance from that one's head.
+    at = linked.where("by_quote").join(homes, ["pc", "pt"]).select("conv_id", "seg", F.col("pc").alias("ac"), F.col("up_seg").alias("as"), (F.col("up_step") + 1).alias("depth"))
+    at = staged(at, "pointers")
     for _ in range(max_doublings):
-        up = at.select(F.col("conv_id").alias("ac"), F.col("turn").alias("at"), F.col("ac").alias("bc"), F.col("at").alias("bt"), F.col("depth").alias("more"))
-        nxt = staged(at.join(up, ["ac", "at"]).select("conv_id", "turn", F.col("bc").alias("ac"), F.col("bt").alias("at"), (F.col("depth") + F.col("more")).alias("depth"), (F.col("more") > 0).alias("moved")), "pointers")
+        up = at.select(F.col("conv_id").alias("ac"), F.col("seg").alias("as"), F.col("ac").alias("bc"), F.col("as").alias("bs"), F.col("depth").alias("more"))
+        nxt = at.join(up, ["ac", "as"], "left").select("conv_id", "seg", F.coalesce("bc", "ac").alias("ac"), F.coalesce("bs", "as").alias("as"), (F.col("depth") + F.coalesce("more", F.lit(0))).alias("depth"), F.col("bc").isNotNull().alias("moved"))
+        nxt = staged(nxt, "pointers")
         forget(at)
         at = nxt.drop("moved")
         if nxt.where("moved").isEmpty():
             break
     else:
         raise RuntimeError("reply chains did not settle")
+    heads = linked.where("step = 0").select(F.col("conv_id").alias("ac"), F.col("seg").alias("as"), F.col("turn").alias("at"))
+    quoted = at.join(heads, ["ac", "as"]).select("conv_id", "seg", "ac", "at", "depth")
+    plain = linked.where("step = 0 and not by_quote").select("conv_id", "seg", F.col("conv_id").alias("ac"), F.col("turn").alias("at"), F.lit(0).cast("long").alias("depth"))
+    at = linked.join(quoted.unionByName(plain), ["conv_id", "seg"]).select("conv_id", "turn", "ac", "at", (F.col("depth") + F.col("step")).alias("depth"))
     order = Window.partitionBy("ac", "at").orderBy("conv_id", "turn")
     placed = at.withColumn("place", F.row_number().over(order) - 1)
     facts = linked.join(placed, ["conv_id", "turn"])
