@@ -8,7 +8,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..model import DAYS, HI, LO, Range, TemporalRelation, Timeline, always_true
+from ..model import DAYS, HI, LO, NEG, POS, Range, TemporalRelation, Timeline, always_true
 from ..operators.aggregates import agg_at_each_time, monotonic
 from ..operators.binary import since, until
 from ..operators.joins import temporal_join, temporal_minus
@@ -209,11 +209,52 @@ class Engine:
                 self.env[p] = accelerate_constant(base, loop[1])
             self.report.rounds[label] = [0]
             return
+        if self.report.kind != "finite" and not self.o.horizon and self._unending(group, rules, label):
+            return
+        self.env.update(self._rounds(group, rules, label, self.o.horizon))
+
+    def _unending(self, group: list[str], rules: list[Rule], label: str) -> bool:
+        """Recursion by operators alone, several predicates or rules: rounds within a window that grows until
+        the last two pattern lengths of it are alike.  As operators look back no further than that, they stay
+        alike; the last one becomes the pattern, or, where it is covered throughout, an endless fact.
+        """
+        looping = [r for r in rules if any(a.predicate in group for x in r.literals for a in x.atoms())]
+        plain = all(len(r.literals) == 1 and not r.conditions and r.literals[0].atom and not r.literals[0].negated and all(o in ("past", "alwayspast") for o, _ in r.literals[0].ops) for r in looping)
+        edges = [e for e in analysis.dependency_graph(self.program) if e.head in group and e.body in group]
+        if not plain or any(e.end is None for e in edges):
+            return False
+        length = analysis.pattern_length(self.program)
+        reach = max(e.end for e in edges)
+        bases = [b for p in group if (b := self._base(p, [r for r in self.program.for_head(p) if r not in looping])) is not None]
+        ends = [b.df.where((F.col(LO) > NEG) & (F.col(HI) < POS)).agg(F.min(LO).alias("a"), F.max(HI).alias("b")).first() for b in bases]
+        if not any(e["a"] is not None for e in ends):
+            return False
+        lo, hi = min(e["a"] for e in ends if e["a"] is not None), max(e["b"] for e in ends if e["b"] is not None)
+        width = bases[0].timeline.scale * length * max(1, -(-reach // length))
+        for grow in (2, 4, 8, 16, 32, 64):
+            end = hi + 1 + width * grow
+            known = self._rounds(group, rules, label, (lo, end - 1))
+            cut = lambda r, a, b, by: r.with_df(r.df.select(*r.keys, (F.greatest(LO, F.lit(a)) + by).alias(LO), (F.least(HI, F.lit(b)) + by).alias(HI)).where(F.col(LO) <= F.col(HI)), coalesced=True)
+            before = {p: cut(r, end - 2 * width, end - width - 1, width) for p, r in known.items()}
+            last = {p: cut(r, end - width, end - 1, 0) for p, r in known.items()}
+            if all(novel(last[p], before[p]).df.isEmpty() and novel(before[p], last[p]).df.isEmpty() for p in group):
+                break
+        else:
+            return False
+        for p, r in known.items():
+            whole = (F.col(LO) <= end - width) & (F.col(HI) >= end - 1)
+            rest = last[p].where(~((F.col(LO) <= end - width) & (F.col(HI) >= end - 1)))
+            self.env[p] = r.with_df(r.df.select(*r.keys, LO, F.when(whole, F.lit(POS)).otherwise(F.col(HI)).alias(HI)), coalesced=True)
+            if not rest.df.isEmpty():
+                self.patterns[p] = PatternRelation(rest, width)
+        return True
+
+    def _rounds(self, group: list[str], rules: list[Rule], label: str, limit: tuple[int, int] | None) -> dict[str, TemporalRelation]:
         known, delta = {}, {}
         for p in group:
             exit_rules = [r for r in self.program.for_head(p) if not any(a.predicate in group for x in r.literals for a in x.atoms())]
             start = self._base(p, exit_rules)
-            known[p] = self._clip(coalesce(start)) if start is not None else None
+            known[p] = self._clip(coalesce(start), limit) if start is not None else None
         like = next(r for r in known.values() if r is not None)
         for p in group:
             if known[p] is None:
@@ -244,7 +285,7 @@ class Engine:
                 if not derived[p]:
                     delta[p] = delta[p].with_df(delta[p].df.limit(0))
                     continue
-                new = novel(self._clip(_union(derived[p])), known[p])
+                new = novel(self._clip(_union(derived[p]), limit), known[p])
                 new = new.with_df(staged(new.df, p), coalesced=True)
                 n = new.df.count()
                 added += n
@@ -257,7 +298,7 @@ class Engine:
                 break
         else:
             raise RuleError(f"{label} did not end within {self.o.max_rounds} rounds; its model is {self.report.kind}: state a horizon")
-        self.env.update(known)
+        return known
 
     def _static(self, rule: Rule, group: list[str]) -> dict[int, TemporalRelation]:
         out = {}
@@ -275,11 +316,11 @@ class Engine:
             out[i] = slim.with_df(staged(slim.df, "static"), coalesced=slim.coalesced)
         return out
 
-    def _clip(self, r: TemporalRelation) -> TemporalRelation:
-        if not self.o.horizon:
+    def _clip(self, r: TemporalRelation, limit: tuple[int, int] | None) -> TemporalRelation:
+        if not limit:
             return r
-        self.report.clipped = True
-        a, b = self.o.horizon
+        self.report.clipped = bool(self.o.horizon)
+        a, b = limit
         return r.with_df(r.df.select(*r.keys, F.greatest(LO, F.lit(a)).alias(LO), F.least(HI, F.lit(b)).alias(HI)).where(F.col(LO) <= F.col(HI)))
 
     def _base(self, p: str, rules: list[Rule]) -> TemporalRelation | None:
@@ -290,10 +331,18 @@ class Engine:
         return _union(parts) if parts else None
 
     def query(self, predicate: str, names: list[str] | None = None, between: tuple[int, int] | None = None) -> TemporalRelation:
-        """The predicate's tuples with their maximal intervals; ``between`` (ticks) cuts them."""
+        """The predicate's tuples with their maximal intervals; ``between`` (ticks) cuts them.
+
+        A predicate that repeats for ever has its pattern in ``patterns`` as well, which is unrolled for ``between``.
+        """
         if not self.env:
             self.run()
-        r = self.env[predicate]
+        if predicate in self.patterns and between:
+            p = self.patterns[predicate]
+            seen = p.unroll(*(p.base.timeline.scale * x for x in between))
+            r = seen if predicate not in self.env else _union([self.env[predicate], seen])
+        else:
+            r = self.env[predicate]
         if between:
             s = r.timeline.scale
             r = r.with_df(r.df.select(*r.keys, F.greatest(LO, F.lit(s * between[0])).alias(LO), F.least(HI, F.lit(s * between[1])).alias(HI)).where(F.col(LO) <= F.col(HI)))

@@ -132,8 +132,14 @@ def test_unending_programs(spark):
     assert e.report.kind == "constant" and got(e.query("p")) == [(1, 5, 5), (1, 6, None)]
     e = Engine("p(X) :- s(X). p(X) :- past[30,30] p(X).", s).run()
     assert e.report.kind == "periodic" and e.patterns["p"].period == 60
+    assert got(e.query("p", between=(60, 100))) == [(1, 65, 65), (1, 95, 95)]
+    e = Engine("p(X) :- s(X). p(X) :- past[1,1] q(X). q(X) :- past[2,2] p(X). q(X) :- z(X).", {**s, "z": rel(spark, [(2, 0, 1)], "x")}).run()
+    assert e.patterns["p"].period == 6 and not e.report.clipped
+    assert got(e.query("p", between=(31, 42))) == [(1, 32, 32), (1, 35, 35), (1, 38, 38), (1, 41, 41), (2, 31, 32), (2, 34, 35), (2, 37, 38), (2, 40, 41)]
+    e = Engine("p(X) :- s(X). p(X) :- past[1,2] q(X). q(X) :- past[1,1] p(X). q(X) :- z(X).", {**s, "z": s["s"].where("x < 0")}).run()
+    assert e.report.kind in ("constant", "periodic") and got(e.query("p"))[-1][2] is None and got(e.query("p"))[0] == (1, 5, 5)
     with pytest.raises(RuleError):
-        Engine("p(X) :- s(X). p(X) :- past[1,1] q(X). q(X) :- past[1,1] p(X).", s, Options(max_rounds=4)).query("p")
+        Engine("p(X) :- s(X). p(X) :- past[1,1] q(X), always(X). q(X) :- past[1,1] p(X). q(X) :- z(X).", {**s, "z": s["s"].where("x < 0"), "always": timeless(spark.createDataFrame([(1,)], "x long"), ["x"])}, Options(max_rounds=4)).query("p")
     clipped = Engine("p(X) :- s(X). p(X) :- past[3,3] q(X). q(X) :- past[1,1] p(X). q(X) :- z(X).", {**s, "z": s["s"].where("x < 0")}, Options(horizon=(0, 40)))
     assert [r[1] for r in got(clipped.query("p"))] == [5, 9, 13, 17] and clipped.report.clipped
     repeat = recognise(clipped.query("p").df, ["c0"], 8)
