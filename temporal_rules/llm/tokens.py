@@ -39,7 +39,7 @@ def by_bytes(batch: pa.RecordBatch, column: int, limit: int = 8 << 20):
 class BatchEncoder:
     """``encode`` maps an Arrow string array to all its ids and the offsets of its texts in them."""
 
-    def __init__(self, path: str, remember: int = 200_000):
+    def __init__(self, path: str, remember: int = 300_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -146,13 +146,22 @@ class BatchEncoder:
             if len(self.known) > self.remember:
                 self.old, self.known = self.known, {"\x03": b""}
             known, old = self.known, self.old
-            new = [x for x in names if x not in known]
-            if old and new:
-                known.update([(x, old[x]) for x in new if x in old])
-                new = [x for x in new if x not in old]
-            if new:
-                self._learn(new)
-            blobs = [known[x] for x in names]
+            blobs = list(map(known.get, names))
+            missing = [i for i, x in enumerate(blobs) if x is None]
+            if missing:
+                new = []
+                for i in missing:
+                    name = names[i]
+                    again = old.get(name)
+                    if again is None:
+                        new.append(name)
+                    else:
+                        known[name] = blobs[i] = again
+                if new:
+                    self._learn(new)
+                    for i in missing:
+                        if blobs[i] is None:
+                            blobs[i] = known[names[i]]
             flat = np.frombuffer(b"".join(blobs), self.type)
             length = np.fromiter(map(len, blobs), np.int32, len(blobs)) // flat.itemsize
             first = np.cumsum(length, dtype=np.int32) - length
