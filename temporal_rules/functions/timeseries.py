@@ -148,6 +148,18 @@ def ema(s: Series, n: int, seed: str = "sma") -> Series:
     return s.with_df(dealt.sortWithinPartitions(*keys, "t").mapInArrow(fold, schema))
 
 
+def _before_blocks(s: Series, width: int, value: Column, out: str) -> DataFrame:
+    """The series with a running total of ``value`` up to and with each row, over blocks of ``width`` ticks: block
+    totals are summed per series, rows only within their block, so one long series is many small windows."""
+    keys = [*s.keys, "__block"]
+    df = s.df.where("v is not null").select(*s.keys, "t", "v", F.floor(F.col("t") / width).alias("__block"), value.alias("__value"))
+    totals = df.groupBy(*keys).agg(F.sum("__value").alias("__total"))
+    w = Window.partitionBy(*s.keys).orderBy("__block").rowsBetween(Window.unboundedPreceding, -1)
+    before = totals.select(*keys, F.coalesce(F.sum("__total").over(w), F.lit(0)).alias("__before"))
+    inner = Window.partitionBy(*keys).orderBy("t").rowsBetween(Window.unboundedPreceding, 0)
+    return df.join(before, keys).select(*s.keys, "t", "v", (F.col("__before") + F.sum("__value").over(inner)).alias(out))
+
+
 def ema_blocks(s: Series, n: int, block: int = 4096) -> Series:
     """The same average for very long series: blocks of points fold to y -> a y + b, blocks are chained in
     order, and every point is its block's start value and a running weighted sum.  Only block rows meet."""
@@ -157,7 +169,7 @@ def ema_blocks(s: Series, n: int, block: int = 4096) -> Series:
     # Weights within a block stay inside the range of doubles.
     block = max(1, min(block, int(200 / -math.log(1 - k))))
     keys = list(s.keys)
-    ranked = staged(s.df.where("v is not null").select(*keys, "t", "v", F.row_number().over(s.by_time).alias("i")), "series")
+    ranked = staged(_before_blocks(s, 4 * block, F.lit(1).cast("long"), "i"), "series")
     seeds = ranked.where(F.col("i") <= n).groupBy(*keys).agg(F.avg("v").alias("v"), F.count(F.lit(1)).alias("c"), F.max("t").alias("t")).where(F.col("c") == n)
     rest = ranked.where(F.col("i") > n).withColumn("block", F.floor((F.col("i") - n - 1) / block)).withColumn("r", F.col("i") - n - F.col("block") * block)
     rest = rest.withColumn("w", k * F.col("v") * F.pow(F.lit(1 - k), -F.col("r").cast("double")))
@@ -195,7 +207,10 @@ def stock_to_flow(s: Series) -> Series:
     return s.with_df(df.where(F.col("p") == F.col("t") - 1).select(*s.keys, "t", "v"))
 
 
-def flow_to_stock(s: Series) -> Series:
+def flow_to_stock(s: Series, block: int | None = None) -> Series:
+    """Cumulative sums from the start; ``block`` ticks at a time for very long series."""
+    if block:
+        return s.with_df(_before_blocks(s, block, F.col("v"), "total").select(*s.keys, "t", F.col("total").alias("v")))
     return s.with_df(s.df.select(*s.keys, "t", F.sum("v").over(s.by_time.rowsBetween(Window.unboundedPreceding, 0)).alias("v")))
 
 

@@ -75,7 +75,7 @@ SQL["temporal_join3"] = f"{W}, {EXEMPT}, {days('hb', 'big', 'cust, supp')}, {PAI
 SQL["matinee"] = """with g as (select event_id, user_id, epoch_us(ts) s, epoch_us(ts) + 7200000000 e from events where event_type = 'click'),
  w as (select x as day, 1704067200000000 + x * 86400000000 + 50400000000 s, 1704067200000000 + x * 86400000000 + 57600000000 e from (select unnest(range(0, 31)) x))
  select event_id, user_id, day::bigint as day, greatest(g.s, w.s)::bigint t_start, least(g.e, w.e)::bigint t_end from g join w on g.s < w.e and w.s < g.e"""
-SQL["temporal_join_theta"] = f"""{BS}, o as (select s_suppkey other, s_suppkey * 17 % 2000 s from supplier where s_suppkey % 10 = 3),
+SQL["temporal_join_theta"] = f"""{BS}, o as (select s_suppkey other, s_suppkey * 17 % 2000 s from supplier),
  p as (select supp, other, d from h join o on d >= o.s and d < o.s + 25) {islands('p', 'supp, other')}"""
 SQL["temporal_semi"] = f"{W}, {EXEMPT}, {days('hb', 'big', 'cust, supp')}, q as (select hb.* from hb semi join exempt x on hb.supp = x.supp and d >= x.s and d < x.e) {islands('q', 'cust, supp')}"
 SQL["temporal_minus"] = f"{W}, {days('hb', 'big', 'cust, supp')}, {days('hl', 'linked', 'cust, supp')}, q as (select * from hl except select * from hb) {islands('q', 'cust, supp')}"
@@ -105,9 +105,9 @@ SQL["ev_until"] = f"""{CALM}, t as (select user_id, h, 2 * h - x d from b, (sele
  q as (select distinct user_id, d from t where d >= 2 * h or exists (select 1 from ci where ci.user_id = t.user_id and a <= (case when d % 2 = 0 then d + 1 else d end) and z >= 2 * h - 1))
  {cell_islands('q', 'user_id')}"""
 for f, sql in (("sum", "round(sum(price::decimal(28,6))::double, 2)"), ("count", "count(*)::double"), ("max", "max(price)"), ("min", "min(price)")):
-    SQL[f"agg_instant_{f}"] = f"""{W}, k as (select cust, supp, price, s, e from stake where price > 53000), {days('h', 'k', 'cust, supp, price')},
+    SQL[f"agg_instant_{f}"] = f"""{W}, k as (select cust, supp, price, s, e from stake), {days('h', 'k', 'cust, supp, price')},
  v as (select supp, d, {sql} as value from h group by supp, d) {islands('v', 'supp, value')}"""
-SQL["agg_monotonic"] = f"""{W}, k as (select cust, supp, price, s, e from stake where price > 53000), {days('h', 'k', 'cust, supp, price')},
+SQL["agg_monotonic"] = f"""{W}, k as (select cust, supp, price, s, e from stake), {days('h', 'k', 'cust, supp, price')},
  m as (select supp, cust, d, max(price) p from h group by supp, cust, d), v as (select supp, d, round(sum(p::decimal(28,6))::double, 2) as value from m group by supp, d) {islands('v', 'supp, value')}"""
 SQL["agg_history"] = f"""with {STAKE}, {days('h', 'stake', 'cust, supp, price')}, i as ({islands('h', 'cust, supp, price')})
  select supp, count(*)::bigint facts, max(price) dearest, count(distinct cust)::bigint buyers from i group by supp"""

@@ -156,7 +156,7 @@ def matinee(spark, sf):
 @query
 def temporal_join_theta(spark, sf):
     l = b.big_by_supp(spark, sf)
-    s = b.table(spark, sf, "supplier").where("s_suppkey % 10 = 3").select(F.col("s_suppkey").alias("other"), (F.col("s_suppkey") * 17 % 2000).alias("s"))
+    s = b.table(spark, sf, "supplier").select(F.col("s_suppkey").alias("other"), (F.col("s_suppkey") * 17 % 2000).alias("s"))
     return plain(joins.temporal_join(merge.coalesce(l), relation(s, ["other"], F.col("s"), F.col("s") + 25), []))
 
 
@@ -225,7 +225,7 @@ def ev_until(spark, sf):
 # Aggregation.
 def _instant(f):
     def run(spark, sf):
-        r = ag.agg_at_each_time(b.stake(spark, sf, b.LINKED), ["supp"], f, "price")
+        r = ag.agg_at_each_time(b.stake(spark, sf), ["supp"], f, "price")
         return r.with_df(r.df.withColumn("value", F.round(F.col("value").cast("double"), 2)), coalesced=True).to_df(flags=False)
 
     return run
@@ -243,7 +243,7 @@ def agg_history(spark, sf):
 
 @query
 def agg_monotonic(spark, sf):
-    r = ag.monotonic(b.stake(spark, sf, b.LINKED), ["supp"], "msum", "price", ["cust"])
+    r = ag.monotonic(b.stake(spark, sf), ["supp"], "msum", "price", ["cust"])
     return r.with_df(r.df.withColumn("value", F.round(F.col("value").cast("double"), 2)), coalesced=True).to_df(flags=False)
 
 

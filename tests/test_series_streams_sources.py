@@ -34,6 +34,7 @@ def test_rolling_and_averages(spark):
     assert vals(ts.stock_to_flow(series(spark, [(1, 5), (2, 8), (4, 1)]))) == {2: 3}
     back = ts.stock_to_flow(ts.flow_to_stock(s))
     assert vals(back) == {t: v for t, v in vals(s).items() if t > 1}
+    assert vals(ts.flow_to_stock(s, block=2)) == vals(ts.flow_to_stock(s)) == {1: 1, 2: 3, 3: 5, 4: 12}
     assert vals(ts.upsample(series(spark, [(0, 0), (7, 14)]))) == {t: 2.0 * t for t in range(8)}
     assert vals(ts.upsample(series(spark, [(0, 5), (3, 14)]), method="hold")) == {0: 5, 1: 5, 2: 5, 3: 14}
     assert vals(ts.downsample(s, F.expr("t div 2"), "sum")) == {0: 1, 1: 4, 2: 7}
