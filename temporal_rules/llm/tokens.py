@@ -26,7 +26,7 @@ def encoder(path: str) -> "BatchEncoder":
     return _encoders[path]
 
 
-def by_bytes(batch: pa.RecordBatch, column: int, limit: int = 8 << 20):
+def by_bytes(batch: pa.RecordBatch, column: int, limit: int = 6 << 20):
     """Slices of a batch whose texts have about ``limit`` bytes, or one text, each."""
     ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False).astype(np.int64))
     lo = 0
@@ -39,7 +39,7 @@ def by_bytes(batch: pa.RecordBatch, column: int, limit: int = 8 << 20):
 class BatchEncoder:
     """``encode`` maps an Arrow string array to all its ids and the offsets of its texts in them."""
 
-    def __init__(self, path: str, remember: int = 300_000):
+    def __init__(self, path: str, remember: int = 200_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -62,7 +62,7 @@ class BatchEncoder:
     def _ids(self, texts: list[str]) -> list[np.ndarray]:
         return [np.asarray(e.ids, self.type) for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def encode(self, texts: pa.Array, at_once: int = 8 << 20) -> tuple[np.ndarray, np.ndarray]:
+    def encode(self, texts: pa.Array, at_once: int = 6 << 20) -> tuple[np.ndarray, np.ndarray]:
         if isinstance(texts, pa.ChunkedArray):
             texts = texts.combine_chunks()
         texts = pc.fill_null(texts.cast(pa.large_string()), "")
@@ -108,9 +108,8 @@ class BatchEncoder:
         kinds: dict[str, list[str]] = {"": [], "\n": [], "\x01": [], "\x02": [], "\x03": []}
         for c in chunks:
             kinds.get(c[:1], kinds[""]).append(c)
-        for kind, some in kinds.items():
-            if not some:
-                continue
+        # A few thousand at once: the library keeps much about every token of a call.
+        for kind, some in ((kind, all_[lo : lo + 8_192]) for kind, all_ in kinds.items() for lo in range(0, len(all_), 8_192)):
             if kind == "":
                 whole = [" " + c for c in some]
             elif kind == "\n":
