@@ -14,7 +14,7 @@ from ..operators.binary import since, until
 from ..operators.joins import temporal_join, temporal_minus
 from ..operators.merge import coalesce, novel
 from ..operators.unary import apply_chain
-from ..staging import staged
+from ..staging import staged, together
 from . import analysis
 from .language import Aggregate, Assign, Compare, Literal, Program, Rule, RuleError, Var, parse, validate
 from .patterns import PatternRelation, accelerate_constant
@@ -233,7 +233,7 @@ class Engine:
         width = bases[0].timeline.scale * length * max(1, -(-reach // length))
         for grow in (2, 4, 8, 16, 32, 64):
             end = hi + 1 + width * grow
-            known = self._rounds(group, rules, label, (lo, end - 1))
+            known = {p: coalesce(r) for p, r in self._rounds(group, rules, label, (lo, end - 1)).items()}
             cut = lambda r, a, b, by: r.with_df(r.df.select(*r.keys, (F.greatest(LO, F.lit(a)) + by).alias(LO), (F.least(HI, F.lit(b)) + by).alias(HI)).where(F.col(LO) <= F.col(HI)), coalesced=True)
             before = {p: cut(r, end - 2 * width, end - width - 1, width) for p, r in known.items()}
             last = {p: cut(r, end - width, end - 1, 0) for p, r in known.items()}
@@ -290,9 +290,8 @@ class Engine:
                 n = new.df.count()
                 added += n
                 delta[p] = new
-                if n:
-                    merged = coalesce(_union([known[p], new]), force=True)
-                    known[p] = merged.with_df(staged(merged.df, p), coalesced=True)
+                if n:  # what is known is all rounds' additions, which do not overlap; who needs islands merges them
+                    known[p] = new.with_df(together([known[p].df, new.df]), coalesced=False)
             counts.append(added)
             if not added:
                 break

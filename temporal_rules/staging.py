@@ -25,4 +25,14 @@ def shared_folder(spark: SparkSession) -> str:
 def staged(df: DataFrame, name: str = "round") -> DataFrame:
     path = f"{shared_folder(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.staged_paths = [path]
+    return out
+
+
+def together(parts: list[DataFrame]) -> DataFrame:
+    """Staged frames of one schema as one scan over all their folders."""
+    paths = [p for x in parts for p in x.staged_paths]
+    out = parts[0].sparkSession.read.schema(parts[0].schema).parquet(*paths)
+    out.staged_paths = paths
+    return out
