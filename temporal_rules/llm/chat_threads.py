@@ -14,7 +14,6 @@ import hashlib
 import json
 import re
 
-import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -86,8 +85,8 @@ def parsed(messages: DataFrame) -> DataFrame:
 def threads(messages: DataFrame, max_doublings: int = 40) -> DataFrame:
     """One row for each message: conv_id, turn, role, body, n_quoted, parent_conv, parent_turn, thread_conv, thread_turn, depth, place.
 
-    ``place`` counts from 0 within a thread in the order of (depth-free) reply: by conversation and
-    turn, which puts every message after the one it replies to when both are of one conversation.
+    ``place`` counts from 0 within a thread by conversation and turn, which puts every message after the
+    one it replies to.
     Null and empty texts have an empty body; a message with a null conv_id or turn is a thread of its own with a null place.  Rows that repeat
     (conv_id, turn) share their parent.  Other columns are ignored; an empty table gives no rows.
     """

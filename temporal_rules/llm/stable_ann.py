@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import forget, reach_workers, staged
+from .common import reach_workers, staged
 from .vectors import common_width, matrix, sampled, usable
 
 
