@@ -7,7 +7,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..model import HI, LO, NEG, POS, TemporalRelation
+from ..model import HI, LO, POS, TemporalRelation
 from .merge import coalesce
 
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from dataclasses import dataclass, field
 from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model import DAYS, HI, LO, NEG, POS, Range, TemporalRelation, Timeline, always_true
@@ -16,7 +16,7 @@ from ..operators.merge import coalesce, novel
 from ..operators.unary import apply_chain
 from ..staging import staged, together
 from . import analysis
-from .language import Aggregate, Assign, Compare, Literal, Program, Rule, RuleError, Var, parse, validate
+from .language import Aggregate, Compare, Literal, Program, Rule, RuleError, Var, parse, validate
 from .patterns import PatternRelation, accelerate_constant
 from .rewrite import fuse_chains, simplify
 

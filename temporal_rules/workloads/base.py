@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.timeseries import Series
-from ..model import DAYS, HI, LO, MICROS, STEPS, TemporalRelation, Timeline, points, relation, timeless
+from ..model import MICROS, STEPS, TemporalRelation, Timeline, points, relation
 from ..operators.joins import hold_until_next
 
 EPOCH = "1995-01-01"

@@ -6,10 +6,10 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import timeseries as ts
-from ..model import DAYS, HI, LO, MICROS, STEPS, Range, TemporalRelation, points, relation, timeless
+from ..model import HI, LO, MICROS, Range, TemporalRelation, points, relation, timeless
 from ..operators import aggregates as ag
 from ..operators import binary, joins, merge, unary
-from ..plans.patterns import PatternRelation, accelerate_constant, pattern_join
+from ..plans.patterns import PatternRelation, pattern_join
 from ..plans.runtime import Engine, Options
 from . import base as b
 

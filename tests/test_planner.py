@@ -3,10 +3,9 @@
 import random
 
 import pytest
-from pyspark.sql import functions as F
 
 from temporal_rules import measures
-from temporal_rules.model import HI, LO, Range, TemporalRelation
+from temporal_rules.model import HI, LO, TemporalRelation
 from temporal_rules.operators.merge import coalesce
 from temporal_rules.plans import planner
 from temporal_rules.plans.language import RuleError, parse

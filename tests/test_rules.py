@@ -3,10 +3,9 @@
 import random
 
 import pytest
-from pyspark.sql import functions as F
 
 from temporal_rules import baselines
-from temporal_rules.model import DAYS, HI, LO, NEG, POS, STEPS, Range, TemporalRelation, points, relation, timeless
+from temporal_rules.model import DAYS, HI, LO, Range, TemporalRelation, points, relation, timeless
 from temporal_rules.operators import merge, unary
 from temporal_rules.plans import analysis
 from temporal_rules.plans.language import Assign, Compare, RuleError, Var, parse, validate
