@@ -18,10 +18,10 @@ def session_of(df: DataFrame) -> SparkSession:
     return df.sparkSession
 
 
-def reach_workers(spark: SparkSession, rows: int = 1_000) -> None:
+def reach_workers(spark: SparkSession, rows: int = 1_000, size: int = 6 << 20) -> None:
     """Let Python workers import this package when the driver found it by its own path only, and hand them
     Arrow batches of bounded size: texts are long, and a batch is held by the JVM and by the worker."""
-    for name, most in (("maxRecordsPerBatch", rows), ("maxBytesPerBatch", 6 << 20)):
+    for name, most in (("maxRecordsPerBatch", rows), ("maxBytesPerBatch", size)):
         spark.conf.set(f"spark.sql.execution.arrow.{name}", str(most))
     env = spark.sparkContext.environment
     known = env.get("PYTHONPATH", "")

@@ -30,6 +30,7 @@ from pyspark.sql import functions as F
 from .common import fresh_path, forget, reach_workers, staged
 
 MAGIC = b"TOKD0001"
+BATCH = 10 << 20  # bytes of text encoded at once
 NO_ID = -(1 << 63)  # stands for a null doc_id in an index; sorts first, as nulls do
 
 
@@ -84,7 +85,7 @@ class TokenStore:
         return read_store(spark, self)
 
 
-def write_store(docs: DataFrame, tokenizer: str, end_id: int, text: str = "text", doc_id: str = "doc_id", sample_docs: int = 2000, sample_bytes: int = 32 << 10, dictionary_bytes: int = 64 << 10, level: int = 1, rows_per_shard: int = 100_000) -> TokenStore:
+def write_store(docs: DataFrame, tokenizer: str, end_id: int, text: str = "text", doc_id: str = "doc_id", sample_docs: int = 1000, sample_bytes: int = 32 << 10, dictionary_bytes: int = 64 << 10, level: int = 1, rows_per_shard: int = 100_000) -> TokenStore:
     """Encode all documents and write a store in the shared folder.
 
     Null texts are empty; every document ends with ``end_id``; null doc_ids come first and
@@ -94,7 +95,7 @@ def write_store(docs: DataFrame, tokenizer: str, end_id: int, text: str = "text"
     from .tokens import by_bytes, encoder
 
     spark = docs.sparkSession
-    reach_workers(spark, 10_000)  # large batches: a word met twice in one is looked up once
+    reach_workers(spark, 10_000, BATCH)  # large batches: a word met twice in one is looked up once
     docs = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
     # The sample is chosen by ids alone, so its sort does not carry texts; at most sample_docs ids are broadcast.
     chosen = docs.select("doc_id").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_docs)
@@ -118,8 +119,8 @@ def write_store(docs: DataFrame, tokenizer: str, end_id: int, text: str = "text"
     def frames(batches):
         enc, comp = encoder(tokenizer), _compressor(dictionary, level)
         for batch in batches:
-            for part in by_bytes(batch, 1):
-                ids, off = enc.encode(part.column(1))
+            for part in by_bytes(batch, 1, BATCH):
+                ids, off = enc.encode(part.column(1), BATCH)
                 end = np.array([end_id], ids.dtype).tobytes()
                 blobs = [comp.compress(ids[a:b].tobytes() + end) for a, b in zip(off.tolist(), off[1:].tolist())]
                 yield pa.record_batch([part.column(0), pa.array(np.diff(off) + 1, pa.int64()), pa.array(blobs, pa.binary())], ["doc_id", "n", "frame"])
