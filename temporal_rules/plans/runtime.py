@@ -14,7 +14,7 @@ from ..operators.binary import since, until
 from ..operators.joins import temporal_join, temporal_minus
 from ..operators.merge import coalesce, novel
 from ..operators.unary import apply_chain
-from ..staging import staged, together
+from ..staging import staged
 from . import analysis
 from .language import Aggregate, Compare, Literal, Program, Rule, RuleError, Var, parse, validate
 from .patterns import PatternRelation, accelerate_constant
@@ -290,8 +290,9 @@ class Engine:
                 n = new.df.count()
                 added += n
                 delta[p] = new
-                if n:  # what is known is all rounds' additions, which do not overlap; who needs islands merges them
-                    known[p] = new.with_df(together([known[p].df, new.df]), coalesced=False)
+                if n:
+                    merged = coalesce(_union([known[p], new]), force=True)
+                    known[p] = merged.with_df(staged(merged.df, p), coalesced=True)
             counts.append(added)
             if not added:
                 break
