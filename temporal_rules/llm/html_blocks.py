@@ -4,8 +4,8 @@ A page is cut at block-level tags.  The first pass decides a block by itself: wh
 menus, footers, forms, adverts, comments and the like is boilerplate; length, density of
 links and density of stop words decide others, as far as they can.  The second pass gives
 undecided blocks (short ones, or of middling density) the label of the nearest decided
-neighbour; a heading asks what follows it.  Where a page marks its article, blocks outside
-are boilerplate and undecided blocks inside look only at neighbours inside.
+neighbour; a heading asks what follows it.  A page's own mark of its article is a prior: the
+same rules run on both sides of it, and only what they leave undecided goes with the mark.
 """
 
 from __future__ import annotations
@@ -150,41 +150,34 @@ def blocks_of(page: str) -> list[Block]:
     return out
 
 
-def decide(block: Block, scoped: bool, short: int, long: int, low: float, high: float, links: float) -> bool | None:
-    """First pass: True keeps, False drops, None is for the neighbours."""
-    if block.furniture or scoped and not block.article:
+def stop_words(text: str) -> tuple[int, int]:
+    """Stop words and words of a block."""
+    words = [SIGN.sub("", w) for w in text.lower().split()]
+    return sum(w in STOP_WORDS for w in words), len(words)
+
+
+def decide(block: Block, share: float, marked: bool, fluent: bool, short: int, long: int, low: float, high: float, links: float) -> bool | None:
+    """First pass: True keeps, False drops, None is for the neighbours.
+
+    Inside a page's own article (``marked``) a short block may hold a link and shorter prose is kept; stop
+    words missing there say something only where the article as a whole has them (``fluent``).
+    """
+    if block.furniture:
         return False
-    density = block.linked / len(block.text)
-    if scoped:
-        # The page says what its article is; rules only find what can anchor its short blocks.
-        return True if len(block.text) >= short and density <= links else None
-    if density > links or "©" in block.text and len(block.text) < long:
+    if block.linked / len(block.text) > links or "©" in block.text and len(block.text) < long:
         return False
     if len(block.text) < short:
-        return False if block.linked else None
-    words = [SIGN.sub("", w) for w in block.text.lower().split()]
-    stops = sum(w in STOP_WORDS for w in words) / len(words)
-    if stops >= high:
-        return True if len(block.text) >= long else None
-    return None if stops >= low or not block.linked else False
+        return False if block.linked and not marked else None
+    if share >= high:
+        return True if marked or len(block.text) >= long else None
+    return None if share >= low or not block.linked or marked and not fluent else False
 
 
-def main_text(page: str | None, short: int = 70, long: int = 160, low: float = 0.1, high: float = 0.2, links: float = 0.33) -> str:
-    """The kept blocks of a page in page order, joined by an empty line; "" for null, empty and textless pages."""
-    if not page:
-        return ""
-    blocks = blocks_of(page)
-    marks = {b.article for b in blocks if b.article and not b.furniture}
-    scoped = bool(marks)
-    if True in marks:  # an <article>; a bare <main> around it says less
-        for b in blocks:
-            b.article = b.article is True
-    for b in blocks:
-        b.label = decide(b, scoped, short, long, low, high, links)
-    inside = [b for b in blocks if not (b.furniture or scoped and not b.article)]
-    first = [b.label for b in inside]
+def by_neighbours(blocks: list[Block]) -> None:
+    """Second pass where nothing is marked: the label of the nearest decided block; a heading asks what follows."""
+    first = [b.label for b in blocks]
     known = [i for i, x in enumerate(first) if x is not None]
-    for i, b in enumerate(inside):
+    for i, b in enumerate(blocks):
         if b.label is None:
             if not known:
                 b.label = True
@@ -197,7 +190,60 @@ def main_text(page: str | None, short: int = 70, long: int = 160, low: float = 0
                 b.label = first[after]
             else:
                 b.label = first[before]
-    return "\n\n".join(b.text for b in inside if b.label)
+
+
+def by_sides(blocks: list[Block], prior: bool) -> None:
+    """Second pass beside a mark: an undecided block goes against the prior only where the decided blocks on
+    both its sides do; a heading inside goes with what it heads."""
+    first = [b.label for b in blocks]
+    before: list[bool] = []
+    last = prior
+    for x in first:
+        last = last if x is None else x
+        before.append(last)
+    last = prior
+    for i in range(len(blocks) - 1, -1, -1):
+        last = last if first[i] is None else first[i]
+        if first[i] is None:
+            blocks[i].label = before[i] if before[i] == last else prior
+    if prior:
+        kept = seen = False
+        for i in range(len(blocks) - 1, -1, -1):
+            b = blocks[i]
+            if not b.heading:
+                if i + 1 < len(blocks) and blocks[i + 1].heading:
+                    kept = seen = False
+                kept, seen = kept or bool(b.label), True
+            elif first[i] is None:
+                b.label = kept or not seen
+
+
+def main_text(page: str | None, short: int = 70, long: int = 160, low: float = 0.1, high: float = 0.2, links: float = 0.33) -> str:
+    """The kept blocks of a page in page order, joined by an empty line; "" for null, empty and textless pages."""
+    if not page:
+        return ""
+    every = blocks_of(page)
+    blocks = [b for b in every if not b.furniture]
+    if any(b.article is True for b in blocks):  # an <article>; a bare <main> around it says less
+        for b in blocks:
+            b.article = b.article is True
+    counts = [stop_words(b.text) for b in blocks]
+    for b, (stops, n) in zip(blocks, counts):
+        b.label = decide(b, stops / n, False, True, short, long, low, high, links)
+    inside = [b for b in blocks if b.article]
+    outside = [b for b in blocks if not b.article]
+    # A mark around teasers (links, and nothing that the rules keep) is none where they keep text outside.
+    teasers = any(b.linked / len(b.text) > links for b in inside) and not any(b.label for b in inside) and any(b.label for b in outside)
+    if not inside or teasers:
+        by_neighbours(blocks)
+    else:
+        stops, n = (sum(x) for x in zip(*(c for b, c in zip(blocks, counts) if b.article)))
+        for b, (s, m) in zip(blocks, counts):
+            if b.article:
+                b.label = decide(b, s / m, True, stops >= low * n, short, long, low, high, links)
+        by_sides(inside, True)
+        by_sides(outside, False)
+    return "\n\n".join(b.text for b in blocks if b.label)
 
 
 def extract(pages: DataFrame) -> DataFrame:
