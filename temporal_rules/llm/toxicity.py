@@ -1,15 +1,17 @@
 """Toxicity by nearest labelled examples under exact TF-IDF cosine.
 
-Labelled rows (a bounded, hashed sample: ``examples``) give the vocabulary, the inverse
-document frequencies and the indexed examples.  A word or stem enters the vocabulary if its counts
-among toxic and clean examples differ beyond chance (likelihood ratio) and by a factor; near copies of
-one text count once there.  Every text's k most similar examples are found exactly in a
+Labelled rows (a bounded, hashed sample: ``examples``) give the inverse document frequencies and the
+indexed examples.  All their words are terms, and the stems that tell labels apart best.  A term's
+weight grows with what its counts among toxic and clean examples differ beyond chance (likelihood
+ratio); near copies of one text count once there.  Every text's k most similar examples are found exactly in a
 block-max inverted index, vote with weights by similarity, and the vote is calibrated on
 leave-one-out votes of the examples themselves.
 """
 
 from __future__ import annotations
 
+import copy
+import hashlib
 import math
 import re
 from collections import Counter
@@ -42,64 +44,132 @@ def likelihood_ratio(a: int, b: int, n1: int, n0: int) -> float:
 
 
 class Vocabulary:
-    def __init__(self, idf: dict[str, float]):
-        self.number = {w: i for i, w in enumerate(sorted(idf))}
-        self.idf = [idf[w] for w in sorted(idf)]
-        self.stems = frozenset(w[:4] for w in idf if w[-1] == "*")
+    def __init__(self, weight: dict[str, float]):
+        self.number = {w: i for i, w in enumerate(sorted(weight))}
+        self.weight = np.array([weight[w] for w in self.number])
+        self.stems = frozenset(w[:4] for w in weight if w[-1] == "*")
 
-    def vector(self, text: str | None) -> tuple[tuple[int, ...], tuple[float, ...]]:
+    def vector(self, text: str | None) -> tuple[np.ndarray, np.ndarray]:
         """Term numbers in order and weights of unit norm; empty where no word is known."""
         number = self.number
-        found = WORD.findall((text or "").lower())
-        tf = Counter([number[w] for w in found if w in number])
-        if self.stems:
-            tf.update([number[s] for w in found if len(w) > 5 and w[:4] in self.stems and (s := w[:5] + "*") in number])
-            tf.update([number[s] for w in found if len(w) > 4 and w[:4] in self.stems and (s := w[:4] + "*") in number])
-        terms = sorted(tf)
-        raw = [(1 + math.log(tf[t])) * self.idf[t] for t in terms]
-        norm = math.sqrt(sum(x * x for x in raw)) or 1.0
-        return tuple(terms), tuple(x / norm for x in raw)
+        tf: dict[int, int] = {}
+        for w, n in Counter(WORD.findall((text or "").lower())).items():
+            i = number.get(w)
+            if i is not None:
+                tf[i] = n
+            if len(w) > 4 and w[:4] in self.stems:
+                for s in (w[:4] + "*", w[:5] + "*") if len(w) > 5 else (w[:4] + "*",):
+                    i = number.get(s)
+                    if i is not None:
+                        tf[i] = tf.get(i, 0) + n
+        terms = np.fromiter(tf, np.int32, len(tf))
+        order = np.argsort(terms)
+        terms = terms[order]
+        raw = (1 + np.log(np.fromiter(tf.values(), float, len(tf))[order])) * self.weight[terms]
+        return terms, raw / (math.sqrt(float(raw @ raw)) or 1.0)
 
 
 class BlockMaxIndex:
-    """Postings by term in blocks of consecutive examples, each with its greatest weight."""
-
-    def __init__(self, vectors: list[tuple[tuple[int, ...], tuple[float, ...]]], block: int = 128):
-        self.block, self.size = block, len(vectors)
-        lists: dict[int, list[tuple[int, float]]] = {}
-        for i, (terms, weights) in enumerate(vectors):
-            for t, w in zip(terms, weights):
-                lists.setdefault(t, []).append((i, w))
-        self.lists = {}
-        for t, posts in lists.items():
-            at = np.array([i for i, _ in posts])
-            w = np.array([x for _, x in posts])
-            number, start = np.unique(at // block, return_index=True)
-            self.lists[t] = (at, w, number, np.append(start, len(at)), np.maximum.reduceat(w, start), {int(n): j for j, n in enumerate(number)})
-        self.blocks = -(-self.size // block) if self.size else 0
+    """Examples by term: the commonest terms as a matrix in blocks of consecutive examples, each with its
+    greatest weights; the others as postings."""
+
+    def __init__(self, vectors: list, block: int = 1024, common: int = 512):
+        self.block, self.common, self.size = block, common, len(vectors)
+        self.start = np.concatenate([[0], np.cumsum([len(t) for t, _ in vectors])]).astype(np.int64)
+        self.terms = np.concatenate([np.zeros(0, np.int32), *(np.asarray(t, np.int32) for t, _ in vectors)])
+        self.weights = np.concatenate([np.zeros(0), *(np.asarray(w, float) for _, w in vectors)])
+        self.query = None
+
+    def __getstate__(self):
+        return {k: self.__dict__[k] for k in ("block", "common", "size", "start", "terms", "weights")}
+
+    def __setstate__(self, state):
+        self.__dict__ |= state
+        self.query = None
+
+    def _build(self) -> None:
+        """What searches need; made where the first one runs."""
+        rows = np.repeat(np.arange(self.size, dtype=np.int32), np.diff(self.start))
+        self.width = int(self.terms.max()) + 1 if len(self.terms) else 0
+        count = np.bincount(self.terms, minlength=self.width)
+        most = np.sort(np.argsort(-count, kind="stable")[: self.common])
+        self.place = np.full(self.width, -1, np.int32)
+        self.place[most] = np.arange(len(most))
+        at = self.place[self.terms]
+        self.matrix = np.zeros((self.size, len(most)), np.float32)
+        self.matrix[rows[at >= 0], at[at >= 0]] = self.weights[at >= 0]
+        self.edges = list(range(0, self.size, self.block))
+        self.greatest = np.maximum.reduceat(self.matrix, self.edges, axis=0) if self.size else self.matrix
+        rest = np.flatnonzero(at < 0)
+        rest = rest[np.argsort(self.terms[rest], kind="stable")]
+        self.post_row, self.post_weight = rows[rest], self.weights[rest].astype(np.float32)
+        self.post_start = np.concatenate([[0], np.cumsum(np.where(self.place < 0, count, 0))]).astype(np.int64)
+        self.parts = list(range(0, self.size, max(1, min(64, self.size // 256))))
+        self.query = np.zeros(self.width)
+
+    def vector(self, i: int) -> tuple[np.ndarray, np.ndarray]:
+        at = slice(self.start[i], self.start[i + 1])
+        return self.terms[at], self.weights[at]
+
+    def _least(self, score: np.ndarray, k: int) -> np.ndarray:
+        """A bound below each row's k-th best score: the k-th best of the bests of small parts."""
+        most = np.maximum.reduceat(score, self.parts, axis=1)
+        if most.shape[1] < k:
+            return np.full(len(score), -1.0)
+        return np.partition(most, most.shape[1] - k, axis=1)[:, most.shape[1] - k]
 
     def nearest(self, terms, weights, k: int, skip=frozenset()) -> list[tuple[float, int]]:
-        """The k highest cosines (similarity, example), ties to the lower number; blocks that can't hold one are not opened."""
-        bound = np.zeros(self.blocks)
-        mine = [(self.lists[t], q) for t, q in zip(terms, weights) if t in self.lists]
-        for (_, _, number, _, most, _), q in mine:
-            bound[number] += q * most
-        best: list[tuple[float, int]] = []
-        for b in np.argsort(-bound, kind="stable").tolist():
-            if bound[b] <= 0 or len(best) == k and bound[b] < best[-1][0] - 1e-9:
-                break
-            score = np.zeros(self.block)
-            for (at, w, _, start, _, where), q in mine:
-                j = where.get(b)
-                if j is not None:
-                    score[at[start[j] : start[j + 1]] - b * self.block] += q * w[start[j] : start[j + 1]]
-            found = np.flatnonzero(score > 0)
-            if len(best) == k:
-                found = found[score[found] >= best[-1][0] - 1e-12]
-            best += [(round(float(score[i]), 12), int(i) + b * self.block) for i in found if int(i) + b * self.block not in skip]
-            best.sort(key=lambda x: (-x[0], x[1]))
-            del best[k:]
-        return best
+        """The k highest cosines (similarity, example), ties to the lower number."""
+        return self.nearest_of([(terms, weights)], k, [skip])[0]
+
+    def nearest_of(self, queries: list, k: int, skips: list) -> list[list[tuple[float, int]]]:
+        """``nearest`` of each query.  Rounded scores choose candidates with some slack, full vectors decide;
+        blocks that can't reach the k-th best score by postings alone are not opened."""
+        if self.query is None:
+            self._build()
+        if not self.size or not self.width:
+            return [[] for _ in queries]
+        queries = [(np.asarray(t, np.int64), np.asarray(w, float)) for t, w in queries]
+        queries = [(t[t < self.width], w[t < self.width]) for t, w in queries]
+        n, slack = len(queries), 1e-5
+        of = np.repeat(np.arange(n), [len(t) for t, _ in queries])
+        terms, weights = (np.concatenate(x) for x in zip(*queries))
+        place = self.place[terms]
+        dense = np.zeros((n, self.matrix.shape[1]), np.float32)
+        dense[of[place >= 0], place[place >= 0]] = weights[place >= 0]
+        rare, whose, by = terms[place < 0], of[place < 0], weights[place < 0]
+        lengths = self.post_start[rare + 1] - self.post_start[rare]
+        entry = np.repeat(self.post_start[rare] - np.cumsum(lengths) + lengths, lengths) + np.arange(lengths.sum())
+        score = np.bincount(np.repeat(whose * self.size, lengths) + self.post_row[entry], np.repeat(by, lengths) * self.post_weight[entry], n * self.size).astype(float).reshape(n, self.size)
+        for i, skip in enumerate(skips):
+            if skip:
+                score[i, list(skip)] = -2.0
+        floor = self._least(score, k)
+        bound = np.maximum.reduceat(score, self.edges, axis=1) + dense @ self.greatest.T
+        for b, e in enumerate(self.edges):
+            need = np.flatnonzero(bound[:, b] >= floor - slack)
+            if len(need):
+                score[need, e : e + self.block] += dense[need] @ self.matrix[e : e + self.block].T
+        least = self._least(score, k)
+        out = []
+        for i, (t, w) in enumerate(queries):
+            found = np.flatnonzero(score[i] >= max(least[i], 0.0) - slack)
+            if skips[i]:
+                found = found[~np.isin(found, list(skips[i]))]
+            if least[i] <= slack:
+                found = found[score[i, found] > 0]
+            if not len(found):
+                out.append([])
+                continue
+            size = self.start[found + 1] - self.start[found]
+            first = np.cumsum(size) - size
+            entry = np.repeat(self.start[found] - first, size) + np.arange(size.sum())
+            self.query[t] = w
+            exact = np.add.reduceat(self.query[self.terms[entry]] * self.weights[entry], first)
+            self.query[t] = 0.0
+            best = [(round(float(s), 12), int(f)) for s, f in zip(exact, found) if s > 0]
+            out.append(sorted(best, key=lambda x: (-x[0], x[1]))[:k])
+        return out
 
 
 def isotonic(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -116,11 +186,14 @@ def isotonic(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 class Scorer:
-    """What a machine needs to score texts: all parts are bounded by the number of examples."""
+    """What a machine needs to score texts: all parts are bounded by the examples and their words."""
+
+    #: Texts searched together.
+    AT_ONCE = 64
 
     def __init__(self, vocabulary: Vocabulary, ids: list[int], labels: list[int], vectors: list, copies: list[int], k: int):
-        full = [i for i, (t, _) in enumerate(vectors) if t]
-        bare = [i for i, (t, _) in enumerate(vectors) if not t]
+        full = [i for i, (t, _) in enumerate(vectors) if len(t)]
+        bare = [i for i, (t, _) in enumerate(vectors) if not len(t)]
         self.vocabulary, self.k = vocabulary, k
         self.prior = (sum(labels) + 0.5) / (len(labels) + 1) if labels else 0.0
         self.base = (sum(labels[i] for i in bare) + self.prior) / (len(bare) + 1)
@@ -130,40 +203,67 @@ class Scorer:
         of: dict[int, list[int]] = {}
         for n, i in enumerate(full):
             of.setdefault(copies[i], []).append(n)
-        votes = [self.vote(self.index.nearest(*vectors[i], k, frozenset(of[copies[i]]))) for i in full]
-        self.at, self.to = isotonic(np.array(votes), self.labels) if full else (np.zeros(0), np.zeros(0))
+        self.same = [of[copies[i]] for i in full]
+        self.at, self.to = np.zeros(0), np.zeros(0)
         self.seen: dict = {}
 
+    def votes(self, numbers: list[int]) -> list[float]:
+        """Votes on examples by the others, near copies left out."""
+        out = []
+        for j in range(0, len(numbers), self.AT_ONCE):
+            some = numbers[j : j + self.AT_ONCE]
+            out += [self.vote(best) for best in self.index.nearest_of([self.index.vector(i) for i in some], self.k, [self.same[i] for i in some])]
+        return out
+
+    def calibrate(self, votes: list[float]) -> None:
+        if votes:
+            self.at, self.to = isotonic(np.array(votes), self.labels)
+        self.same = None
+
     def vote(self, best: list[tuple[float, int]]) -> float:
         weight = sum(s * s for s, _ in best)
         return (sum(s * s * self.labels[i] for s, i in best) + 0.5 * self.prior) / (weight + 0.5)
 
-    def score(self, text: str | None) -> tuple[float, list[tuple[int, float, int]]]:
-        terms, weights = self.vocabulary.vector(text)
-        if not terms or not len(self.at):
-            return self.base, []
-        key = (terms, weights)
-        if key not in self.seen:
+    def score(self, texts: list[str | None]) -> list[tuple[float, list[tuple[int, float, int]]]]:
+        """Score and nearest examples of each text."""
+        if not len(self.at):
+            return [(self.base, []) for _ in texts]
+        out = []
+        for j in range(0, len(texts), self.AT_ONCE):
+            some = texts[j : j + self.AT_ONCE]
+            keys = [hashlib.blake2b((t or "").encode("utf-8", "surrogatepass"), digest_size=16).digest() for t in some]
             if len(self.seen) > 20_000:
                 self.seen.clear()
-            best = self.index.nearest(terms, weights, self.k)
-            vote = self.vote(best)
-            calibrated = self.to[min(int(np.searchsorted(self.at, vote)), len(self.to) - 1)]
-            self.seen[key] = (float(0.95 * calibrated + 0.05 * vote), [(self.ids[i], s, int(self.labels[i])) for s, i in best[:3]])
-        return self.seen[key]
+            new = {key: self.vocabulary.vector(t) for key, t in dict(zip(keys, some)).items() if key not in self.seen}
+            if new:
+                for key, best in zip(new, self.index.nearest_of(list(new.values()), self.k, [frozenset()] * len(new))):
+                    if not best:
+                        self.seen[key] = (self.base, [])
+                        continue
+                    vote = self.vote(best)
+                    calibrated = self.to[min(int(np.searchsorted(self.at, vote)), len(self.to) - 1)]
+                    self.seen[key] = (float(0.95 * calibrated + 0.05 * vote), [(self.ids[i], s, int(self.labels[i])) for s, i in best[:3]])
+            out += [self.seen[key] for key in keys]
+        return out
+
+
+def one_thread_each(spark) -> None:
+    """Tasks share a machine's cores already; threads of the matrix product would only wait for them."""
+    spark.sparkContext.environment["OPENBLAS_NUM_THREADS"] = "1"
 
 
 def held_out(doc_id: str = "doc_id"):
     return F.coalesce(F.crc32(F.col(doc_id).cast("string")) % 5 == 0, F.lit(False))
 
 
-def fit(docs: DataFrame, labels: DataFrame, examples: int = 16_384, k: int = 15, terms: int = 4_096, least_ratio: float = 30.0, factor: float = 3.0) -> Scorer:
+def fit(docs: DataFrame, labels: DataFrame, examples: int = 16_384, k: int = 15, terms: int = 4_096) -> Scorer:
     """Learn from labelled rows that are not held out.
 
-    ``examples`` bounds the labelled rows used, ``terms`` the vocabulary (the most telling words).
+    ``examples`` bounds the labelled rows used, ``terms`` the stems (the most telling); all words are used.
     Null labels and ids are left out; of several labels of a doc_id the greatest counts.
     """
     reach_workers(docs.sparkSession)
+    one_thread_each(docs.sparkSession)
     known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(examples)
     # At most ``examples`` ids and labels are broadcast, so no text moves.
@@ -181,44 +281,62 @@ def fit(docs: DataFrame, labels: DataFrame, examples: int = 16_384, k: int = 15,
     spelt = staged(sample.select("text", "toxic").mapInArrow(spell, "copy long, toxic int, words array<string>"), "examples")
     sizes = {r["toxic"]: r["n"] for r in spelt.select("copy", "toxic").distinct().groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     n1, n0 = sum(n for y, n in sizes.items() if y), sizes.get(0, 0)
-    idf: dict[str, float] = {}
-    if n1 and n0:
-        counts = spelt.select("copy", "toxic", F.explode("words").alias("word")).distinct().groupBy("word").agg(F.sum(F.when(F.col("toxic") > 0, 1).otherwise(0)).alias("a"), F.sum(F.when(F.col("toxic") > 0, 0).otherwise(1)).alias("b"))
-        a, b = F.col("a").cast("double"), F.col("b").cast("double")
-        lift = ((a + 0.5) / (n1 + 1)) / ((b + 0.5) / (n0 + 1))
-        term = lambda x, rows, cols: F.when(x > 0, x * F.log(x * (n1 + n0) / (rows * cols))).otherwise(0.0)
-        n = float(n1 + n0)
-        ratio = 2 * (term(a, F.lit(float(n1)), a + b) + term(b, F.lit(float(n0)), a + b) + term(n1 - a, F.lit(float(n1)), n - a - b) + term(n0 - b, F.lit(float(n0)), n - a - b))
-        telling = counts.withColumn("ratio", ratio).where((F.col("ratio") >= least_ratio) & ((lift >= factor) | (lift <= 1 / factor)))
-        top = telling.orderBy(F.desc("ratio"), "word").limit(terms).collect()
-        idf = {r["word"]: math.log(1 + (n1 + n0) / (r["a"] + r["b"])) for r in top}
-    vocabulary = Vocabulary(idf)
+    n = float(n1 + n0)
+    counts = spelt.select("copy", "toxic", F.explode("words").alias("word")).distinct().groupBy("word").agg(F.sum(F.when(F.col("toxic") > 0, 1).otherwise(0)).alias("a"), F.sum(F.when(F.col("toxic") > 0, 0).otherwise(1)).alias("b"))
+    a, b = F.col("a").cast("double"), F.col("b").cast("double")
+    term = lambda x, rows, cols: F.when(x > 0, x * F.log(x * n / (rows * cols))).otherwise(0.0)
+    ratio = 2 * (term(a, F.lit(float(n1)), a + b) + term(b, F.lit(float(n0)), a + b) + term(n1 - a, F.lit(float(n1)), n - a - b) + term(n0 - b, F.lit(float(n0)), n - a - b)) if n1 and n0 else F.lit(0.0)
+    known_terms = staged(counts.select("word", (F.log(1 + n / (a + b)) * (1 + F.greatest(ratio, F.lit(0.0)))).alias("weight"), ratio.alias("ratio")), "terms")
+    stem = F.col("word").endswith("*")
+    tables = [known_terms.where(~stem).select("word", "weight").toArrow(), known_terms.where(stem).orderBy(F.desc("ratio"), "word").limit(terms).select("word", "weight").toArrow()]
+    vocabulary = Vocabulary({w: x for t in tables for w, x in zip(t.column(0).to_pylist(), t.column(1).to_pylist())})
+    del tables
+    forget(known_terms)
+    shared = docs.sparkSession.sparkContext.broadcast(vocabulary)
 
     def vectors(batches):
         for batch in batches:
-            got = [vocabulary.vector(t) for t in batch.column(1).to_pylist()]
+            got = [shared.value.vector(t) for t in batch.column(1).to_pylist()]
             copies = [copy_of(t) for t in batch.column(1).to_pylist()]
-            yield pa.record_batch([batch.column(0), batch.column(2), pa.array([list(t) for t, _ in got], pa.list_(pa.int32())), pa.array([list(w) for _, w in got], pa.list_(pa.float64())), pa.array(copies, pa.int64())], ["doc_id", "toxic", "terms", "weights", "copy"])
+            yield pa.record_batch([batch.column(0), batch.column(2), pa.array([t for t, _ in got], pa.list_(pa.int32())), pa.array([w for _, w in got], pa.list_(pa.float64())), pa.array(copies, pa.int64())], ["doc_id", "toxic", "terms", "weights", "copy"])
 
-    rows = sample.select("doc_id", "text", "toxic").mapInArrow(vectors, "doc_id long, toxic int, terms array<int>, weights array<double>, copy long").collect()
-    rows.sort(key=lambda r: (r["doc_id"], r["terms"], r["weights"]))
+    got = sample.select("doc_id", "text", "toxic").mapInArrow(vectors, "doc_id long, toxic int, terms array<int>, weights array<double>, copy long").toArrow()
+    rows = [(i, y, t.values.to_numpy(), w.values.to_numpy(), c) for i, y, t, w, c in zip(got.column("doc_id").to_pylist(), got.column("toxic").to_pylist(), got.column("terms"), got.column("weights"), got.column("copy").to_pylist())]
+    del got
+    rows.sort(key=lambda r: (r[0], r[2].tobytes(), r[3].tobytes()))
     forget(spelt)
-    return Scorer(vocabulary, [r["doc_id"] for r in rows], [int(r["toxic"] > 0) for r in rows], [(tuple(r["terms"]), tuple(r["weights"])) for r in rows], [r["copy"] for r in rows], k)
+    shared.unpersist()
+    scorer = Scorer(vocabulary, [r[0] for r in rows], [int(r[1] > 0) for r in rows], [(r[2], r[3]) for r in rows], [r[4] for r in rows], k)
+    del rows
+    wordless = copy.copy(scorer)
+    wordless.vocabulary = None
+    searched = docs.sparkSession.sparkContext.broadcast(wordless)
+
+    def vote(batches):
+        for batch in batches:
+            yield pa.record_batch([batch.column(0), pa.array(searched.value.votes(batch.column(0).to_pylist()), pa.float64())], ["id", "vote"])
+
+    n = len(scorer.ids)
+    votes = docs.sparkSession.range(0, n, 1, max(1, n // 512)).mapInArrow(vote, "id long, vote double").toArrow().sort_by("id")
+    searched.unpersist()
+    scorer.calibrate(votes.column("vote").to_pylist())
+    return scorer
 
 
 def score_documents(docs: DataFrame, scorer: Scorer) -> DataFrame:
     """doc_id, score, predicted and evidence (nearest examples with similarity and label) of every row, from its text alone.
 
-    Null and empty texts and texts without a telling word get the rate of such examples; with
+    Null and empty texts and texts without a known word get the rate of textless examples, or of all; with
     no labels at all every score is 0.  Null and repeated doc_ids are scored like others.
     """
     reach_workers(docs.sparkSession)
+    one_thread_each(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(scorer)
 
     def score(batches):
         s = shared.value
         for batch in batches:
-            got = [s.score(t) for t in batch.column(1).to_pylist()]
+            got = s.score(batch.column(1).to_pylist())
             value = np.clip([x for x, _ in got], 0.0, 1.0).astype(float)
             proof = [[{"doc_id": i, "similarity": sim, "toxic": y} for i, sim, y in e] for _, e in got]
             kind = pa.list_(pa.struct([("doc_id", pa.int64()), ("similarity", pa.float64()), ("toxic", pa.int32())]))
@@ -230,11 +348,12 @@ def score_documents(docs: DataFrame, scorer: Scorer) -> DataFrame:
 def without_toxic(docs: DataFrame, scorer: Scorer, threshold: float = 0.5) -> DataFrame:
     """The rows of docs, all columns as they are, whose text scores below the threshold."""
     reach_workers(docs.sparkSession)
+    one_thread_each(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(scorer)
     at = docs.columns.index("text")
 
     def keep(batches):
         for batch in batches:
-            yield batch.filter(pa.array([shared.value.score(t)[0] < threshold for t in batch.column(at).to_pylist()], pa.bool_()))
+            yield batch.filter(pa.array([x < threshold for x, _ in shared.value.score(batch.column(at).to_pylist())], pa.bool_()))
 
     return docs.mapInArrow(keep, docs.schema)
