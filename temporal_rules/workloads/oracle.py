@@ -238,3 +238,26 @@ SQL["sweep_counts"] = f"""{W}, {days('hb', 'big', 'cust, supp')}, i as ({islands
  select supp, t::bigint t, n::bigint n from c where (select count(*) from i where i.supp = c.supp and t_start = c.t) <> (select count(*) from i where i.supp = c.supp and t_end = c.t)"""
 SQL["top_intervals"] = f"{BS}, i as ({islands('h', 'supp')}), r as (select *, row_number() over (partition by supp order by t_end - t_start desc, t_start) as rank from i) select supp, t_start, t_end, rank::int as rank from r where rank <= 3"
 SQL["merge_streaming"] = f"{BS} {islands('h', 'supp')}"
+
+#: The operators over every stake, by customer and supplier.
+CS = f"with {STAKE}, {days('h', 'stake', 'cust, supp')}"
+SQL["op_past_sometime_all"] = f"{CS}, {diamond('w', 'h', 'cust, supp', 2, 5)} {islands('w', 'cust, supp')}"
+SQL["op_future_sometime_all"] = f"{CS}, {diamond('w', 'h', 'cust, supp', -5, -2)} {islands('w', 'cust, supp')}"
+SQL["op_past_always_all"] = f"{CS}, {box('w', 'h', 'cust, supp', 3, 12)} {islands('w', 'cust, supp')}"
+SQL["op_future_always_all"] = f"{CS}, {box('w', 'h', 'cust, supp', 3, 12, 1)} {islands('w', 'cust, supp')}"
+SQL["op_shift_all"] = f"{CS}, {diamond('w', 'h', 'cust, supp', 7, 7)} {islands('w', 'cust, supp')}"
+SQL["op_generic_t_all"] = f"{CS}, {diamond('w', 'h', 'cust, supp', -4, 9)} {islands('w', 'cust, supp')}"
+SQL["op_bracket_mix_all"] = f"""with {STAKE}, {cells('h', 'stake', 'cust, supp')}, w as (select distinct cust, supp, unnest(range(case when d % 2 = 0 then d + 1 else d end, d + 7)) d from h) {cell_islands('w', 'cust, supp')}"""
+SQL["chain_diamond_diamond_all"] = f"{CS}, {diamond('w', 'h', 'cust, supp', -2, 2)} {islands('w', 'cust, supp')}"
+SQL["chain_box_box_all"] = f"{CS}, {box('u', 'h', 'cust, supp', 0, 4)}, {box('w', 'u', 'cust, supp', 0, 6, 1)} {islands('w', 'cust, supp')}"
+SQL["chain_box_diamond_all"] = f"{CS}, {diamond('u', 'h', 'cust, supp', 0, 10)}, {box('w', 'u', 'cust, supp', 0, 40)} {islands('w', 'cust, supp')}"
+SQL["chain_box_diamond_earliest_all"] = SQL["chain_box_diamond_unfused_all"] = SQL["chain_box_diamond_all"]
+SQL["chain_diamond_box_all"] = f"{CS}, {box('u', 'h', 'cust, supp', 0, 20)}, {diamond('w', 'u', 'cust, supp', 0, 15)} {islands('w', 'cust, supp')}"
+SQL["coalesce_gap_all"] = f"""{CS}, l as (select cust, supp, d, lag(d) over (partition by cust, supp order by d) p from h),
+ g as (select cust, supp, d, sum(case when p is null or d - p > 11 then 1 else 0 end) over (partition by cust, supp order by d) i from l)
+ select cust, supp, min(d)::bigint t_start, (max(d) + 1)::bigint t_end from g group by cust, supp, i"""
+SQL["merge_hotkey_all"] = f"with {STAKE}, k as (select supp % 2 half, s, e from stake), {days('h', 'k', 'half')} {islands('h', 'half')}"
+SQL["lift_month_all"] = f"""{CS}, m as (select distinct cust, supp, date_trunc('month', date '1995-01-01' + d::int) u from h),
+ z as (select cust, supp, {DAY.format('u')} s, {DAY.format("(u + interval 1 month)")} e from m), {days('q', 'z', 'cust, supp')} {islands('q', 'cust, supp')}"""
+SQL["covered_time_all"] = f"{CS} select cust, supp, count(*)::bigint covered from h group by cust, supp"
+SQL["merge_streaming_all"] = f"{CS} {islands('h', 'cust, supp')}"

@@ -77,16 +77,20 @@ def op_bracket_mix(spark, sf):
     return flagged(unary.sometime_past(b.big_by_supp(spark, sf), Range(0, 3, True, False)))
 
 
-def _chain(*ops, **how):
+def _chain(ops, how):
     return lambda spark, sf: plain(unary.apply_chain(b.big_by_supp(spark, sf), list(ops), **how))
 
 
-QUERIES["chain_diamond_diamond"] = _chain(("past", Range(1, 4)), ("future", Range(2, 3)))
-QUERIES["chain_box_box"] = _chain(("alwayspast", Range(0, 4)), ("alwaysfuture", Range(0, 6)))
-QUERIES["chain_box_diamond"] = _chain(("past", Range(0, 10)), ("alwayspast", Range(0, 40)))
-QUERIES["chain_diamond_box"] = _chain(("alwayspast", Range(0, 20)), ("past", Range(0, 15)))
-QUERIES["chain_box_diamond_earliest"] = _chain(("past", Range(0, 10)), ("alwayspast", Range(0, 40)), placement="earliest")
-QUERIES["chain_box_diamond_unfused"] = _chain(("past", Range(0, 10)), ("alwayspast", Range(0, 40)), placement="always", fuse=False)
+CHAINS = {
+    "chain_diamond_diamond": ((("past", Range(1, 4)), ("future", Range(2, 3))), {}),
+    "chain_box_box": ((("alwayspast", Range(0, 4)), ("alwaysfuture", Range(0, 6))), {}),
+    "chain_box_diamond": ((("past", Range(0, 10)), ("alwayspast", Range(0, 40))), {}),
+    "chain_diamond_box": ((("alwayspast", Range(0, 20)), ("past", Range(0, 15))), {}),
+    "chain_box_diamond_earliest": ((("past", Range(0, 10)), ("alwayspast", Range(0, 40))), {"placement": "earliest"}),
+    "chain_box_diamond_unfused": ((("past", Range(0, 10)), ("alwayspast", Range(0, 40))), {"placement": "always", "fuse": False}),
+}
+for _n, (_ops, _how) in CHAINS.items():
+    QUERIES[_n] = _chain(_ops, _how)
 
 
 @query
@@ -114,6 +118,37 @@ def merge_streaming(spark, sf):
     return plain(merge.stream_states(r, "seq"))
 
 
+# The same operators over every stake, by customer and supplier: by supplier alone most days would be covered.
+def _whole(f):
+    return lambda spark, sf: f(b.pairs(spark, sf, 0))
+
+
+_ALL = {
+    "op_past_sometime": lambda r: plain(unary.sometime_past(r, Range(2, 5))),
+    "op_future_sometime": lambda r: plain(unary.sometime_future(r, Range(2, 5))),
+    "op_past_always": lambda r: plain(unary.always_past(r, Range(3, 12))),
+    "op_future_always": lambda r: plain(unary.always_future(r, Range(3, 12))),
+    "op_shift": lambda r: plain(unary.shift(r, 7)),
+    "op_generic_t": lambda r: plain(unary.shift_ends(merge.coalesce(r), unary.Transform(-4, 9))),
+    "op_bracket_mix": lambda r: flagged(unary.sometime_past(r, Range(0, 3, True, False))),
+    "coalesce_gap": lambda r: merge.coalesce(r, gap=20).to_df(flags=False),
+    "merge_hotkey": lambda r: merge.coalesce_hot(r.with_df(r.df.select(F.pmod("supp", F.lit(2)).alias("half"), LO, HI), ["half"]), 200).to_df(flags=False),
+    "lift_month": lambda r: ag.lift_to_unit(r, "month").to_df(flags=False),
+    "covered_time": lambda r: ag.covered_time(r, ["cust", "supp"]),
+}
+for _n, (_ops, _how) in CHAINS.items():
+    _ALL[_n] = lambda r, ops=_ops, how=_how: plain(unary.apply_chain(r, list(ops), **how))
+for _n, _g in _ALL.items():
+    QUERIES[f"{_n}_all"] = _whole(_g)
+
+
+@query
+def merge_streaming_all(spark, sf):
+    r = b.stake(spark, sf)
+    r = r.with_df(r.df.select("cust", "supp", LO, HI, F.xxhash64("cust", LO, HI, "price").alias("seq")), ["cust", "supp"])
+    return plain(merge.stream_states(r, "seq"))
+
+
 @query
 def session_events(spark, sf):
     e = b.table(spark, sf, "events").select("user_id", F.col("ts").cast("timestamp").alias("ts"))
