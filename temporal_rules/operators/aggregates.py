@@ -2,12 +2,11 @@
 
 from __future__ import annotations
 
-from functools import reduce
-
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..model import HI, LO, POS, TemporalRelation
+from .joins import bucket_join
 from .merge import coalesce
 
 
@@ -34,11 +33,11 @@ def agg_at_each_time(r: TemporalRelation, by: list[str], f: str, value: str | No
     else:
         cuts = r.df.select(*by, F.col(LO).alias("__at")).unionByName(r.df.where(F.col(HI) < POS).select(*by, (F.col(HI) + 1).alias("__at"))).distinct()
         w = Window.partitionBy(*part).orderBy("__at")
-        seg = cuts.select(*by, F.col("__at").alias("__a"), F.coalesce(F.lead("__at").over(w) - 1, F.lit(POS)).alias("__b"))
-        s, q = seg.alias("s"), r.df.alias("q")
-        condition = reduce(lambda x, y: x & y, [F.col(f"s.{k}") == F.col(f"q.{k}") for k in by], (F.col("__a") >= F.col(f"q.{LO}")) & (F.col("__b") <= F.col(f"q.{HI}")))
-        g = s.join(q, condition).groupBy(*(F.col(f"s.{k}").alias(k) for k in by), F.col("__a").alias(LO), F.col("__b").alias(HI))
-        df = g.agg((F.min if f == "min" else F.max)(F.col(f"q.{value}")).alias(out)).select(*by, out, LO, HI)
+        seg = cuts.select(*by, F.col("__at").alias(LO), F.coalesce(F.lead("__at").over(w) - 1, F.lit(POS)).alias(HI))
+        # A stretch meets the facts near it only: both are dealt over buckets of time within the group.
+        facts = r.with_df(r.df.select(*by, F.col(value).alias("__v"), LO, HI), (*by, "__v"))
+        met = bucket_join(r.with_df(seg, by), facts, on=by)
+        df = met.df.groupBy(*by, LO, HI).agg((F.min if f == "min" else F.max)("__v").alias(out)).select(*by, out, LO, HI)
     res = r.with_df(df, (*by, out))
     return coalesce(res) if merge else res
 

@@ -39,25 +39,60 @@ def temporal_join(r: TemporalRelation, s: TemporalRelation, on: list[str], hint:
     return r.with_df(df, keys, r.coalesced and s.coalesced)
 
 
-def bucket_join(r: TemporalRelation, s: TemporalRelation, bucket: int | None = None) -> TemporalRelation:
-    """A join by overlap alone.  Intervals are cut to the span of the other side, dealt over buckets of equal
-    width, and a pair is reported only in the bucket where its intersection starts."""
+def _ends(r: TemporalRelation):
+    finite = (F.col(LO) > NEG) & (F.col(HI) < POS)
+    return r.df.agg(
+        F.min(F.when(F.col(LO) > NEG, F.col(LO))).alias("a"), F.max(F.when(F.col(HI) < POS, F.col(HI))).alias("b"),
+        F.avg(F.when(finite, F.col(HI) - F.col(LO))).alias("m"), F.max(F.when(finite, F.col(HI) - F.col(LO))).alias("most"), F.max((~finite).cast("int")).alias("endless"),
+    ).first()
+
+
+def bucket_join(r: TemporalRelation, s: TemporalRelation, bucket: int | None = None, on: list[str] = ()) -> TemporalRelation:
+    """A join by overlap (and equal ``on``) over buckets of time, in levels.
+
+    An interval lives on the first level at which it spans few buckets (each level's are 64 times wider;
+    the top one is all of time, for endless facts) and also asks on the levels above; a pair is reported
+    only on the higher of its two levels, in the bucket where its intersection starts.  So an interval is copied a few times
+    for each level, however long it is.
+    """
     keys = [*r.keys, *(k for k in s.keys if k not in r.keys)]
-    span = r.df.agg(F.min(F.when(F.col(LO) > NEG, F.col(LO))).alias("a"), F.max(F.when(F.col(HI) < POS, F.col(HI))).alias("b"), F.avg(F.when((F.col(LO) > NEG) & (F.col(HI) < POS), F.col(HI) - F.col(LO))).alias("m")).first()
-    span_s = s.df.agg(F.min(F.when(F.col(LO) > NEG, F.col(LO))).alias("a"), F.max(F.when(F.col(HI) < POS, F.col(HI))).alias("b"), F.avg(F.when((F.col(LO) > NEG) & (F.col(HI) < POS), F.col(HI) - F.col(LO))).alias("m")).first()
+    span, span_s = _ends(r), _ends(s)
+    width = bucket or max(1, int(2 * max(span["m"] or 0, span_s["m"] or 0)) + 1)
+    longest = max(span["most"] or 0, span_s["most"] or 0)
+    widths = [width]
+    while widths[-1] < longest:
+        widths.append(widths[-1] * 64)
+    top = len(widths)
     ends = [x for q in (span, span_s) for x in (q["a"], q["b"]) if x is not None]
-    low, high = (min(ends), max(ends)) if ends else (0, 0)
-    width = bucket or max(1, int(2 * max(span["m"] or 0, span_s["m"] or 0)) + 1, (high - low) // 100_000)
+    low = min(ends) if ends else 0
+
+    def number(c, level: int):
+        return F.floor((c - F.lit(low)) / F.lit(widths[level])).cast("long")
+
+    def at_level(i: int):
+        return lambda x: F.struct(F.lit(i).alias("level"), x.alias("b"))
 
     def dealt(df):
-        a = F.greatest(F.col(LO), F.lit(low - 1))
-        b = F.least(F.col(HI), F.lit(high + 1))
-        return df.withColumn("__b", F.explode(F.when(a <= b, F.sequence(F.floor((a - F.lit(low)) / width).cast("long"), F.floor((b - F.lit(low)) / width).cast("long")))))
+        finite = (F.col(LO) > NEG) & (F.col(HI) < POS)
+        home = F.lit(top)
+        for i in reversed(range(top)):
+            home = F.when(finite & (F.col(HI) - F.col(LO) <= widths[i]), F.lit(i)).otherwise(home)
+        df = df.withColumn("__home", home)
+        spots = [F.when(F.col("__home") <= i, F.transform(F.sequence(number(F.col(LO), i), number(F.col(HI), i)), at_level(i))) for i in range(top)]
+        if span["endless"] or span_s["endless"]:
+            spots.append(F.array(F.struct(F.lit(top).alias("level"), F.lit(0).cast("long").alias("b"))))
+        return df.withColumn("__s", F.explode(F.flatten(F.filter(F.array(*spots), lambda x: x.isNotNull()))))
 
     l, q = dealt(r.df).alias("l"), dealt(s.df).alias("r")
-    start = F.greatest(f"l.{LO}", f"r.{LO}", F.lit(low - 1))
-    home = F.col("l.__b") == F.floor((start - F.lit(low)) / width)
-    df = l.join(q, (F.col("l.__b") == F.col("r.__b")) & _meet("l", "r") & home)
+    start = F.greatest(f"l.{LO}", f"r.{LO}")
+    home = F.lit(0).cast("long")
+    for i in reversed(range(top)):
+        home = F.when(F.col("l.__s.level") == i, number(start, i)).otherwise(home)
+    condition = (F.col("l.__s.level") == F.col("r.__s.level")) & (F.col("l.__s.b") == F.col("r.__s.b")) & _meet("l", "r")
+    condition &= (F.col("l.__s.level") == F.greatest("l.__home", "r.__home")) & (F.col("l.__s.b") == home)
+    for k in on:
+        condition &= F.col(f"l.{k}") == F.col(f"r.{k}")
+    df = l.join(q, condition)
     df = df.select(*(F.col(f"l.{k}").alias(k) for k in r.keys), *(F.col(f"r.{k}").alias(k) for k in s.keys if k not in r.keys), F.greatest(f"l.{LO}", f"r.{LO}").alias(LO), F.least(f"l.{HI}", f"r.{HI}").alias(HI))
     return r.with_df(df, keys, r.coalesced and s.coalesced)
 
@@ -72,21 +107,21 @@ def temporal_join_all(relations: list[TemporalRelation], on: list[list[str]]) ->
 def temporal_minus(r: TemporalRelation, s: TemporalRelation, on: list[str]) -> TemporalRelation:
     """The parts of r's intervals where no fact of s with equal keys holds; one interval may become several.
 
-    s is reduced to its keys and coalesced, turned into its gaps, and joined; facts of r without a
-    partner pass whole.
+    s is reduced to its keys and coalesced, turned into its gaps, and joined once; facts of r whose
+    key s lacks pass whole.  Without keys the gaps are joined over buckets of time.
     """
-    named = {k: k for k in on}
-    other = coalesce(s.select(**named)) if on else coalesce(s.with_df(s.df.select(LO, HI), ()))
     if not on:
-        gaps = gaps_of(other)
-        cut = r.df.select(*r.keys, LO, HI).alias("l").join(gaps.alias("r"), _meet("l", "r"))
-        none = r.df.join(other.df.limit(1).select(F.lit(1).alias("__any")), how="left").where("__any is null").select(*r.keys, LO, HI)
-        cut = cut.select(*(F.col(f"l.{k}").alias(k) for k in r.keys), F.greatest(f"l.{LO}", f"r.{LO}").alias(LO), F.least(f"l.{HI}", f"r.{HI}").alias(HI))
-        return r.with_df(cut.unionByName(none), coalesced=r.coalesced)
-    cut = _joined(r.df, gaps_of(other), on, r.keys, None)
-    seen = other.df.select(*on).distinct()
-    whole = r.df.join(seen, on, "left_anti").select(*r.keys, LO, HI)
-    return r.with_df(cut.unionByName(whole), coalesced=r.coalesced)
+        other = coalesce(s.with_df(s.df.select(LO, HI), ()))
+        cut = bucket_join(r, other.with_df(gaps_of(other), (), True))
+        return r.with_df(cut.df, coalesced=r.coalesced)
+    other = coalesce(s.select(**{k: k for k in on}))
+    l, g = r.df.select(*r.keys, LO, HI).alias("l"), gaps_of(other, marked=True).alias("r")
+    condition = reduce(lambda a, b: a & b, [F.col(f"l.{k}") == F.col(f"r.{k}") for k in on], _meet("l", "r"))
+    # Every key of s has a marked row over all time, so only facts without any partner lack their key there.
+    cut = l.join(g, condition, "left").where("r.__marker is null or not r.__marker")
+    none = F.col("r.__marker").isNull()
+    lo, hi = F.when(none, F.col(f"l.{LO}")).otherwise(F.greatest(f"l.{LO}", f"r.{LO}")), F.when(none, F.col(f"l.{HI}")).otherwise(F.least(f"l.{HI}", f"r.{HI}"))
+    return r.with_df(cut.select(*(F.col(f"l.{k}").alias(k) for k in r.keys), lo.alias(LO), hi.alias(HI)), coalesced=r.coalesced)
 
 
 def temporal_semi(r: TemporalRelation, s: TemporalRelation, on: list[str]) -> TemporalRelation:

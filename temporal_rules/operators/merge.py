@@ -17,24 +17,58 @@ def _islands(df: DataFrame, keys, gap: int) -> DataFrame:
     return df.groupBy(*keys, "__island").agg(F.min(LO).alias(LO), F.max(HI).alias(HI)).drop("__island")
 
 
-def coalesce(r: TemporalRelation, gap: int = 0, force: bool = False) -> TemporalRelation:
+def coalesce(r: TemporalRelation, gap: int = 0, force: bool = False, hot: int | None = None) -> TemporalRelation:
     """Unions of overlapping and adjacent intervals per key: one exchange and one sort on the keys.
 
     ``gap`` also bridges so many missing cells.  A relation known to be coalesced is returned as it is.
+    ``hot`` counts facts per key first and, where a key has more than so many, deals it over buckets of time.
     """
     if r.coalesced and not gap and not force:
         return r
+    if hot and not gap and (bucket := hot_bucket(r, hot)):
+        return coalesce_hot(r, bucket)
     return r.with_df(_islands(r.df.select(*r.keys, LO, HI), r.keys, gap), coalesced=True)
 
 
 def coalesce_hot(r: TemporalRelation, bucket: int) -> TemporalRelation:
-    """For keys with very many facts: first within (key, bucket of the start), then what is left per key.
+    """The same islands where one key has very many facts: no task sees more of a key than a bucket of starts.
 
-    The first pass spreads a key over many tasks; the second sees islands only.
+    Running maxima are taken within (key, bucket of the start); what comes over from earlier buckets
+    is a running maximum over one row for each bucket.
     """
-    df = r.df.withColumn("__bucket", F.expr(f"{LO} div {int(bucket)}"))
-    first = _islands(df, [*r.keys, "__bucket"], 0).drop("__bucket")
-    return r.with_df(_islands(first, r.keys, 0), coalesced=True)
+    keys = [*r.keys, "__bucket"]
+    width = int(bucket)
+    df = r.df.select(*r.keys, LO, HI, F.when(F.col(LO) <= NEG, F.lit(NEG)).otherwise(F.floor(F.col(LO) / width)).cast("long").alias("__bucket"))
+    inner = Window.partitionBy(*keys).orderBy(LO, HI)
+    along = (Window.partitionBy(*r.keys) if r.keys else Window.partitionBy(F.lit(0))).orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
+
+    def carried(d: DataFrame, value, name: str) -> DataFrame:
+        """d with the greatest value of the key's earlier buckets."""
+        top = d.groupBy(*keys).agg(F.max(value).alias("__top"))
+        before = top.select(*keys, F.max("__top").over(along).alias(name))
+        l, q = d.alias("l"), before.alias("q")
+        on = F.col("l.__bucket") == F.col("q.__bucket")
+        for k in r.keys:
+            on &= F.col(f"l.{k}").eqNullSafe(F.col(f"q.{k}"))
+        return l.join(q, on).select("l.*", f"q.{name}")
+
+    df = carried(df, F.col(HI), "__over")
+    reach = F.greatest("__over", F.max(HI).over(inner.rowsBetween(Window.unboundedPreceding, -1)))
+    df = df.withColumn("__start", F.when(reach.isNull() | (F.col(LO) > reach + 1), F.col(LO))).drop("__over")
+    df = carried(df, F.col("__start"), "__from")
+    start = F.greatest("__from", F.max("__start").over(inner.rowsBetween(Window.unboundedPreceding, 0)))
+    df = df.select(*r.keys, start.alias("__island"), HI).groupBy(*r.keys, "__island").agg(F.max(HI).alias(HI))
+    return r.with_df(df.select(*r.keys, F.col("__island").alias(LO), HI), coalesced=True)
+
+
+def hot_bucket(r: TemporalRelation, most: int) -> int | None:
+    """A bucket width at which the largest key's facts are dealt over parts of about ``most``; None where no key has more."""
+    by = [F.col(k) for k in r.keys] or [F.lit(0).alias("__all")]
+    finite = F.when(F.col(LO) > NEG, F.col(LO))
+    top = r.df.groupBy(*by).agg(F.count(F.lit(1)).alias("n"), F.min(finite).alias("a"), F.max(finite).alias("b")).orderBy(F.desc("n")).first()
+    if top is None or top["n"] <= most or top["a"] is None:
+        return None
+    return max(1, (top["b"] - top["a"]) * most // top["n"])
 
 
 def stream_states(r: TemporalRelation, arrival: str) -> TemporalRelation:
@@ -67,18 +101,48 @@ def stream_states(r: TemporalRelation, arrival: str) -> TemporalRelation:
 
 
 def novel(delta: TemporalRelation, known: TemporalRelation) -> TemporalRelation:
-    """What a delta adds to what is known, piece by piece (the change flag of a merge)."""
-    from .joins import temporal_minus
+    """What a delta adds to what is known, piece by piece (the change flag of a merge).
 
-    return temporal_minus(coalesce(delta), known, list(delta.keys))
-
-
-def gaps_of(r: TemporalRelation) -> DataFrame:
-    """The complement per key, from -inf to inf, of a coalesced relation."""
+    Both sides' ends are swept together, so one exchange and one sort on the keys merge the delta and
+    subtract what is known; neither side need be coalesced.
+    """
+    def ends(df: DataFrame, d: int, k: int) -> DataFrame:
+        # An endless fact has no end to sweep; every other one has two.
+        at = F.array(F.struct(F.col(LO).alias("__at"), F.lit(1).alias("__s")), F.struct(F.when(F.col(HI) < POS, F.col(HI) + 1).alias("__at"), F.lit(-1).alias("__s")))
+        out = df.select(*delta.keys, F.inline(at)).where("__at is not null")
+        return out.select(*delta.keys, "__at", (F.col("__s") * d).alias("__d"), (F.col("__s") * k).alias("__k"))
+
+    both = ends(delta.df, 1, 0).unionByName(ends(known.df.toDF(*[*delta.keys, LO, HI]) if known.keys != delta.keys else known.df, 0, 1))
+    part = [F.col(k) for k in delta.keys]
+    dealt = both.repartition(*part) if part else both
+    steps = dealt.groupBy(*delta.keys, "__at").agg(F.sum("__d").alias("__d"), F.sum("__k").alias("__k"))
+    w = Window.partitionBy(*(part or [F.lit(0)])).orderBy("__at")
+    run = w.rowsBetween(Window.unboundedPreceding, 0)
+    seg = steps.select(*delta.keys, F.col("__at").alias(LO), F.coalesce(F.lead("__at").over(w) - 1, F.lit(POS)).alias(HI), ((F.sum("__d").over(run) > 0) & (F.sum("__k").over(run) == 0)).alias("__fresh"))
+    w = Window.partitionBy(*(part or [F.lit(0)])).orderBy(LO)
+    first = F.col("__fresh") & ~F.coalesce(F.lag("__fresh").over(w), F.lit(False))
+    seg = seg.withColumn("__first", first.cast("int")).withColumn("__island", F.sum("__first").over(w.rowsBetween(Window.unboundedPreceding, 0))).where("__fresh")
+    out = seg.groupBy(*delta.keys, "__island").agg(F.min(LO).alias(LO), F.max(HI).alias(HI)).drop("__island")
+    return delta.with_df(out.select(*delta.keys, LO, HI), coalesced=True)
+
+
+def gaps_of(r: TemporalRelation, marked: bool = False) -> DataFrame:
+    """The complement per key, from -inf to inf, of a coalesced relation.
+
+    ``marked`` adds a column __marker and for every key a row over all time where it is true.  Without
+    keys an empty relation has one gap, over all time.
+    """
     part = [F.col(k) for k in r.keys] or [F.lit(0)]
     w = Window.partitionBy(*part).orderBy(LO)
-    df = r.df.withColumn("__next", F.lead(LO).over(w)).withColumn("__first", F.row_number().over(w) == 1)
-    after = df.select(*r.keys, (F.col(HI) + 1).alias("a"), F.coalesce(F.col("__next") - 1, F.lit(POS)).alias("b"), F.col(HI).alias("__h"))
-    before = df.where("__first").select(*r.keys, F.lit(NEG).alias("a"), (F.col(LO) - 1).alias("b"), F.col(LO).alias("__l"))
-    pieces = after.where(f"__h < {POS} and a <= b").drop("__h").unionByName(before.where(f"__l > {NEG}").drop("__l"))
-    return pieces.select(*r.keys, F.col("a").alias(LO), F.col("b").alias(HI))
+    df = r.df.select(*r.keys, LO, HI, F.lead(LO).over(w).alias("__next"), (F.row_number().over(w) == 1).alias("__first"))
+    piece = lambda a, b, when, mark=False: F.when(when, F.struct(a.alias("a"), b.alias("b"), F.lit(mark).alias("__marker")))
+    end = F.coalesce(F.col("__next") - 1, F.lit(POS))
+    pieces = [piece(F.col(HI) + 1, end, (F.col(HI) < POS) & (F.col(HI) + 1 <= end)), piece(F.lit(NEG), F.col(LO) - 1, F.col("__first") & (F.col(LO) > NEG))]
+    if marked:
+        pieces.append(piece(F.lit(NEG), F.lit(POS), F.col("__first"), True))
+    out = df.select(*r.keys, F.explode(F.filter(F.array(*pieces), lambda x: x.isNotNull())).alias("__g"))
+    out = out.select(*r.keys, F.col("__g.a").alias(LO), F.col("__g.b").alias(HI), F.col("__g.__marker").alias("__marker"))
+    if not r.keys:
+        none = r.df.agg(F.count(F.lit(1)).alias("n")).where("n = 0")
+        out = out.unionByName(none.select(F.lit(NEG).alias(LO), F.lit(POS).alias(HI), F.lit(False).alias("__marker")))
+    return out if marked else out.drop("__marker")
