@@ -25,18 +25,39 @@ def pointwise(r: TemporalRelation, op: str, rng: Range) -> DataFrame:
     return moved.groupBy(*r.keys, "cell").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") == b - a + 1).drop("n")
 
 
-def indexed_probe_join(left: list[tuple], right: list[tuple], key_left, key_right):
-    """Join of (payload, lo, hi) rows that indexes the right side while it is scanned the first time: a left row looks
-    in the index first and goes on with the scan only for what may still come.  Single machine, small data."""
-    index: dict = defaultdict(list)
-    rest, done = iter(right), False
+class GrowingIndex:
+    """A source of (payload, lo, hi) rows that is scanned once, and an index over what was scanned so far."""
+
+    def __init__(self, rows, key):
+        self.rows, self.key, self.seen, self.scanned = iter(rows), key, defaultdict(list), 0
+
+    def matches(self, k):
+        """Rows with a key: first those in the index, then, as the scan goes on, those that it meets."""
+        at = 0
+        while True:
+            found = self.seen[k]
+            while at < len(found):
+                yield found[at]
+                at += 1
+            if not self._scan_to(k):
+                return
+
+    def _scan_to(self, k) -> bool:
+        for row in self.rows:
+            self.scanned += 1
+            mine = self.key(row[0])
+            self.seen[mine].append(row)
+            if mine == k:
+                return True
+        return False
+
+
+def indexed_probe_join(left: list[tuple], right: list[tuple] | GrowingIndex, key_left, key_right=None):
+    """Join of (payload, lo, hi) rows with an index that grows while the right side is scanned for the first time: a left
+    row is answered from the index, and the scan goes on only when the consumer asks for more than that.  Single machine, small data."""
+    index = right if isinstance(right, GrowingIndex) else GrowingIndex(right, key_right)
     for p, lo, hi in left:
-        k = key_left(p)
-        if not done:
-            for row in rest:
-                index[key_right(row[0])].append(row)
-            done = True
-        for q, a, b in index.get(k, ()):
+        for q, a, b in index.matches(key_left(p)):
             if max(lo, a) <= min(hi, b):
                 yield p, q, max(lo, a), min(hi, b)
 
@@ -63,9 +84,10 @@ def window_ema(spark, sf: str, n: int, load) -> tuple[DataFrame, dict[str, float
 
 
 def naive_fixpoint(program: str, facts: dict[str, TemporalRelation], predicate: str) -> TemporalRelation:
-    """All rules over everything known in every round, unfused."""
-    return Engine(program, facts, Options(strategy="naive", fuse=False)).query(predicate)
+    """All rules, split into single operators and joins, over everything known in every round; nothing is kept between rounds."""
+    return Engine(program, facts, Options(strategy="naive", fuse=False, canonical=True)).query(predicate)
 
 
 def seminaive_fixpoint(program: str, facts: dict[str, TemporalRelation], predicate: str) -> TemporalRelation:
-    return Engine(program, facts, Options(fuse=False)).query(predicate)
+    """Rounds over what the last one added; all else of a rule is evaluated anew in each."""
+    return Engine(program, facts, Options(fuse=False, static=False)).query(predicate)

@@ -91,16 +91,19 @@ class Range:
 
 @dataclass(frozen=True)
 class TemporalRelation:
-    """Rows of ``keys`` that hold throughout [__lo, __hi]; ``coalesced``: no two rows of a key touch."""
+    """Rows of ``keys`` that hold throughout [__lo, __hi]; ``coalesced``: no two rows of a key touch.
+
+    ``repeats`` (a pattern, see plans.patterns) are facts that hold besides the rows, again and again for ever.
+    """
 
     df: DataFrame
     keys: tuple[str, ...]
     timeline: Timeline = DAYS
     coalesced: bool = False
-    notes: tuple = field(default=(), compare=False)
+    repeats: object = field(default=None, compare=False)
 
     def with_df(self, df: DataFrame, keys=None, coalesced: bool = False) -> "TemporalRelation":
-        return replace(self, df=df, keys=tuple(self.keys if keys is None else keys), coalesced=coalesced)
+        return replace(self, df=df, keys=tuple(self.keys if keys is None else keys), coalesced=coalesced, repeats=None)
 
     def select(self, **named: str | Column) -> "TemporalRelation":
         """Keys by new names; fewer keys, or computed ones, may leave rows that touch."""

@@ -11,16 +11,20 @@ from ..model import HI, LO, NEG, POS, TemporalRelation
 from .merge import coalesce, gaps_of
 
 
+MEET = f"l.{LO} <= r.{HI} and r.{LO} <= l.{HI}"
+
+
 def _meet(l: str, r: str):
     return (F.col(f"{l}.{LO}") <= F.col(f"{r}.{HI}")) & (F.col(f"{r}.{LO}") <= F.col(f"{l}.{HI}"))
 
 
 def _joined(left: DataFrame, right: DataFrame, on, out_keys, hint: str | None) -> DataFrame:
     l, r = left.alias("l"), (right.hint(hint) if hint else right).alias("r")
-    condition = reduce(lambda a, b: a & b, [F.col(f"l.{k}") == F.col(f"r.{k}") for k in on], _meet("l", "r"))
-    lk = [F.col(f"l.{k}").alias(k) for k in out_keys if k in left.columns]
-    rk = [F.col(f"r.{k}").alias(k) for k in out_keys if k not in left.columns]
-    return l.join(r, condition).select(*lk, *rk, F.greatest(f"l.{LO}", f"r.{LO}").alias(LO), F.least(f"l.{HI}", f"r.{HI}").alias(HI))
+    condition = " and ".join([*(f"l.`{k}` = r.`{k}`" for k in on), MEET])
+    own = set(left.columns)
+    lk = [f"l.`{k}`" for k in out_keys if k in own]
+    rk = [f"r.`{k}`" for k in out_keys if k not in own]
+    return l.join(r, F.expr(condition)).selectExpr(*lk, *rk, f"greatest(l.{LO}, r.{LO}) as {LO}", f"least(l.{HI}, r.{HI}) as {HI}")
 
 
 def temporal_join(r: TemporalRelation, s: TemporalRelation, on: list[str], hint: str | None = None, bucket: int | None = None) -> TemporalRelation:

@@ -8,13 +8,20 @@ from pyspark.sql import functions as F
 from ..model import HI, LO, NEG, POS, TemporalRelation
 
 
+def _names(keys) -> str:
+    return "".join(f"`{k}`, " for k in keys)
+
+
 def _islands(df: DataFrame, keys, gap: int) -> DataFrame:
-    w = Window.partitionBy(*[F.col(k) for k in keys]).orderBy(LO, HI) if keys else Window.partitionBy(F.lit(0)).orderBy(LO, HI)
-    reach = F.max(HI).over(w.rowsBetween(Window.unboundedPreceding, -1))
-    fresh = F.when(reach.isNull() | (F.col(LO) > reach + (1 + gap)), 1).otherwise(0)
-    df = df.withColumn("__new", fresh)
-    df = df.withColumn("__island", F.sum("__new").over(w.rowsBetween(Window.unboundedPreceding, 0)))
-    return df.groupBy(*keys, "__island").agg(F.min(LO).alias(LO), F.max(HI).alias(HI)).drop("__island")
+    """One statement: a plan is analysed once, which counts where rounds are many."""
+    k, part = _names(keys), ", ".join(f"`{x}`" for x in keys) or "0"
+    return df.sparkSession.sql(
+        f"""select {k}min({LO}) as {LO}, max({HI}) as {HI} from (
+          select *, sum(__new) over (partition by {part} order by {LO}, {HI} rows between unbounded preceding and current row) as __island from (
+            select {k}{LO}, {HI}, if({LO} <= max({HI}) over (partition by {part} order by {LO}, {HI} rows between unbounded preceding and 1 preceding) + {1 + gap}, 0, 1) as __new from {{df}}))
+        group by {k}__island""",
+        df=df,
+    )
 
 
 def coalesce(r: TemporalRelation, gap: int = 0, force: bool = False, hot: int | None = None) -> TemporalRelation:
@@ -106,24 +113,27 @@ def novel(delta: TemporalRelation, known: TemporalRelation) -> TemporalRelation:
     Both sides' ends are swept together, so one exchange and one sort on the keys merge the delta and
     subtract what is known; neither side need be coalesced.
     """
-    def ends(df: DataFrame, d: int, k: int) -> DataFrame:
+    k, part = _names(delta.keys), ", ".join(f"`{x}`" for x in delta.keys)
+    order = f"partition by {part or '0'} order by"
+    run = "rows between unbounded preceding and current row"
+    own = known.df.toDF(*delta.keys, LO, HI) if known.keys != delta.keys else known.df
+
+    def ends(d: int, n: int, source: str) -> str:
         # An endless fact has no end to sweep; every other one has two.
-        at = F.array(F.struct(F.col(LO).alias("__at"), F.lit(1).alias("__s")), F.struct(F.when(F.col(HI) < POS, F.col(HI) + 1).alias("__at"), F.lit(-1).alias("__s")))
-        out = df.select(*delta.keys, F.inline(at)).where("__at is not null")
-        return out.select(*delta.keys, "__at", (F.col("__s") * d).alias("__d"), (F.col("__s") * k).alias("__k"))
-
-    both = ends(delta.df, 1, 0).unionByName(ends(known.df.toDF(*[*delta.keys, LO, HI]) if known.keys != delta.keys else known.df, 0, 1))
-    part = [F.col(k) for k in delta.keys]
-    dealt = both.repartition(*part) if part else both
-    steps = dealt.groupBy(*delta.keys, "__at").agg(F.sum("__d").alias("__d"), F.sum("__k").alias("__k"))
-    w = Window.partitionBy(*(part or [F.lit(0)])).orderBy("__at")
-    run = w.rowsBetween(Window.unboundedPreceding, 0)
-    seg = steps.select(*delta.keys, F.col("__at").alias(LO), F.coalesce(F.lead("__at").over(w) - 1, F.lit(POS)).alias(HI), ((F.sum("__d").over(run) > 0) & (F.sum("__k").over(run) == 0)).alias("__fresh"))
-    w = Window.partitionBy(*(part or [F.lit(0)])).orderBy(LO)
-    first = F.col("__fresh") & ~F.coalesce(F.lag("__fresh").over(w), F.lit(False))
-    seg = seg.withColumn("__first", first.cast("int")).withColumn("__island", F.sum("__first").over(w.rowsBetween(Window.unboundedPreceding, 0))).where("__fresh")
-    out = seg.groupBy(*delta.keys, "__island").agg(F.min(LO).alias(LO), F.max(HI).alias(HI)).drop("__island")
-    return delta.with_df(out.select(*delta.keys, LO, HI), coalesced=True)
+        return f"select {k}inline(array(struct({LO} as __at, {d} as __d, {n} as __k), struct(if({HI} < {POS}, {HI} + 1, null) as __at, {-d} as __d, {-n} as __k))) from {{{source}}}"
+
+    # Ties leave pieces of no length, so the ends need not be summed up first; one order serves all three windows.
+    out = delta.df.sparkSession.sql(
+        f"""select {k}min(__at) as {LO}, max({HI}) as {HI} from (
+          select *, sum(if(__fresh and not __before, 1, 0)) over ({order} __at {run}) as __island from (
+            select *, lag(__fresh, 1, false) over ({order} __at) as __before from (
+              select {k}__at, coalesce(lead(__at) over ({order} __at) - 1, {POS}) as {HI}, sum(__d) over ({order} __at {run}) > 0 and sum(__k) over ({order} __at {run}) = 0 as __fresh
+              from (select {f'/*+ repartition({part}) */ ' if part else ''}* from ({ends(1, 0, 'delta')} union all {ends(0, 1, 'known')}) where __at is not null))
+            where __at <= {HI}))
+        where __fresh group by {k}__island""",
+        delta=delta.df, known=own,
+    )
+    return delta.with_df(out, coalesced=True)
 
 
 def gaps_of(r: TemporalRelation, marked: bool = False) -> DataFrame:

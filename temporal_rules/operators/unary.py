@@ -38,13 +38,15 @@ def _close_end(c: Column) -> Column:
 @dataclass(frozen=True)
 class Transform:
     """Both ends moved by whole ticks.  ``widen``: an open end of the operator opens the result's end;
-    otherwise (always-operators) it closes it.  None is an unbounded move."""
+    otherwise (always-operators) it closes it.  None is an unbounded move.  ``merged``: its input was merged
+    over the gaps that it closes, so it leaves no touching facts."""
 
     start: int | None
     end: int | None
     start_open: bool = False
     end_open: bool = False
     widen: bool = True
+    merged: bool = False
 
     @property
     def grows(self) -> bool:

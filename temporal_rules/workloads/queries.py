@@ -302,7 +302,8 @@ def covered_time(spark, sf):
 # Ownership: recursion with sometime, always, negation and aggregation.
 def _own(rule: str, options: Options = Options()):
     def run(spark, sf):
-        facts = {"seed": b.seed(spark, sf), "big": b.big(spark, sf), "linked": b.linked(spark, sf), "stake": b.stake(spark, sf), "held": b.pairs(spark, sf, 0), "exempt": b.exempt(spark, sf)}
+        make = {"seed": b.seed, "big": b.big, "linked": b.linked, "stake": b.stake, "held": lambda *at: b.pairs(*at, 0), "exempt": b.exempt}
+        facts = {p: f(spark, sf) for p, f in make.items() if p == "seed" or f" {p}(" in rule}
         return Engine("watch(Z) :- seed(Z).\n" + rule, facts, options).query("watch", ["supp"]).to_df(flags=False)
 
     return run

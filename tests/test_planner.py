@@ -44,7 +44,7 @@ def test_graphs_give_what_the_runtime_gives(spark, facts):
         assert got(Engine(program, facts, Options(hints=frozenset({"input", "union"}))).query(goal)) == want
     d = planner.variants(planner.compile_logical(program, "d"))
     merges = {k: sum(n.kind == "Merge" for n in v.walk()) for k, v in d.items()}
-    assert merges["minimal"] == 1 and merges["always"] > merges["hinted"] > merges["minimal"] and "Temporal" in d["minimal"].text()
+    assert merges["minimal"] == 1 and merges["always"] > merges["hinted"] > merges["minimal"] and "Move" in d["minimal"].text()
     stats = {p: planner.sample_stats(r, 1) for p, r in facts.items()}
     name, plan = planner.choose(planner.compile_logical(program, "d"), stats)
     assert got(planner.to_relation(plan, facts)) == got(Engine(program, facts).query("d")) and stats["b"].islands <= stats["b"].rows == 40
