@@ -81,12 +81,13 @@ def hot_bucket(r: TemporalRelation, most: int) -> int | None:
 def stream_states(r: TemporalRelation, arrival: str) -> TemporalRelation:
     """The streaming strategy in batch form: every fact in order of arrival is merged with what its key has
     seen and the grown interval is forwarded at once, so results may be subsumed by later ones."""
+    import numpy as np
     import pyarrow as pa
 
     keys, names = list(r.keys), [*r.keys, LO, HI]
 
     def grow(table):
-        order = sorted(range(table.num_rows), key=lambda i: table.column(arrival)[i].as_py())
+        order = np.argsort(table.column(arrival).to_numpy(), kind="stable")
         lo, hi = table.column(LO).to_pylist(), table.column(HI).to_pylist()
         seen: list[tuple[int, int]] = []
         out = []

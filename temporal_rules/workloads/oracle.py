@@ -73,7 +73,7 @@ PAIR = "p as (select distinct a.cust c1, a.supp, b.cust c2, a.d from hb a join h
 SQL["temporal_join"] = f"{W}, {days('hb', 'big', 'cust, supp')}, {PAIR} {islands('p', 'c1, supp, c2')}"
 SQL["temporal_join3"] = f"{W}, {EXEMPT}, {days('hb', 'big', 'cust, supp')}, {PAIR}, q as (select p.* from p join exempt x on p.supp = x.supp and d >= x.s and d < x.e) {islands('q', 'c1, supp, c2')}"
 SQL["matinee"] = """with g as (select event_id, user_id, epoch_us(ts) s, epoch_us(ts) + 7200000000 e from events where event_type = 'click'),
- w as (select x as day, 1704067200000000 + x * 86400000000 + 50400000000 s, 1704067200000000 + x * 86400000000 + 57600000000 e from (select unnest(range(0, 31)) x))
+ w as (select x as day, 1704067200000000 + x * 86400000000 + 50400000000 s, 1704067200000000 + x * 86400000000 + 57600000000 e from (select unnest(range(0, (select max(date_diff('day', date '2024-01-01', ts::date)) + 2 from events))) x))
  select event_id, user_id, day::bigint as day, greatest(g.s, w.s)::bigint t_start, least(g.e, w.e)::bigint t_end from g join w on g.s < w.e and w.s < g.e"""
 SQL["temporal_join_theta"] = f"""{BS}, o as (select s_suppkey other, s_suppkey * 17 % 2000 s from supplier),
  p as (select supp, other, d from h join o on d >= o.s and d < o.s + 25) {islands('p', 'supp, other')}"""
@@ -94,7 +94,7 @@ SQL["conv_until"] = f"""with {CONV}, t as (select distinct conv_id, turn - x d,
  q as (select distinct conv_id, d from t where not exists (select 1 from (select unnest(range(d + 1, s)) r) where r not in (select turn from a where a.conv_id = t.conv_id))) {islands('q', 'conv_id', '', 'max(d)')}"""
 CALM = """with ev as (select user_id, event_type, value, (epoch_us(ts) - 1704067200000000) // 3600000000 h from events),
  hr as (select user_id, h, max(value) v from ev group by user_id, h),
- nx as (select user_id, h s, coalesce(lead(h) over (partition by user_id order by h), 720) e, v from hr),
+ nx as (select user_id, h s, coalesce(lead(h) over (partition by user_id order by h), h + 24) e, v from hr),
  c as (select distinct user_id, unnest(range(2 * s, 2 * e)) d from nx where v < 150),
  ci as (select user_id, min(d) a, max(d) z from (select user_id, d, d - row_number() over (partition by user_id order by d) g from c) group by user_id, g),
  b as (select distinct user_id, h from ev where event_type = 'signup')"""
@@ -130,14 +130,16 @@ SQL["own_negation"] = own(DIAMOND_EDGE, "e.supp <> l.supp and not exists (select
 SQL["own_diamond"] = own(DIAMOND_EDGE)
 for p in ("minimal", "earliest", "always"):
     SQL[f"own_box_{p}"] = own(box("e", "hs", "cust, supp", 0, 20))
+for p in ("minimal", "earliest", "always", "auto"):
+    SQL[f"own_wide_{p}"] = own(f"{diamond('u', 'hs', 'cust, supp', 0, 10)}, {box('e', 'u', 'cust, supp', 0, 40)}")
 SQL["own_aggregation"] = f"with {STAKE}, {days('h', 'stake', 'cust, supp, price')}, v as (select supp, d from h group by supp, d having sum(price) > 400000) {islands('v', 'supp')}"
 
 STEADY = f"""pl as (select o_custkey cust, {DAY.format('o_orderdate')} d0 from orders),
  ac as (select distinct cust, unnest(range(2 * d0, 2 * d0 + 61)) d from pl),
  ai as (select cust, min(d) a, max(d) z from (select cust, d, d - row_number() over (partition by cust order by d) g from ac) group by cust, g),
  st as (select cust, unnest(range(a + 120, z + 1)) d from ai)"""
-SQL["hier_nonrec"] = f"with {STEADY} {cell_islands('st', 'cust')}"
-SQL["hier_regions"] = f"""with {STEADY}, q as (select distinct n_regionkey::bigint region, d from st join customer on cust = c_custkey join nation on c_nationkey = n_nationkey) {cell_islands('q', 'region')}"""
+SQL["hier_steady"] = f"with {STEADY} {cell_islands('st', 'cust')}"
+SQL["hier_nonrec"] = f"""with {STEADY}, q as (select distinct n_regionkey::bigint region, d from st join customer on cust = c_custkey join nation on c_nationkey = n_nationkey) {cell_islands('q', 'region')}"""
 SQL["hier_rec"] = """with recursive e as (select 'c' || c_custkey x, 'n' || c_nationkey y from customer union select 'n' || n_nationkey, 'r' || n_regionkey from nation),
  m(x, y) as (select x, y from e union select m.x, e.y from m join e on m.y = e.x)
  select x, y, null::bigint t_start, null::bigint t_end, true start_open, true end_open from m"""
@@ -176,10 +178,16 @@ MOVED = f"{W}, mv as (select cust, supp, s + 5 s, e + 5 e from linked), {days('h
 SQL["gen_union"] = f"{MOVED}, q as (select * from ha union select * from hc) {islands('q', 'cust, supp')}"
 SQL["gen_intersection"] = f"{MOVED}, q as (select * from ha intersect select * from hc) {islands('q', 'cust, supp')}"
 
-SQL["report_cause"] = f"""with v as (select {DAY.format('l_shipdate')} d, sum(l_extendedprice * (1 - l_discount)) v from lineitem group by 1),
- h as (select d from v where v > (select quantile_cont(v, 0.9) from v)), r as (select distinct 30 * x + y d from (select unnest(range(0, 200)) x), (select unnest(range(0, 2)) y))
- select d::bigint d, 1 kind, d::bigint t_start, d::bigint t_end, false start_open, false end_open from h where d in (select d from r)"""
+SHIPPED = f"""with v as (select {DAY.format('l_shipdate')} d, sum(l_extendedprice * (1 - l_discount)) v from lineitem group by 1),
+ h as (select d from v where v > (select quantile_cont(v, 0.9) from v)), r as (select distinct 30 * x + y d from (select unnest(range(0, 200)) x), (select unnest(range(0, 4)) y))"""
+SQL["report_cause"] = f"{SHIPPED} select d::bigint d, 1 kind, d::bigint t_start, d::bigint t_end, false start_open, false end_open from h where d in (select d from r)"
+SQL["pattern_minus_rules"] = f"{SHIPPED} select d::bigint d, d::bigint t_start, d::bigint t_end, false start_open, false end_open from h where d not in (select d from r)"
+SQL["pattern_rules"] = f"""with x as (select unnest(range(0, 200)) x), r as (select distinct 60 * x + y c from x, (select unnest(range(0, 3)) y)), a as (select distinct 14 * x + y c from x, (select unnest(range(0, 5)) y)),
+ l as (select distinct 60 * x + y c from x, (select unnest(range(2, 9)) y)),
+ q as (select 1 kind, c d from r where c in (select c from a) union select 1, c from l), z as (select kind, d from q where d between 0 and 800) {cell_islands('z', 'kind')}"""
+SQL["pattern_answer"] = "select 1 kind, 30::bigint as every, -2::bigint t_start, 0::bigint t_end, false start_open, false end_open"
 SQL["weekday_orders"] = f"select ({DAY.format('o_orderdate')} % 7)::bigint dow, o_orderpriority, count(*)::bigint n from orders group by 1, 2"
+SQL["weekday_rules"] = SQL["weekday_orders"]
 SQL["pattern_unroll"] = "select n_nationkey::bigint k, (n_nationkey + 31 * x)::bigint t_start, (n_nationkey + 31 * x + 2)::bigint t_end from nation, (select unnest(range(0, 10)) x) where n_nationkey + 31 * x < 200"
 SQL["constant_reach"] = """with f as (select user_id, min((epoch_us(ts) - 1704067200000000) // 3600000000) h from events where event_type = 'error' group by user_id)
  select user_id, h::bigint t_start, h::bigint t_end, false start_open, false end_open from f
@@ -207,6 +215,7 @@ SQL["ts_ema"] = f"""with recursive {DAILY}, r as (select *, row_number() over (p
  union all select r.l_returnflag, r.l_linestatus, r.i, r.t, 2.0::double / 11 * r.v + (1 - 2.0::double / 11) * e.y from e join r on r.l_returnflag = e.l_returnflag and r.l_linestatus = e.l_linestatus and r.i = e.i + 1)
  select {K}, t, round(y, 2) v from e"""
 SQL["ts_ema_blocks"] = SQL["ts_ema"]
+SQL["ts_ema_rules"] = SQL["ts_ema"]
 SQL["ts_stock_to_flow"] = f"with {DAILY} select a.l_returnflag, a.l_linestatus, a.t, round(a.v - b.v, 4) v from s a join s b on {SELF} and b.t = a.t - 1"
 SQL["ts_flow_to_stock"] = f"with {DAILY} select {K}, t, round(sum(v) over (partition by {K} order by t), 4) v from s"
 SQL["ts_downsample"] = f"with {DAILY} select {K}, (t // 30)::bigint t, round(avg(v), 2) v from s group by all"
@@ -217,6 +226,7 @@ SQL["ts_residual"] = f"with {DAILY}, {TREND} select de.l_returnflag, de.l_linest
 ORD = f"o as (select o_orderpriority priority, {DAY.format('o_orderdate')} t, count(*)::double v from orders group by 1, 2)"
 WEEK = f"{ORD}, w as (select priority, (t // 7) * 7 t, sum(v) v from o group by 1, 2), n as (select *, lead(t) over (partition by priority order by t) nt, lead(v) over (partition by priority order by t) nv from w), z as (select *, unnest(range(t, coalesce(nt, t + 1))) z from n)"
 SQL["ts_upsample"] = f"with {WEEK} select priority, z::bigint t, round(case when z = t then v else v + (nv - v) * (z - t) / (nt - t) end, 4) v from z"
+SQL["ts_upsample_rules"] = f"with {WEEK.replace('coalesce(nt, t + 1)', 'case when nt = t + 7 then nt else t + 1 end')} select priority, z::bigint t, round(case when z = t then v else v + (nv - v) * (z - t) / (nt - t) end, 4) v from z"
 SQL["ts_upsample_hold"] = f"with {WEEK} select priority, z::bigint t, round(v, 4) v from z"
 SQL["ts_rolling_rules"] = f"with {ORD} select a.priority, a.t::bigint t, sum(b.v) v from o a join o b on a.priority = b.priority and b.t between a.t - 2 and a.t group by 1, 2 having count(*) = 3"
 SQL["ts_frequency"] = f"with {ORD}, d as (select priority, t - lag(t) over (partition by priority order by t) d from o) select priority, min(d)::bigint as least, max(d)::bigint as most, coalesce(min(d) = max(d), true) regular from d group by priority"
@@ -237,8 +247,25 @@ SQL["sweep_counts"] = f"""{W}, {days('hb', 'big', 'cust, supp')}, i as ({islands
  c as (select x.supp, x.t, (select count(*) from i where i.supp = x.supp and t_start <= x.t and x.t < t_end) n, (select count(*) from i where i.supp = x.supp and t_start <= x.t - 1 and x.t - 1 < t_end) p from x)
  select supp, t::bigint t, n::bigint n from c where (select count(*) from i where i.supp = c.supp and t_start = c.t) <> (select count(*) from i where i.supp = c.supp and t_end = c.t)"""
 SQL["top_intervals"] = f"{BS}, i as ({islands('h', 'supp')}), r as (select *, row_number() over (partition by supp order by t_end - t_start desc, t_start) as rank from i) select supp, t_start, t_end, rank::int as rank from r where rank <= 3"
-SQL["merge_streaming"] = f"{BS} {islands('h', 'supp')}"
 
+
+def states(keys: str, source: str) -> str:
+    """Islands of every prefix of a key's facts by price that the latest fact changed: the island that it is in."""
+    k = keys.replace(" ", "").split(",")
+    on = " and ".join(f"a.{x} = f.{x}" for x in k)
+    part = ", ".join(k)
+    return f"""f0 as (select {part}, 2 * s lo, 2 * e - 1 hi, min(price) price from {source} group by all), f as (select *, row_number() over (partition by {part} order by price, lo, hi) i from f0),
+ p as (select {', '.join('f.' + x for x in k)}, f.i, f.lo flo, f.hi fhi, a.lo, a.hi, max(a.hi) over (partition by {', '.join('f.' + x for x in k)}, f.i order by a.lo, a.hi rows between unbounded preceding and 1 preceding) m from f join f a on {on} and a.i <= f.i),
+ g as (select *, sum(case when m is null or lo > m + 1 then 1 else 0 end) over (partition by {part}, i order by lo, hi rows between unbounded preceding and current row) n from p),
+ w as (select {part}, i, flo, fhi, n, min(lo) a, max(hi) b from g group by all), now as (select * from w where a <= flo and fhi <= b),
+ c as (select {', '.join('now.' + x for x in k)}, now.i, a, b, flo, fhi from now),
+ old as (select {', '.join('c.' + x for x in k)}, c.i, c.a, c.b, exists (select 1 from now o where {' and '.join(f'o.{x} = c.{x}' for x in k)} and o.i < c.i and o.a <= c.flo and c.fhi <= o.b) covered from c)
+ select {part}, (a >> 1)::bigint t_start, ((b + 1) >> 1)::bigint t_end from old where not covered"""
+
+
+SQL["merge_streaming"] = f"{W}, k as (select * from stake where price > 94700), {states('supp', 'k')}"
+SQL["wrap_rules"] = f"""with {STAKE}, {days('h', 'stake', 'cust, supp')}, i as ({islands('h', 'cust, supp')}),
+ x as (select sha256(concat_ws('|', 'deal', 'D', cust, supp, t_start, t_end)) deal, cust, t_start s, t_end + 5 e from i where t_end - t_start > 45), {days('q', 'x', 'deal, cust')} {islands('q', 'deal, cust')}"""
 #: The operators over every stake, by customer and supplier.
 CS = f"with {STAKE}, {days('h', 'stake', 'cust, supp')}"
 SQL["op_past_sometime_all"] = f"{CS}, {diamond('w', 'h', 'cust, supp', 2, 5)} {islands('w', 'cust, supp')}"
@@ -260,4 +287,4 @@ SQL["merge_hotkey_all"] = f"with {STAKE}, k as (select supp % 2 half, s, e from
 SQL["lift_month_all"] = f"""{CS}, m as (select distinct cust, supp, date_trunc('month', date '1995-01-01' + d::int) u from h),
  z as (select cust, supp, {DAY.format('u')} s, {DAY.format("(u + interval 1 month)")} e from m), {days('q', 'z', 'cust, supp')} {islands('q', 'cust, supp')}"""
 SQL["covered_time_all"] = f"{CS} select cust, supp, count(*)::bigint covered from h group by cust, supp"
-SQL["merge_streaming_all"] = f"{CS} {islands('h', 'cust, supp')}"
+SQL["merge_streaming_all"] = f"with {STAKE}, {states('cust, supp', 'stake')}"

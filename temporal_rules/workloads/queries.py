@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import timeseries as ts
-from ..model import HI, LO, MICROS, Range, TemporalRelation, points, relation, timeless
+from ..model import HI, LO, MICROS, STEPS, Range, TemporalRelation, points, relation, timeless
 from ..operators import aggregates as ag
 from ..operators import binary, joins, merge, unary
 from ..plans.patterns import PatternRelation, pattern_join
@@ -112,10 +112,15 @@ def merge_hotkey(spark, sf):
 
 @query
 def merge_streaming(spark, sf):
-    """The last states of the streaming strategy are the islands of the blocking one."""
+    """Every state that the streaming strategy forwards, facts arriving by price: partial results and what subsumes them."""
     r = b.stake(spark, sf, b.BIG)
-    r = r.with_df(r.df.select("supp", LO, HI, F.xxhash64("cust", LO, HI, "price").alias("seq")), ["supp"])
-    return plain(merge.stream_states(r, "seq"))
+    return merge.stream_states(_by_price(r, ["supp"]), "seq").to_df(flags=False)
+
+
+def _by_price(r: TemporalRelation, keys: list[str]) -> TemporalRelation:
+    seen = r.df.groupBy(*keys, LO, HI).agg(F.min("price").alias("price"))
+    order = Window.partitionBy(*keys).orderBy("price", LO, HI)
+    return r.with_df(seen.select(*keys, LO, HI, F.row_number().over(order).alias("seq")), keys)
 
 
 # The same operators over every stake, by customer and supplier: by supplier alone most days would be covered.
@@ -145,8 +150,7 @@ for _n, _g in _ALL.items():
 @query
 def merge_streaming_all(spark, sf):
     r = b.stake(spark, sf)
-    r = r.with_df(r.df.select("cust", "supp", LO, HI, F.xxhash64("cust", LO, HI, "price").alias("seq")), ["cust", "supp"])
-    return plain(merge.stream_states(r, "seq"))
+    return merge.stream_states(_by_price(r, ["cust", "supp"]), "seq").to_df(flags=False)
 
 
 @query
@@ -176,8 +180,10 @@ def temporal_join3(spark, sf):
     return plain(got.where("c1 < c2"))
 
 
-def _windows(spark, days: int = 31) -> TemporalRelation:
-    w = spark.range(days).select((F.col("id") * 24 * b.HOUR + 14 * b.HOUR + 1704067200000000).alias("s"), (F.col("id") * 24 * b.HOUR + 16 * b.HOUR + 1704067200000000).alias("e"), F.col("id").alias("day"))
+def _windows(spark, sf) -> TemporalRelation:
+    """A window a day, from 2024 on, to the day after the last event."""
+    last = b.table(spark, sf, "events").agg(F.max(F.datediff(F.col("ts").cast("date"), F.lit("2024-01-01").cast("date")))).first()[0]
+    w = spark.range((last or 0) + 2).select((F.col("id") * 24 * b.HOUR + 14 * b.HOUR + 1704067200000000).alias("s"), (F.col("id") * 24 * b.HOUR + 16 * b.HOUR + 1704067200000000).alias("e"), F.col("id").alias("day"))
     return relation(w, ["day"], "s", "e", MICROS)
 
 
@@ -185,7 +191,7 @@ def _windows(spark, days: int = 31) -> TemporalRelation:
 def matinee(spark, sf):
     e = b.table(spark, sf, "events").where("event_type = 'click'").select("event_id", "user_id", F.expr("unix_micros(cast(ts as timestamp))").alias("at"))
     goes = relation(e, ["event_id", "user_id"], F.col("at"), F.col("at") + 2 * b.HOUR, MICROS)
-    return joins.temporal_join(goes, _windows(spark), []).to_df(flags=False)
+    return joins.temporal_join(goes, _windows(spark, sf), []).to_df(flags=False)
 
 
 @query
@@ -240,7 +246,8 @@ def conv_until(spark, sf):
 def _calm(spark, sf):
     h = b.hourly(spark, sf)
     w = Window.partitionBy("user_id").orderBy("h")
-    hours = h.groupBy("user_id", "h").agg(F.max("value").alias("v")).withColumn("n", F.coalesce(F.lead("h").over(w), F.lit(720)))
+    # A last reading counts for a day.
+    hours = h.groupBy("user_id", "h").agg(F.max("value").alias("v")).withColumn("n", F.coalesce(F.lead("h").over(w), F.col("h") + 24))
     calm = relation(hours.where("v < 150"), ["user_id"], "h", "n", b.HOURS)
     return calm, points(h.where("event_type = 'signup'").select("user_id", "h").distinct(), ["user_id"], "h", b.HOURS)
 
@@ -321,6 +328,12 @@ for _p in ("minimal", "earliest", "always"):
     QUERIES[f"own_box_{_p}"] = _own(OWN_BOX, Options(placement=_p))
 
 
+# A box over a diamond: three plans for the three placements of the merge.
+OWN_WIDE = "watch(Z) :- watch(Y), alwayspast[0,40] past[0,10] held(X, Y), linked(X, Z)."
+for _p in ("minimal", "earliest", "always", "auto"):
+    QUERIES[f"own_wide_{_p}"] = _own(OWN_WIDE, Options(placement=_p))
+
+
 @query
 def own_aggregation(spark, sf):
     rule = "heavy(S) :- stake(C, S, P), T = sum(P), T > 400000."
@@ -346,12 +359,13 @@ def _hier_facts(spark, sf):
 
 @query
 def hier_nonrec(spark, sf):
-    return Engine(HIER, _hier_facts(spark, sf)).query("steady", ["cust"]).to_df()
+    """All six rules, up to the regions."""
+    return Engine(HIER, _hier_facts(spark, sf)).query("hot", ["region"]).to_df()
 
 
 @query
-def hier_regions(spark, sf):
-    return Engine(HIER, _hier_facts(spark, sf)).query("hot", ["region"]).to_df()
+def hier_steady(spark, sf):
+    return Engine(HIER, _hier_facts(spark, sf)).query("steady", ["cust"]).to_df()
 
 
 @query
@@ -430,16 +444,63 @@ def generated(spark, n: int, program: str, seed: int = 1) -> DataFrame:
 
 
 # Patterns.
+def _shipped(spark, sf):
+    """Shipped value by day, and its 90 % quantile as a timeless fact."""
+    d = b.table(spark, sf, "lineitem").groupBy(b.day("l_shipdate").alias("d")).agg(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))).alias("v"))
+    first = relation(spark.range(1).select(F.lit(0).alias("s"), F.lit(1).alias("e"), F.lit(1).alias("kind")), ["kind"], "s", "e", end_open=False)
+    return {"change": points(d, ["d", "v"], "d"), "usual": timeless(d.agg(F.percentile("v", F.lit(0.9)).alias("k")), ["k"]), "first": first}
+
+
+# A report every 30 days, lasting a day; days of very high shipments that follow one by at most two days.
+REPORT = """
+report(K) :- first(K).
+report(K) :- past[30,30] report(K).
+event(D) :- change(D, V), usual(U), V > U.
+"""
+
+
 @query
 def report_cause(spark, sf):
-    """Days of very high shipments that fall on a report of every 30th day and the day after."""
-    l = b.table(spark, sf, "lineitem")
-    d = l.groupBy(b.day("l_shipdate").alias("d")).agg(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))).alias("v"))
-    k = d.agg(F.percentile("v", F.lit(0.9)).alias("k"))
-    high = points(d.join(k, F.col("v") > F.col("k")).select("d"), ["d"], "d")
-    first = relation(spark.range(1).select(F.lit(0).alias("s"), F.lit(1).alias("e"), F.lit(1).alias("kind")), ["kind"], "s", "e", end_open=False)
-    e = Engine("report(K) :- first(K). report(K) :- past[30,30] report(K).", {"first": first}).run()
-    return pattern_join(e.patterns["report"], high, []).select(d="d", kind="c0").to_df()
+    rules = REPORT + "cause(D, K) :- event(D), past[0,2] report(K)."
+    return Engine(rules, _shipped(spark, sf)).query("cause", ["d", "kind"]).to_df()
+
+
+@query
+def pattern_minus_rules(spark, sf):
+    """High days that no report explains: negation over facts that repeat for ever."""
+    rules = REPORT + "other(D) :- event(D), not past[0,2] report(K2)."
+    return Engine(rules.replace("K2", "_"), _shipped(spark, sf)).query("other", ["d"]).to_df()
+
+
+@query
+def pattern_rules(spark, sf):
+    """Two patterns joined, and an always-operator over one: the answers repeat for ever and are shown for 400 days."""
+    rules = REPORT + """
+    audit(K) :- first(K).
+    audit(K) :- past[7,7] audit(K).
+    both(K) :- report(K), past[0,1] audit(K).
+    lasting(K) :- alwayspast[0,1] past[0,3] report(K).
+    busy(K) :- both(K).
+    busy(K) :- lasting(K).
+    """
+    facts = {"first": _shipped(spark, sf)["first"], "change": _shipped(spark, sf)["change"], "usual": _shipped(spark, sf)["usual"]}
+    return Engine(rules, facts).query("busy", ["kind"], between=(0, 400)).to_df()
+
+
+@query
+def pattern_answer(spark, sf):
+    """The unbounded answer: rows that hold once and rows that hold again every so many days."""
+    return Engine(REPORT + "soon(K) :- future[1,2] report(K).", _shipped(spark, sf)).query("soon", ["kind"]).to_df()
+
+
+@query
+def weekday_rules(spark, sf):
+    """Orders by the weekday that they meet, where every weekday is derived from its first one by a rule."""
+    w = relation(spark.range(7).select(F.col("id").alias("dow")), ["dow"], F.col("dow"), F.col("dow") + 1)
+    o = b.table(spark, sf, "orders").select("o_orderkey", "o_orderpriority", b.day("o_orderdate").alias("d"))
+    rules = "weekday(D) :- first(D). weekday(D) :- past[7,7] weekday(D). on(O, P, D) :- placed(O, P), weekday(D)."
+    met = Engine(rules, {"first": w, "placed": points(o, ["o_orderkey", "o_orderpriority"], "d")}).query("on", ["ord", "o_orderpriority", "dow"])
+    return met.df.groupBy("dow", "o_orderpriority").agg(F.count(F.lit(1)).alias("n"))
 
 
 @query
@@ -513,6 +574,45 @@ def ts_rolling_rules(spark, sf):
     return g.select("priority", "t", "v")
 
 
+@query
+def ts_ema_rules(spark, sf):
+    """The exponential average by its rules: the mean of the first ten points, then a part of the value and a part of
+    the average before, summed.  Time is the number of the point, as points are not on every day."""
+    s = b.daily_revenue(spark, sf)
+    k = ["l_returnflag", "l_linestatus"]
+    i = s.df.withColumn("i", F.row_number().over(Window.partitionBy(*k).orderBy("t")).cast("long"))
+    first = i.where("i <= 10").groupBy(*k).agg(F.avg("v").alias("v"), F.max("i").alias("i")).where("i = 10")
+    rules = """
+    part(F, L, Y) :- past[1,1] ema(F, L, X), Y = X * 9 / 11.
+    part(F, L, Y) :- later(F, L, V), Y = V * 2 / 11.
+    ema(F, L, Y) :- part(F, L, X), Y = sum(X).
+    ema(F, L, Y) :- begin(F, L, Y).
+    seen(F, L, T, Y) :- ema(F, L, Y), point(F, L, T).
+    """
+    at = lambda df, *more: points(df, [*k, *more], "i", STEPS)
+    facts = {"begin": at(first, "v"), "later": at(i.where("i > 10"), "v"), "point": at(i, "t")}
+    got = Engine(rules, facts).query("seen", [*k, "t", "v"])
+    return got.df.select(*k, "t", F.round("v", 2).alias("v"))
+
+
+@query
+def ts_upsample_rules(spark, sf):
+    """Weekly sums to days by rules: a series of days that never ends, this week's point and the next one's, and the line between."""
+    weekly = ts.downsample(b.daily_orders(spark, sf), F.expr("t div 7"), "sum")
+    w = weekly.df.select("priority", (F.col("t") * 7).alias("week"), "v")
+    rules = """
+    day(Y) :- past[1,1] day(X), Y = X + 1.
+    day(X) :- origin(X).
+    this(C, V, W) :- past[0,7) weekly(C, V, W).
+    next(C, V, W) :- future(0,7] weekly(C, V, W).
+    finer(C, Z, V) :- day(Z), this(C, A, P), next(C, B, Q), V = A + (B - A) * (Z - P) / (Q - P).
+    finer(C, P, V) :- weekly(C, V, P).
+    """
+    facts = {"weekly": points(w, ["priority", "v", "week"], "week", STEPS), "origin": points(spark.range(1).select(F.lit(0).cast("long").alias("x")), ["x"], "x", STEPS)}
+    got = Engine(rules, facts).query("finer", ["priority", "t", "v"])
+    return got.df.select("priority", "t", F.round("v", 4).alias("v"))
+
+
 @query
 def ts_frequency(spark, sf):
     return ts.frequency(b.daily_orders(spark, sf))
@@ -543,6 +643,18 @@ def wrap_roundtrip(spark, sf):
     return Engine(rules, {"placed": b.placed(spark, sf), "good": timeless(good, ["ord"])}).query("hit", ["cust", "ord"]).to_df(flags=False)
 
 
+@query
+def wrap_rules(spark, sf):
+    """One program in both modes: intervals unwrapped to terms, ids created by a plain rule, intervals wrapped again."""
+    rules = """
+    spell(C, S, B, E) :- held(C, S) @ (B, E).
+    deal(new D, C, S, B, E) :- spell(C, S, B, E), E - B > 45.
+    active(D, C) @ (B, E) :- deal(D, C, S, B, E).
+    follow(D, C) :- past[0,5] active(D, C).
+    """
+    return Engine(rules, {"held": b.pairs(spark, sf, 0)}).query("follow", ["deal", "cust"]).to_df(flags=False)
+
+
 @query
 def relations13(spark, sf):
     l, r = _two(spark, sf)
