@@ -1,7 +1,7 @@
 """Toxicity by nearest labelled examples under exact TF-IDF cosine.
 
 Labelled rows (a bounded, hashed sample: ``examples``) give the inverse document frequencies and the
-indexed examples.  All their words are terms, and the stems that tell labels apart best.  A term's
+indexed examples.  All their words are terms.  A term's
 weight grows with what its counts among toxic and clean examples differ beyond chance (likelihood
 ratio); near copies of one text count once there.  Every text's k most similar examples are found exactly in a
 block-max inverted index, vote with weights by similarity, and the vote is calibrated on
@@ -28,9 +28,8 @@ WORD = re.compile(r"[^\W_]+")
 
 
 def terms_of(text: str | None) -> list[str]:
-    """Words in lower case, and the first four and five letters of longer ones (marked by a star): stems with many endings."""
-    out = WORD.findall((text or "").lower())
-    return out + [w[:5] + "*" for w in out if len(w) > 5] + [w[:4] + "*" for w in out if len(w) > 4]
+    """Words in lower case."""
+    return WORD.findall((text or "").lower())
 
 
 def likelihood_ratio(a: int, b: int, n1: int, n0: int) -> float:
@@ -47,21 +46,11 @@ class Vocabulary:
     def __init__(self, weight: dict[str, float]):
         self.number = {w: i for i, w in enumerate(sorted(weight))}
         self.weight = np.array([weight[w] for w in self.number])
-        self.stems = frozenset(w[:4] for w in weight if w[-1] == "*")
 
     def vector(self, text: str | None) -> tuple[np.ndarray, np.ndarray]:
         """Term numbers in order and weights of unit norm; empty where no word is known."""
-        number = self.number
-        tf: dict[int, int] = {}
-        for w, n in Counter(WORD.findall((text or "").lower())).items():
-            i = number.get(w)
-            if i is not None:
-                tf[i] = n
-            if len(w) > 4 and w[:4] in self.stems:
-                for s in (w[:4] + "*", w[:5] + "*") if len(w) > 5 else (w[:4] + "*",):
-                    i = number.get(s)
-                    if i is not None:
-                        tf[i] = tf.get(i, 0) + n
+        get = self.number.get
+        tf = {i: n for w, n in Counter(terms_of(text)).items() if (i := get(w)) is not None}
         terms = np.fromiter(tf, np.int32, len(tf))
         order = np.argsort(terms)
         terms = terms[order]
@@ -70,10 +59,10 @@ class Vocabulary:
 
 
 class BlockMaxIndex:
-    """Examples by term: the commonest terms as a matrix in blocks of consecutive examples, each with its
-    greatest weights; the others as postings."""
+    """Examples by term: the commonest terms as a matrix in blocks of similar examples, each with its
+    greatest weights; the others as postings.  Blocks are alike (of one language, say), so most can't hold a near example."""
 
-    def __init__(self, vectors: list, block: int = 1024, common: int = 512):
+    def __init__(self, vectors: list, block: int = 128, common: int = 1024):
         self.block, self.common, self.size = block, common, len(vectors)
         self.start = np.concatenate([[0], np.cumsum([len(t) for t, _ in vectors])]).astype(np.int64)
         self.terms = np.concatenate([np.zeros(0, np.int32), *(np.asarray(t, np.int32) for t, _ in vectors)])
@@ -98,11 +87,17 @@ class BlockMaxIndex:
         at = self.place[self.terms]
         self.matrix = np.zeros((self.size, len(most)), np.float32)
         self.matrix[rows[at >= 0], at[at >= 0]] = self.weights[at >= 0]
+        self.original = alike(self.matrix, self.block)
+        self.spot = np.empty(self.size, np.int32)
+        self.spot[self.original] = np.arange(self.size, dtype=np.int32)
+        self.matrix = self.matrix[self.original]
         self.edges = list(range(0, self.size, self.block))
         self.greatest = np.maximum.reduceat(self.matrix, self.edges, axis=0) if self.size else self.matrix
+        length = np.sqrt((self.matrix * self.matrix).sum(axis=1))
+        self.longest = np.maximum.reduceat(length, self.edges) if self.size else length
         rest = np.flatnonzero(at < 0)
         rest = rest[np.argsort(self.terms[rest], kind="stable")]
-        self.post_row, self.post_weight = rows[rest], self.weights[rest].astype(np.float32)
+        self.post_row, self.post_weight = self.spot[rows[rest]], self.weights[rest].astype(np.float32)
         self.post_start = np.concatenate([[0], np.cumsum(np.where(self.place < 0, count, 0))]).astype(np.int64)
         self.parts = list(range(0, self.size, max(1, min(64, self.size // 256))))
         self.query = np.zeros(self.width)
@@ -118,6 +113,13 @@ class BlockMaxIndex:
             return np.full(len(score), -1.0)
         return np.partition(most, most.shape[1] - k, axis=1)[:, most.shape[1] - k]
 
+    def _open(self, score: np.ndarray, dense: np.ndarray, blocks, queries) -> None:
+        """Add what the common terms say of the examples of blocks, for the queries that need it."""
+        for b in np.unique(blocks):
+            need, e = queries(b), self.edges[b]
+            if len(need):
+                score[need, e : e + self.block] += dense[need] @ self.matrix[e : e + self.block].T
+
     def nearest(self, terms, weights, k: int, skip=frozenset()) -> list[tuple[float, int]]:
         """The k highest cosines (similarity, example), ties to the lower number."""
         return self.nearest_of([(terms, weights)], k, [skip])[0]
@@ -143,21 +145,31 @@ class BlockMaxIndex:
         score = np.bincount(np.repeat(whose * self.size, lengths) + self.post_row[entry], np.repeat(by, lengths) * self.post_weight[entry], n * self.size).astype(float).reshape(n, self.size)
         for i, skip in enumerate(skips):
             if skip:
-                score[i, list(skip)] = -2.0
+                score[i, self.spot[list(skip)]] = -2.0
+        bound = np.maximum.reduceat(score, self.edges, axis=1)
+        bound += np.minimum(dense @ self.greatest.T, np.sqrt((dense * dense).sum(axis=1))[:, None] * self.longest)
+        # The most promising block first: its k-th best score closes most others.
+        best = bound.argmax(axis=1)
         floor = self._least(score, k)
-        bound = np.maximum.reduceat(score, self.edges, axis=1) + dense @ self.greatest.T
-        for b, e in enumerate(self.edges):
-            need = np.flatnonzero(bound[:, b] >= floor - slack)
-            if len(need):
-                score[need, e : e + self.block] += dense[need] @ self.matrix[e : e + self.block].T
-        least = self._least(score, k)
+        self._open(score, dense, best, lambda b: np.flatnonzero(best == b))
+        for b in np.unique(best):
+            e = self.edges[b]
+            mine, width = np.flatnonzero(best == b), min(self.block, self.size - e)
+            if width >= k:
+                floor[mine] = np.maximum(floor[mine], np.partition(score[mine, e : e + width], width - k, axis=1)[:, width - k])
+        bound[np.arange(n), best] = -np.inf
+        self._open(score, dense, range(len(self.edges)), lambda b: np.flatnonzero(bound[:, b] >= floor - slack))
+        least = np.maximum(self._least(score, k), floor)
         out = []
         for i, (t, w) in enumerate(queries):
             found = np.flatnonzero(score[i] >= max(least[i], 0.0) - slack)
-            if skips[i]:
-                found = found[~np.isin(found, list(skips[i]))]
+            if len(found) > k:
+                found = found[score[i, found] >= np.partition(score[i, found], len(found) - k)[len(found) - k] - slack]
             if least[i] <= slack:
                 found = found[score[i, found] > 0]
+            found = np.sort(self.original[found])
+            if skips[i]:
+                found = found[~np.isin(found, list(skips[i]))]
             if not len(found):
                 out.append([])
                 continue
@@ -172,6 +184,27 @@ class BlockMaxIndex:
         return out
 
 
+def alike(rows: np.ndarray, block: int) -> np.ndarray:
+    """An order of rows in which every ``block`` of them are similar: halves along the direction of most variance, again and again."""
+    done, todo = [], [np.arange(len(rows))]
+    while todo:
+        some = todo.pop()
+        if len(some) <= block:
+            done.append(some)
+            continue
+        x = rows[some]
+        mean = x.mean(axis=0)
+        v = np.random.default_rng(7).standard_normal(x.shape[1]).astype(np.float32)
+        for _ in range(8):
+            along = x @ v - float(mean @ v)
+            v = x.T @ along - mean * along.sum()
+            v /= np.sqrt(float(v @ v)) or 1.0
+        order = np.argsort(x @ v, kind="stable")
+        half = block * -(-len(some) // (2 * block))
+        todo += [some[order[half:]], some[order[:half]]]
+    return np.concatenate(done) if done else np.zeros(0, np.int64)
+
+
 def isotonic(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Non-decreasing fit by pooling neighbours that break the order."""
     order = np.argsort(x, kind="stable")
@@ -256,11 +289,11 @@ def held_out(doc_id: str = "doc_id"):
     return F.coalesce(F.crc32(F.col(doc_id).cast("string")) % 5 == 0, F.lit(False))
 
 
-def fit(docs: DataFrame, labels: DataFrame, examples: int = 16_384, k: int = 15, terms: int = 4_096) -> Scorer:
+def fit(docs: DataFrame, labels: DataFrame, examples: int = 16_384, k: int = 15) -> Scorer:
     """Learn from labelled rows that are not held out.
 
-    ``examples`` bounds the labelled rows used, ``terms`` the stems (the most telling); all words are used.
-    Null labels and ids are left out; of several labels of a doc_id the greatest counts.
+    ``examples`` bounds the labelled rows used; all words of their whole texts are used.  Empty tables, texts and labels give
+    a scorer that knows nothing: every score is then the rate of toxic labels, or 0.  Null labels and ids are left out; of several labels of a doc_id the greatest counts.
     """
     reach_workers(docs.sparkSession)
     one_thread_each(docs.sparkSession)
@@ -286,12 +319,10 @@ def fit(docs: DataFrame, labels: DataFrame, examples: int = 16_384, k: int = 15,
     a, b = F.col("a").cast("double"), F.col("b").cast("double")
     term = lambda x, rows, cols: F.when(x > 0, x * F.log(x * n / (rows * cols))).otherwise(0.0)
     ratio = 2 * (term(a, F.lit(float(n1)), a + b) + term(b, F.lit(float(n0)), a + b) + term(n1 - a, F.lit(float(n1)), n - a - b) + term(n0 - b, F.lit(float(n0)), n - a - b)) if n1 and n0 else F.lit(0.0)
-    known_terms = staged(counts.select("word", (F.log(1 + n / (a + b)) * (1 + F.greatest(ratio, F.lit(0.0)))).alias("weight"), ratio.alias("ratio")), "terms")
-    stem = F.col("word").endswith("*")
-    tables = [known_terms.where(~stem).select("word", "weight").toArrow(), known_terms.where(stem).orderBy(F.desc("ratio"), "word").limit(terms).select("word", "weight").toArrow()]
-    vocabulary = Vocabulary({w: x for t in tables for w, x in zip(t.column(0).to_pylist(), t.column(1).to_pylist())})
-    del tables
-    forget(known_terms)
+    # One weight for each word of the examples, whose number is bounded.
+    table = counts.select("word", (F.log(1 + n / (a + b)) * (1 + F.greatest(ratio, F.lit(0.0)))).alias("weight")).toArrow()
+    vocabulary = Vocabulary(dict(zip(table.column(0).to_pylist(), table.column(1).to_pylist())))
+    del table
     shared = docs.sparkSession.sparkContext.broadcast(vocabulary)
 
     def vectors(batches):
@@ -346,7 +377,11 @@ def score_documents(docs: DataFrame, scorer: Scorer) -> DataFrame:
 
 
 def without_toxic(docs: DataFrame, scorer: Scorer, threshold: float = 0.5) -> DataFrame:
-    """The rows of docs, all columns as they are, whose text scores below the threshold."""
+    """The rows of docs, all columns as they are, whose text scores below the threshold.
+
+    Null and empty texts score like textless examples and stay unless most of those are toxic; very long texts are scored
+    whole; repeated rows all stay or all go; an empty table gives no rows; no column but ``text`` is read, whatever the others are called.
+    """
     reach_workers(docs.sparkSession)
     one_thread_each(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(scorer)
