@@ -85,11 +85,12 @@ class TokenStore:
         return read_store(spark, self)
 
 
-def write_store(docs: DataFrame, tokenizer: str, end_id: int, text: str = "text", doc_id: str = "doc_id", sample_docs: int = 1000, sample_bytes: int = 32 << 10, dictionary_bytes: int = 64 << 10, level: int = 1, rows_per_shard: int = 100_000) -> TokenStore:
+def write_store(docs: DataFrame, tokenizer: str, end_id: int, text: str = "text", doc_id: str = "doc_id", sample_docs: int = 1000, dictionary_bytes: int = 64 << 10, level: int = 1, shard_bytes: int = 128 << 20) -> TokenStore:
     """Encode all documents and write a store in the shared folder.
 
     Null texts are empty; every document ends with ``end_id``; null doc_ids come first and
-    repeated ones stay, in the order of their frames' bytes.  An empty table gives a store without shards.  Other columns
+    repeated ones stay, in the order of a hash of their frames, and may go on in the next shard.  Shards hold about
+    ``shard_bytes`` each.  An empty table gives a store without shards.  Other columns
     of ``docs`` are ignored.  Texts are encoded before the shuffle, so what moves is compressed.
     """
     from .tokens import by_bytes, encoder
@@ -105,7 +106,7 @@ def write_store(docs: DataFrame, tokenizer: str, end_id: int, text: str = "text"
         for batch in batches:
             enc = encoder(tokenizer)
             ids, off = enc.encode(batch.column(0))
-            yield pa.record_batch([pa.array([ids[a : min(b, a + sample_bytes)].tobytes() for a, b in zip(off, off[1:])], pa.binary())], ["raw"])
+            yield pa.record_batch([pa.array([ids[a:b].tobytes() for a, b in zip(off, off[1:])], pa.binary())], ["raw"])
 
     raw = [bytes(r["raw"]) for r in sample.select("text").mapInArrow(serialised, "raw binary").collect()]
     dictionary = train_dictionary(raw, dictionary_bytes)
@@ -126,34 +127,29 @@ def write_store(docs: DataFrame, tokenizer: str, end_id: int, text: str = "text"
                 yield pa.record_batch([part.column(0), pa.array(np.diff(off) + 1, pa.int64()), pa.array(blobs, pa.binary())], ["doc_id", "n", "frame"])
 
     coded = staged(docs.mapInArrow(frames, "doc_id long, n long, frame binary"), "frames")
-    total = coded.count()
-    cuts = max(1, -(-total // rows_per_shard))
-    bounds = sorted({int(x) for x in coded.approxQuantile("doc_id", [i / cuts for i in range(1, cuts)], 0.1 / cuts)}) if cuts > 1 else []
+    size = coded.agg(F.sum(F.length("frame") + 20).alias("n")).first()["n"] or 0
+    shards = max(1, -(-size // shard_bytes))
     width = np.dtype(encoder(tokenizer).type).itemsize
-    shard = F.lit(0)
-    if bounds:
-        # doc_id in [bound i-1, bound i) goes to shard i; the bounds are few, one for each shard.
-        limits = F.array(*[F.lit(b) for b in bounds])
-        shard = F.coalesce(F.size(F.filter(limits, lambda b: b <= F.col("doc_id"))), F.lit(0))
-
     def written(batches):
+        from pyspark import TaskContext
+
         ids, sizes, at = [], [], [len(MAGIC) + 33]
         which, out, name = None, None, None
         for batch in batches:
             if not batch.num_rows:
                 continue
             if out is None:
-                which = batch.column(0)[0].as_py()
+                which = TaskContext.get().partitionId()
                 name = f"part-{which:05d}.tok"
                 fs_, folder_ = open_fs(path)
                 tmp = f"{folder_}/.{name}-{uuid.uuid4().hex}"
                 out = fs_.open_output_stream(tmp)
                 out.write(MAGIC + bytes([width]) + digest)
-            got = [x for x in batch.column(3).to_pylist()]
+            got = batch.column(2).to_pylist()
             out.write(b"".join(got))
             at += (at[-1] + np.cumsum([len(x) for x in got])).tolist()
-            ids += [NO_ID if x is None else x for x in batch.column(1).to_pylist()]
-            sizes += batch.column(2).to_pylist()
+            ids += [NO_ID if x is None else x for x in batch.column(0).to_pylist()]
+            sizes += batch.column(1).to_pylist()
         if out is not None:
             out.write(np.array(ids, "<i8").tobytes() + np.array(at, "<u8").tobytes() + np.array(sizes, "<u4").tobytes())
             out.write(struct.pack("<QQ", at[-1], len(ids)) + MAGIC)
@@ -161,8 +157,9 @@ def write_store(docs: DataFrame, tokenizer: str, end_id: int, text: str = "text"
             fs_.move(tmp, f"{folder_}/{name}")  # a repeated task replaces the same shard whole
             yield pa.record_batch([pa.array([which], pa.int64()), pa.array([name]), pa.array([len(ids)], pa.int64()), pa.array([sum(sizes)], pa.int64())], ["shard", "name", "docs", "ids"])
 
-    dealt = coded.select(shard.cast("int").alias("shard"), "doc_id", "n", "frame").repartitionById(len(bounds) + 1, F.col("shard"))
-    made = dealt.sortWithinPartitions("doc_id", "frame").mapInArrow(written, "shard long, name string, docs long, ids long").collect()
+    # Ranges of (doc_id, hash), found by a sample and looked up by search, so a doc_id of very many rows is several shards.
+    dealt = coded.select("doc_id", "n", "frame", F.xxhash64("frame").alias("h")).repartitionByRange(shards, F.asc_nulls_first("doc_id"), "h")
+    made = dealt.sortWithinPartitions(F.asc_nulls_first("doc_id"), "h", "frame").select("doc_id", "n", "frame").mapInArrow(written, "shard long, name string, docs long, ids long").collect()
     forget(coded)
     return TokenStore(path, digest.hex(), [(r["name"], r["docs"], r["ids"]) for r in sorted(made, key=lambda r: r["shard"])])
 
@@ -190,7 +187,7 @@ def _dictionary(fs, folder: str, digest: bytes) -> bytes:
 
 
 def read_document(path: str, shard: str, doc_id: int) -> list[list[int]]:
-    """The ids of one document (of each copy, if a doc_id is repeated), without reading the rest of the shard."""
+    """The ids of one document (of each copy in the shard, if a doc_id is repeated), without reading the rest of the shard."""
     fs, folder = open_fs(path)
     with fs.open_input_file(f"{folder}/{shard}") as f:
         width, digest, ids, offsets, sizes = _index(f)
