@@ -19,17 +19,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import forget, reach_workers, staged
+from .common import forget, maybe_broadcast, reach_workers, staged
 from .components import components
 from .shingles import bands, jaccard_parts, shingle_hashes, sketch
 
-SMALL = 300_000  # rows of ids or bucket heads that may be broadcast; beyond it the join shuffles
-
-
-def maybe_broadcast(df: DataFrame, limit: int = SMALL) -> DataFrame:
-    return F.broadcast(df) if df.count() <= limit else df
-
-
 def signatures(docs: DataFrame, width: int, size: int, rows: int) -> DataFrame:
     """doc_id, n (set size), k1, k2 (a 128-bit hash of the set), bands."""
     reach_workers(docs.sparkSession)
@@ -152,18 +145,19 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: in
     classes = nodes.groupBy("k1", "k2", "n").agg(F.min("doc_id").alias("doc_id"))
     reps = nodes.join(classes, ["k1", "k2", "n", "doc_id"], "left_semi")
     keyed = reps.select("doc_id", "n", F.explode("bands").alias("key"))
-    heads = staged(keyed.groupBy("key").agg(F.min("doc_id").alias("leader"), F.count(F.lit(1)).alias("members"), F.max("n").alias("longest")).where("members > 1"), "heads")
+    heads = staged(keyed.groupBy("key").agg(F.min("doc_id").alias("leader"), F.count(F.lit(1)).alias("members"), F.sum("n").alias("shingles")).where("members > 1"), "heads")
     members = staged(keyed.drop("n").join(maybe_broadcast(heads), "key"), "members")
     ids = maybe_broadcast(members.select("doc_id").distinct())
     wanted = staged(texts.join(ids, "doc_id", "left_semi").distinct(), "texts")
     stars = members.where("doc_id <> leader").select("doc_id", "leader").distinct()
     links = staged(_star_links(stars, wanted, width, percent), "links")
     first = components(links)
-    joined = members.join(first, members["doc_id"] == first["node"], "left").select("key", "doc_id", "members", "longest", F.coalesce("component", "doc_id").alias("c"))
+    joined = members.join(first, members["doc_id"] == first["node"], "left").select("key", "doc_id", "members", "shingles", F.coalesce("component", "doc_id").alias("c"))
     joined = staged(joined, "joined")
     mixed = joined.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("key")
-    per = F.greatest(F.lit(2), F.least(F.lit(1024), F.floor(F.lit(2_000_000) / F.col("longest"))))
-    rest = joined.join(maybe_broadcast(mixed), "key", "left_semi").withColumn("blocks", F.ceil(F.col("members") / per))
+    # Blocks of at most about 1,024 texts and 2,000,000 shingles; one very long text makes one block more, not all of them small.
+    blocks = F.greatest(F.ceil(F.col("members") / 1024), F.ceil(F.col("shingles") / 2_000_000))
+    rest = joined.join(maybe_broadcast(mixed), "key", "left_semi").withColumn("blocks", blocks)
     more = staged(_cross_links(rest, wanted, width, size, rows, screen, percent), "links")
     found = staged(components(links.unionByName(more)), "components")
     for used in (heads, members, joined, wanted, links, more):
@@ -178,7 +172,8 @@ def one_of_each(docs: DataFrame, **how) -> DataFrame:
     """The rows of docs, all columns as they are, with one document left of each near-duplicate component.
 
     The document with the least doc_id stays; of rows that repeat a doc_id one stays; rows
-    without a doc_id all stay.
+    without a doc_id all stay, and so do null and empty texts, which are near nothing.  Very long texts are compared whole.
+    An empty table gives no rows; other columns may have any names.
     """
     found = near_duplicates(docs, **how)
     gone = found.where(~F.col("kept")).select("doc_id").distinct()
