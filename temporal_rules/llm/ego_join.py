@@ -11,6 +11,7 @@ with a margin decides clear cases, double precision the others.
 from __future__ import annotations
 
 import math
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -19,7 +20,7 @@ from pyspark.sql import functions as F
 
 from .common import forget, reach_workers, staged
 from .components import components
-from .vectors import common_width, matrix, sampled, usable
+from .vectors import matrix, sampled, usable, widths
 
 MARGIN = 1e-4  # far above the rounding of a single-precision product of unit vectors
 
@@ -126,15 +127,20 @@ def similar_vectors(rows: DataFrame, t: float = 0.95, key: str = "vec_id", colum
     """vec_id, n_links, component_id, kept for every row.
 
     Rows link if the cosine of their vectors is at least t.  Rows with one and the same vector
-    are compared once; each is linked with the others.  Null, zero and non-finite vectors,
-    vectors of another width than most and null keys link with nothing; a null key has a null
+    are compared once; each is linked with the others.  Null, zero and non-finite vectors
+    and null keys link with nothing, vectors with those of their own width only; a null key has a null
     component.  An empty table gives no rows; other columns are ignored.
     """
+    base = rows.select(F.col(key).cast("long").alias("id"), F.col(column).alias("v"))
+    found = widths(base.where(F.col("id").isNotNull() & usable(base, "v")), "v")
+    size = F.coalesce(F.size("v"), F.lit(0))
+    if len(found) > 1:
+        parts = [base.where(size == w) for w in found] + [base.where(~size.isin(found))]
+        return reduce(lambda a, b: a.unionByName(b), [similar_vectors(p, t, "id", "v", m, sample_rows, interval, most_intervals) for p in parts])
     spark = rows.sparkSession
     reach_workers(spark)
-    base = rows.select(F.col(key).cast("long").alias("id"), F.col(column).alias("v"))
     good = base.where(F.col("id").isNotNull() & usable(base, "v"))
-    width = common_width(good, "v")
+    width = found[0] if found else 0
     alone = lambda df: df.select(F.col("id").alias("vec_id"), F.lit(0).cast("long").alias("n_links"), F.col("id").alias("component_id"), F.lit(True).alias("kept"))
     if not width:
         return alone(base)

@@ -15,14 +15,15 @@ from __future__ import annotations
 
 import math
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import reach_workers, staged
-from .vectors import common_width, matrix, sampled, usable
+from .common import maybe_broadcast, reach_workers, staged
+from .vectors import matrix, sampled, usable, widths
 
 
 def chi_square_quantile(p: float, m: int) -> float:
@@ -88,10 +89,10 @@ class Cells:
 
 
 class LocalTree:
-    """kd leaves over a block of projected points, searched nearest leaf first."""
+    """kd leaves over a block of projected points, searched nearest leaf first.  ``ids`` tell rows apart, ``keys`` are what is found."""
 
-    def __init__(self, ids: np.ndarray, vectors: np.ndarray, points: np.ndarray, leaf: int = 48):
-        self.ids, self.vectors, self.points = ids, vectors, points
+    def __init__(self, ids: np.ndarray, vectors: np.ndarray, points: np.ndarray, leaf: int = 48, keys: np.ndarray | None = None):
+        keys = ids if keys is None else keys
         stack, order, cuts = [np.arange(len(ids))], [], [0]
         while stack:
             g = stack.pop()
@@ -104,7 +105,7 @@ class LocalTree:
             o = np.argsort(p[:, a], kind="stable")
             stack += [g[o[len(g) // 2 :]], g[o[: len(g) // 2]]]
         order = np.concatenate(order) if order else np.zeros(0, int)
-        self.ids, self.vectors, self.points = ids[order], vectors[order], points[order]
+        self.ids, self.keys, self.vectors, self.points = ids[order], keys[order], vectors[order], points[order]
         self.cuts = np.array(cuts)
         starts = self.cuts[:-1]
         self.low = np.minimum.reduceat(self.points, starts, axis=0)
@@ -125,7 +126,7 @@ class LocalTree:
             if len(rows):
                 diff = self.vectors[rows] - vector
                 d = np.sqrt((diff * diff).sum(1))
-                dist, ids = np.concatenate([dist, d]), np.concatenate([ids, self.ids[rows]])
+                dist, ids = np.concatenate([dist, d]), np.concatenate([ids, self.keys[rows]])
                 keep = np.lexsort((ids, dist))[:k]
                 dist, ids = dist[keep], ids[keep]
                 if len(dist) == k:
@@ -138,19 +139,22 @@ class LocalTree:
 def nearest_neighbours(rows: DataFrame, queries: Column, k: int = 10, key: str = "vec_id", column: str = "embedding", m: int = 8, confidence: float = 0.98, sample_rows: int = 16_384, cell_rows: int = 8_192, query_rows: int = 4_096, max_cells: int = 4_096, seed: int = 5) -> DataFrame:
     """query_id, rank, vec_id, score: the k nearest by Euclidean distance of every query row against all other rows.
 
-    ``queries`` is a condition on ``rows``.  Null, zero, non-finite vectors, vectors of another
-    width than most and null keys take no part; equal distances go to the smaller key; rows
-    that repeat a key are other candidates for queries of other keys.  Fewer candidates than k
-    give fewer rows; an empty table none.  Other columns are ignored.
+    ``queries`` is a condition on ``rows``.  Null, zero and non-finite vectors and null keys take no part; vectors are
+    compared with those of their width; equal distances go to the smaller key; every row that repeats a key is a
+    query and a candidate of its own.  Fewer candidates than k give fewer rows; an empty table none.  Other columns are ignored.
     """
     spark = rows.sparkSession
     reach_workers(spark)
-    empty = "query_id long, rank int, vec_id long, score double"
-    good = rows.where(F.col(key).isNotNull() & usable(rows, column))
-    width = common_width(good, column)
-    if not width:
-        return spark.createDataFrame([], empty)
-    good = good.where(F.size(column) == width).select(F.col(key).cast("long").alias("id"), F.col(column).alias("v"), F.coalesce(queries, F.lit(False)).alias("q"))
+    good = rows.where(F.col(key).isNotNull() & usable(rows, column)).select(F.col(key).cast("long").alias("id"), F.col(column).alias("v"), F.coalesce(queries, F.lit(False)).alias("q"))
+    parts = [_of_width(good.where(F.size("v") == w), w, k, m, confidence, sample_rows, cell_rows, query_rows, max_cells, seed) for w in widths(good, "v")]
+    if not parts:
+        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
+    return reduce(lambda a, b: a.unionByName(b), parts)
+
+
+def _of_width(good: DataFrame, width: int, k: int, m: int, confidence: float, sample_rows: int, cell_rows: int, query_rows: int, max_cells: int, seed: int) -> DataFrame:
+    """The search among vectors of one width."""
+    spark = good.sparkSession
     n = good.count()
     levels = min(int(math.log2(max_cells)), max(0, math.ceil(math.log2(n / cell_rows))) if n > cell_rows else 0)
     cells = Cells.fit(sampled(good, "id", "v", width, sample_rows), m, levels, seed)
@@ -161,52 +165,54 @@ def nearest_neighbours(rows: DataFrame, queries: Column, k: int = 10, key: str =
     def assign(batches):
         for batch in batches:
             cell = fitted.value.of(fitted.value.project(matrix(batch.column(1), width)))
-            yield pa.record_batch([*batch.columns, pa.array(cell, pa.int64())], ["id", "v", "q", "cell"])
+            yield pa.record_batch([*batch.columns, pa.array(cell, pa.int64())], ["id", "v", "q", "row", "cell"])
 
-    placed = staged(good.mapInArrow(assign, f"id long, v {kind}, q boolean, cell long"), "cells")
+    # Rows are numbered once, in the staged table, as keys may repeat.
+    placed = staged(good.withColumn("row", F.monotonically_increasing_id()).mapInArrow(assign, f"id long, v {kind}, q boolean, row long, cell long"), "cells")
     sizes = {r["cell"]: r["n"] for r in placed.groupBy("cell").agg(F.count(F.lit(1)).alias("n")).collect()}
     salts = {c: max(1, -(-x // (2 * cell_rows))) for c, x in sizes.items()}
     salt_of = spark.createDataFrame([(c, s) for c, s in salts.items()], "cell long, salts long")  # one row for each of at most max_cells cells
-    blocks = placed.join(F.broadcast(salt_of), "cell").withColumn("salt", F.pmod(F.xxhash64("id"), F.col("salts")))
-    asked = blocks.where("q").select(*(F.col(c).alias(f"q_{c}") for c in ("cell", "salt", "id", "v")))
+    blocks = placed.join(F.broadcast(salt_of), "cell").withColumn("salt", F.pmod(F.xxhash64("row"), F.col("salts")))
+    asked = blocks.where("q").select(*(F.col(c).alias(f"q_{c}") for c in ("cell", "salt", "id", "row", "v")))
 
     def search(found, left, right):
-        out_q, out_r, out_d, out_k = [], [], [], []
+        out_q, out_w, out_r, out_d = [], [], [], []
         if left.num_rows and right.num_rows:
             vectors = matrix(left.column("v"), width)
-            tree = LocalTree(left.column("id").to_numpy(), vectors, fitted.value.project(vectors))
+            tree = LocalTree(left.column("row").to_numpy(), vectors, fitted.value.project(vectors), keys=left.column("id").to_numpy())
             qv = matrix(right.column("q_v"), width)
             qp = fitted.value.project(qv)
             bounds = right.column("q_bound").to_numpy() if "q_bound" in right.column_names else np.full(len(qv), np.inf)
-            for i, own in enumerate(right.column("q_id").to_pylist()):
+            for i, (own, asked_for) in enumerate(zip(right.column("q_row").to_pylist(), right.column("q_id").to_pylist())):
                 d, ids = tree.nearest(own, qv[i], qp[i], k, ratio, bounds[i])
-                out_q += [own] * len(d)
+                out_q += [asked_for] * len(d)
+                out_w += [own] * len(d)
                 out_r += ids.tolist()
                 out_d += d.tolist()
-                out_k += [len(d)] * len(d)
-        return pa.table({"query_id": pa.array(out_q, pa.int64()), "vec_id": pa.array(out_r, pa.int64()), "score": pa.array(out_d, pa.float64())})
+        return pa.table({"query_id": pa.array(out_q, pa.int64()), "row": pa.array(out_w, pa.int64()), "vec_id": pa.array(out_r, pa.int64()), "score": pa.array(out_d, pa.float64())})
 
-    answer = "query_id long, vec_id long, score double"
+    answer = "query_id long, row long, vec_id long, score double"
     # First the own block: an upper bound of the k-th distance, infinite where the block is too small.
     own = blocks.groupBy("cell", "salt").cogroup(asked.groupBy("q_cell", "q_salt")).applyInArrow(search, answer)
-    bound = own.groupBy("query_id").agg(F.when(F.count(F.lit(1)) >= k, F.max("score")).otherwise(F.lit(float("inf"))).alias("bound"))
-    known = staged(asked.join(bound, asked["q_id"] == bound["query_id"], "left").select(F.col("q_id").alias("id"), F.col("q_v").alias("v"), F.coalesce("bound", F.lit(float("inf"))).alias("bound")), "bounds")
-    nq = known.count()
-    parts = max(1, -(-nq // query_rows))
+    bound = own.groupBy("row").agg(F.when(F.count(F.lit(1)) >= k, F.max("score")).otherwise(F.lit(float("inf"))).alias("bound"))
+    known = staged(asked.join(bound, asked["q_row"] == bound["row"], "left").select(F.col("q_id").alias("id"), F.col("q_row").alias("row"), F.col("q_v").alias("v"), F.coalesce("bound", F.lit(float("inf"))).alias("bound")), "bounds")
 
     def spread(batches):
         for batch in batches:
-            points = fitted.value.project(matrix(batch.column(1), width))
-            limit = batch.column(2).to_numpy()
+            points = fitted.value.project(matrix(batch.column(2), width))
+            limit = batch.column(3).to_numpy()
             hits = [fitted.value.within(p, ratio * b * b) for p, b in zip(points, limit)]
             take = np.repeat(np.arange(len(hits)), [len(h) for h in hits])
             got = batch.take(pa.array(take))
-            yield pa.record_batch([*got.columns, pa.array(np.concatenate(hits) if hits else np.zeros(0, int), pa.int64())], ["id", "v", "bound", "cell"])
-
-    visits = known.mapInArrow(spread, f"id long, v {kind}, bound double, cell long").join(F.broadcast(salt_of), "cell")
-    visits = visits.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.col("salts") - 1))).withColumn("part", F.pmod(F.xxhash64("id"), F.lit(parts)))
-    spread_rows = blocks.select("cell", "salt", "id", "v").withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(parts - 1).cast("long"))))
+            yield pa.record_batch([*got.columns, pa.array(np.concatenate(hits) if hits else np.zeros(0, int), pa.int64())], ["id", "row", "v", "bound", "cell"])
+
+    visits = known.mapInArrow(spread, f"id long, row long, v {kind}, bound double, cell long").join(F.broadcast(salt_of), "cell")
+    visits = staged(visits.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.col("salts") - 1))).drop("salts"), "visits")
+    # A block is copied once for every ``query_rows`` queries that visit it; one that none visits is not read again.
+    asked_of = visits.groupBy("cell", "salt").agg(F.ceil(F.count(F.lit(1)) / query_rows).cast("long").alias("parts"))
+    visits = visits.join(maybe_broadcast(asked_of), ["cell", "salt"]).withColumn("part", F.pmod(F.xxhash64("row"), F.col("parts")))
+    spread_rows = blocks.select("cell", "salt", "id", "row", "v").join(maybe_broadcast(asked_of), ["cell", "salt"]).withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)))
     by = ["cell", "salt", "part"]
-    found = spread_rows.groupBy(*by).cogroup(visits.select(*(F.col(c).alias(f"q_{c}") for c in (*by, "id", "v", "bound"))).groupBy(*(f"q_{c}" for c in by))).applyInArrow(search, answer)
-    order = Window.partitionBy("query_id").orderBy("score", "vec_id")
+    found = spread_rows.drop("parts").groupBy(*by).cogroup(visits.select(*(F.col(c).alias(f"q_{c}") for c in (*by, "id", "row", "v", "bound"))).groupBy(*(f"q_{c}" for c in by))).applyInArrow(search, answer)
+    order = Window.partitionBy("row").orderBy("score", "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

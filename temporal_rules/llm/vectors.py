@@ -15,10 +15,9 @@ def usable(df: DataFrame, column: str = "embedding"):
     return F.coalesce(x.isNotNull() & (F.size(x) > 0) & fine & F.exists(x, lambda v: v != 0), F.lit(False))
 
 
-def common_width(df: DataFrame, column: str = "embedding") -> int:
-    """The width of most vectors; others can't be compared with them and take no part."""
-    got = df.groupBy(F.size(column).alias("d")).agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "d").first()
-    return int(got["d"]) if got else 0
+def widths(df: DataFrame, column: str = "embedding") -> list[int]:
+    """The widths of the vectors, of which a table has few; vectors of different widths can't be compared."""
+    return sorted(r["d"] for r in df.select(F.size(column).alias("d")).distinct().collect())
 
 
 def matrix(column: pa.Array | pa.ChunkedArray, width: int) -> np.ndarray:

@@ -2,6 +2,7 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from temporal_rules.llm import ego_join, stable_ann
 from temporal_rules.llm.queries import op1_stable_projection_ann, op9_vector_near_duplicates
@@ -99,3 +100,21 @@ def test_copies_count_each_other(spark):
     df = spark.createDataFrame([(5, [1.0, 0.0]), (3, [1.0, 0.0]), (9, [0.0, 1.0]), (7, [1.0, 0.0]), (8, [0.999, 0.01])], "vec_id long, embedding array<float>")
     got = sorted(map(tuple, ego_join.similar_vectors(df).collect()))
     assert got == [(3, 3, 3, True), (5, 3, 3, False), (7, 3, 3, False), (8, 3, 3, False), (9, 0, 9, True)]
+
+
+def test_repeated_keys_and_widths(spark):
+    import numpy as np
+
+    rng = np.random.default_rng(2)
+    rows = [(i, rng.standard_normal(6).tolist()) for i in range(60)] + [(100, rng.standard_normal(6).tolist()), (100, rng.standard_normal(6).tolist())]
+    rows += [(1000 + i, rng.standard_normal(3).tolist()) for i in range(12)] + [(200, [1.0, 2.0, 3.0]), (2000, [1.0, 2.0, 3.01])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = stable_ann.nearest_neighbours(df, F.col("vec_id") % 100 == 0, k=4, confidence=0.999999).collect()
+    want = []
+    for i, (key, v) in enumerate(rows):
+        if key % 100 == 0:
+            near = sorted((float(np.linalg.norm(np.array(v) - np.array(w))), k) for j, (k, w) in enumerate(rows) if j != i and len(w) == len(v))[:4]
+            want += [(key, r + 1, k, round(d, 9)) for r, (d, k) in enumerate(near)]
+    assert sorted((r.query_id, r["rank"], r.vec_id, round(r.score, 9)) for r in got) == sorted(want)
+    linked = {r.vec_id: r.n_links for r in ego_join.similar_vectors(df, 0.95).collect()}
+    assert linked[200] >= 1 and linked[2000] >= 1 and len(linked) == len({k for k, _ in rows})
