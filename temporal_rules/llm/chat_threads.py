@@ -2,10 +2,11 @@
 
 Lines are parsed by quote level (``> > text``), attribution lines before a quote go with it, and
 quoted passages are cut into normalised sentences, so re-wrapped quotes still match.  A
-sentence's original is the earliest message that says it itself, in the same conversation or
-else anywhere.  A message replies to the original of most of its first-level sentences (ties:
-the latest), or, quoting nothing known, to the message before it in its conversation.  Thread, depth and
-place follow from the replies by pointer doubling; no thread is gathered in one task.
+sentence's original is the earliest message that says it itself, before it in the same conversation or
+else anywhere, by preference one of a smaller (conversation, turn); conversations have no dates, so one of a larger
+number counts as well, unless that closes a circle of replies.  A message replies to the original of most of the
+sentences of its shallowest level that has any (ties: the latest), or, quoting nothing known, to the message before it in its
+conversation.  Thread, depth and place follow from the replies by pointer doubling; no thread is gathered in one task.
 """
 
 from __future__ import annotations
@@ -82,30 +83,8 @@ def parsed(messages: DataFrame) -> DataFrame:
     return messages.select(*cols).mapInArrow(run, "conv_id long, turn long, role string, body string, own array<bigint>, quoted array<struct<level: int, h: bigint>>")
 
 
-def threads(messages: DataFrame, max_doublings: int = 40) -> DataFrame:
-    """One row for each message: conv_id, turn, role, body, n_quoted, parent_conv, parent_turn, thread_conv, thread_turn, depth, place.
-
-    ``place`` counts from 0 within a thread by conversation and turn, which puts every message after the
-    one it replies to.
-    Null and empty texts have an empty body; a message with a null conv_id or turn is a thread of its own with a null place.  Rows that repeat
-    (conv_id, turn) share their parent.  Other columns are ignored; an empty table gives no rows.
-    """
-    rows = staged(parsed(messages), "messages")
-    ids = rows.where("conv_id is not null and turn is not null")
-    said = ids.select("conv_id", "turn", F.explode("own").alias("h"))
-    here = said.groupBy("conv_id", "h").agg(F.min("turn").alias("t_here"))
-    anywhere = said.groupBy("h").agg(F.min(F.struct("conv_id", "turn")).alias("first"))
-    asked = ids.select("conv_id", "turn", F.explode("quoted").alias("q")).where("q.level = 1").select("conv_id", "turn", F.col("q.h").alias("h"))
-    # A very common sentence is one row on the right side of both joins.
-    met = asked.join(here, ["conv_id", "h"], "left").join(anywhere, "h", "left")
-    found = F.when(F.col("t_here") < F.col("turn"), F.struct("conv_id", F.col("t_here").alias("turn"))).when(
-        (F.col("first.conv_id") < F.col("conv_id")) | ((F.col("first.conv_id") == F.col("conv_id")) & (F.col("first.turn") < F.col("turn"))), F.struct(F.col("first.conv_id"), F.col("first.turn"))
-    )
-    votes = met.select("conv_id", "turn", found.alias("origin")).where("origin is not null").groupBy("conv_id", "turn", "origin").agg(F.count(F.lit(1)).alias("n"))
-    best = votes.groupBy("conv_id", "turn").agg(F.max(F.struct("n", "origin")).alias("b")).select("conv_id", "turn", F.col("b.origin.conv_id").alias("qc"), F.col("b.origin.turn").alias("qt"))
-    nodes = ids.select("conv_id", "turn").distinct()
-    # The message before in the conversation, by a sorted window that streams.
-    nodes = nodes.withColumn("before", F.lag("turn").over(Window.partitionBy("conv_id").orderBy("turn")))
+def _chains(nodes: DataFrame, best: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame | None]:
+    """Messages with their parents in segments; for each quoting one's segment its thread's head; the messages whose chain has no end."""
     linked = nodes.join(best, ["conv_id", "turn"], "left").select(
         "conv_id", "turn", F.coalesce("qc", F.when(F.col("before").isNotNull(), F.col("conv_id"))).alias("pc"), F.coalesce("qt", "before").alias("pt"), F.col("qc").isNotNull().alias("by_quote")
     )
@@ -116,20 +95,61 @@ def threads(messages: DataFrame, max_doublings: int = 40) -> DataFrame:
     linked = staged(linked.withColumn("step", (F.row_number().over(Window.partitionBy("conv_id", "seg").orderBy("turn")) - 1).cast("long")), "replies")
     homes = linked.select(F.col("conv_id").alias("pc"), F.col("turn").alias("pt"), F.col("seg").alias("up_seg"), F.col("step").alias("up_step"))
     # Of a quoting message: its segment, the segment that it replies into, and its distance from that one's head.
-    at = linked.where("by_quote").join(homes, ["pc", "pt"]).select("conv_id", "seg", F.col("pc").alias("ac"), F.col("up_seg").alias("as"), (F.col("up_step") + 1).alias("depth"))
+    at = linked.where("by_quote").join(homes, ["pc", "pt"]).select("conv_id", "seg", F.col("pc").alias("ac"), F.col("up_seg").alias("as"), (F.col("up_step") + 1).cast("double").alias("depth"))
     at = staged(at, "pointers")
-    for _ in range(max_doublings):
+    # A chain without a circle has at most as many segments as there are quoting messages.
+    for _ in range(at.count().bit_length() + 1):
         up = at.select(F.col("conv_id").alias("ac"), F.col("seg").alias("as"), F.col("ac").alias("bc"), F.col("as").alias("bs"), F.col("depth").alias("more"))
-        nxt = at.join(up, ["ac", "as"], "left").select("conv_id", "seg", F.coalesce("bc", "ac").alias("ac"), F.coalesce("bs", "as").alias("as"), (F.col("depth") + F.coalesce("more", F.lit(0))).alias("depth"), F.col("bc").isNotNull().alias("moved"))
+        nxt = at.join(up, ["ac", "as"], "left").select("conv_id", "seg", F.coalesce("bc", "ac").alias("ac"), F.coalesce("bs", "as").alias("as"), (F.col("depth") + F.coalesce("more", F.lit(0.0))).alias("depth"), F.col("bc").isNotNull().alias("moved"))
         nxt = staged(nxt, "pointers")
         forget(at)
         at = nxt.drop("moved")
         if nxt.where("moved").isEmpty():
+            return linked, at, None
+    stuck = linked.where("step = 0 and by_quote").join(nxt.where("moved").select("conv_id", "seg"), ["conv_id", "seg"], "left_semi").select("conv_id", "turn")
+    return linked, at, stuck
+
+
+def _replies(rows: DataFrame) -> DataFrame:
+    """conv_id, turn, qc, qt (the message quoted), ahead (it has a larger number)."""
+    ids = rows.where("conv_id is not null and turn is not null")
+    said = ids.select("conv_id", "turn", F.explode("own").alias("h"))
+    here = said.groupBy("conv_id", "h").agg(F.min("turn").alias("t_here"))
+    anywhere = said.groupBy("h").agg(F.min(F.struct("conv_id", "turn")).alias("first"))
+    asked = ids.select("conv_id", "turn", F.explode("quoted").alias("q")).select("conv_id", "turn", F.col("q.level").alias("level"), F.col("q.h").alias("h"))
+    # A very common sentence is one row on the right side of both joins.
+    met = asked.join(here, ["conv_id", "h"], "left").join(anywhere, "h", "left")
+    there = F.struct(F.col("first.conv_id"), F.col("first.turn"))
+    earlier = (F.col("first.conv_id") < F.col("conv_id")) | ((F.col("first.conv_id") == F.col("conv_id")) & (F.col("first.turn") < F.col("turn")))
+    found = F.when(F.col("t_here") < F.col("turn"), F.struct("conv_id", F.col("t_here").alias("turn"))).when(earlier | (F.col("first.conv_id") > F.col("conv_id")), there)
+    votes = met.select("conv_id", "turn", "level", found.alias("origin")).where("origin is not null").groupBy("conv_id", "turn", "level", "origin").agg(F.count(F.lit(1)).alias("n"))
+    back = (F.col("origin.conv_id") <= F.col("conv_id")).cast("int").alias("back")
+    best = votes.groupBy("conv_id", "turn").agg(F.max(F.struct((-F.col("level")).alias("level"), back, "n", "origin")).alias("b"))
+    return best.select("conv_id", "turn", F.col("b.origin.conv_id").alias("qc"), F.col("b.origin.turn").alias("qt"), (F.col("b.back") == 0).alias("ahead"))
+
+
+def threads(messages: DataFrame) -> DataFrame:
+    """One row for each message: conv_id, turn, role, body, n_quoted, parent_conv, parent_turn, thread_conv, thread_turn, depth, place.
+
+    ``place`` counts from 0 within a thread by conversation and turn.
+    Null and empty texts have an empty body; a message with a null conv_id or turn is a thread of its own with a null place.  Rows that repeat
+    (conv_id, turn) share their parent.  Very long texts are parsed whole.  Other columns are ignored; an empty table gives no rows.
+    """
+    rows = staged(parsed(messages), "messages")
+    # The message before in the conversation, by a sorted window that streams.
+    nodes = rows.where("conv_id is not null and turn is not null").select("conv_id", "turn").distinct()
+    nodes = nodes.withColumn("before", F.lag("turn").over(Window.partitionBy("conv_id").orderBy("turn")))
+    best = staged(_replies(rows), "quotes")
+    for _ in range(2):
+        linked, at, stuck = _chains(nodes, best)
+        if stuck is None:
             break
+        # Links to larger numbers closed circles; without those of the messages in or before one, replies only lead back.
+        best = staged(best.where("not ahead").unionByName(best.where("ahead").join(stuck, ["conv_id", "turn"], "left_anti")), "quotes")
     else:
         raise RuntimeError("reply chains did not settle")
     heads = linked.where("step = 0").select(F.col("conv_id").alias("ac"), F.col("seg").alias("as"), F.col("turn").alias("at"))
-    quoted = at.join(heads, ["ac", "as"]).select("conv_id", "seg", "ac", "at", "depth")
+    quoted = at.join(heads, ["ac", "as"]).select("conv_id", "seg", "ac", "at", F.col("depth").cast("long").alias("depth"))
     plain = linked.where("step = 0 and not by_quote").select("conv_id", "seg", F.col("conv_id").alias("ac"), F.col("turn").alias("at"), F.lit(0).cast("long").alias("depth"))
     at = linked.join(quoted.unionByName(plain), ["conv_id", "seg"]).select("conv_id", "turn", "ac", "at", (F.col("depth") + F.col("step")).alias("depth"))
     order = Window.partitionBy("ac", "at").orderBy("conv_id", "turn")
@@ -147,23 +167,23 @@ def conversations(messages: DataFrame, most: int = 1000) -> DataFrame:
 
     A thread of more than ``most`` messages continues in further parts, so no row grows without bound.
     """
-    rows = threads(messages).where("place is not null").select("thread_conv", "thread_turn", "place", "role", "body")
+    rows = threads(messages).where("place is not null").select("thread_conv", "thread_turn", F.expr(f"place div {int(most)}").alias("part"), "place", "role", "body")
 
     def write(batches):
-        key, part, chat = None, 0, []
+        key, chat = None, []
 
         def row():
-            return pa.record_batch([pa.array([key[0]], pa.int64()), pa.array([key[1]], pa.int64()), pa.array([part], pa.int64()), pa.array([json.dumps(chat, ensure_ascii=False)])], ["thread_conv", "thread_turn", "part", "chat"])
+            return pa.record_batch([*(pa.array([k], pa.int64()) for k in key), pa.array([json.dumps(chat, ensure_ascii=False)])], ["thread_conv", "thread_turn", "part", "chat"])
 
         for batch in batches:
-            for c, t, _, role, body in zip(*(batch.column(i).to_pylist() for i in range(5))):
-                if key is not None and ((c, t) != key or len(chat) == most):
+            for c, t, p, _, role, body in zip(*(batch.column(i).to_pylist() for i in range(6))):
+                if key is not None and (c, t, p) != key:
                     yield row()
-                    part, chat = (part + 1 if (c, t) == key else 0), []
-                key = (c, t)
+                    chat = []
+                key = (c, t, p)
                 chat.append({"role": role or "user", "content": body})
         if key is not None:
             yield row()
 
-    dealt = rows.repartition("thread_conv", "thread_turn").sortWithinPartitions("thread_conv", "thread_turn", "place")
-    return dealt.mapInArrow(write, "thread_conv long, thread_turn long, part long, chat string")
+    by = ["thread_conv", "thread_turn", "part"]
+    return rows.repartition(*by).sortWithinPartitions(*by, "place").mapInArrow(write, "thread_conv long, thread_turn long, part long, chat string")

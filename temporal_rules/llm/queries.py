@@ -56,9 +56,10 @@ def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_quote_threads(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from .chat_threads import threads
+    """Reply-ordered conversations without quotes."""
+    from .chat_threads import conversations
 
-    return threads(table(spark, sf_dir, "conversations"))
+    return conversations(table(spark, sf_dir, "conversations"))
 
 
 def op8_shard_table(spark: SparkSession, sf_dir: str) -> DataFrame:

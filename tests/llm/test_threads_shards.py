@@ -28,18 +28,31 @@ def brute(rows):
         for s in ct.sentences(body):
             own.setdefault((k[0], s), k)
             own.setdefault(s, k)
-    parent = {}
+    parent, ahead = {}, set()
+    before = {k: max((q for q in info if q[0] == k[0] and q[1] < k[1]), default=None) for k in info}
     for k, (_, quotes) in info.items():
         votes = Counter()
         for level, p in quotes:
-            for s in ct.sentences(p) if level == 1 else ():
+            for s in ct.sentences(p):
                 here, first = own.get((k[0], s)), own.get(s)
                 if here and here < k:
-                    votes[here] += 1
-                elif first and first < k:
-                    votes[first] += 1
-        before = [q for q in info if q[0] == k[0] and q[1] < k[1]]
-        parent[k] = max(votes, key=lambda q: (votes[q], q)) if votes else max(before, default=None)
+                    votes[level, here] += 1
+                elif first and (first < k or first[0] > k[0]):
+                    votes[level, first] += 1
+        best = max(votes, key=lambda q: (-q[0], q[1][0] <= k[0], votes[q], q[1])) if votes else None
+        parent[k] = best[1] if best else before[k]
+        if best and best[1][0] > k[0]:
+            ahead.add(k)
+
+    def ends(k):
+        for _ in range(len(info) + 1):
+            if k is None:
+                return True
+            k = parent[k]
+        return False
+
+    for k in [k for k in ahead if not ends(k)]:
+        parent[k] = before[k]
     out = {}
     for k in info:
         root, depth = k, 0
@@ -55,11 +68,15 @@ def test_threads(spark):
     for c in range(12):
         said = []
         for t in range(rng.randrange(1, 9)):
-            lines = [f"Point {rng.randrange(40)} of {c}. It is so." if rng.random() < 0.8 else "Hello."]
+            lines = [f"Point {rng.randrange(4)} of {c}. It is so." if rng.random() < 0.8 else "Hello."]
             for q in rng.sample(said, min(len(said), rng.randrange(3))):
                 lines += ["", "> " + q.replace(". ", ".\n> ")]
             if rows and rng.random() < 0.2:
                 lines += ["> " + rng.choice(rows)[3].split("\n")[0].lstrip("> ")]
+            if rng.random() < 0.15:
+                lines += [f"> Point {rng.randrange(4)} of {rng.randrange(12)}."]
+            if rng.random() < 0.15:
+                lines += ["> nobody said this", f">> Point {rng.randrange(4)} of {rng.randrange(12)}."]
             text = "\n".join(lines)
             said.append(lines[0])
             rows.append((c, t, rng.choice(["user", "assistant"]), text))
@@ -71,6 +88,7 @@ def test_threads(spark):
         body, parent, root, depth = want[r.conv_id, r.turn]
         assert (r.body, r.depth, (r.thread_conv, r.thread_turn)) == (body, depth, root)
         assert ((r.parent_conv, r.parent_turn) if r.parent_conv is not None else None) == parent
+    assert any(r.parent_conv is not None and r.parent_conv > r.conv_id for r in got)
     assert any(r.by_quote for r in got) and any(r.thread_conv != r.conv_id for r in got)
     chats = ct.conversations(df, most=3).collect()
     assert sum(len(json.loads(x.chat)) for x in chats) == len(rows)
@@ -133,3 +151,10 @@ def test_placement(spark, sf, tmp_path):
     odd = spark.createDataFrame([(None, "a"), (1, None), (1, "b")], "doc_id long, text string")
     assert len({r.shard for r in st.place(odd, names, ["doc_id"]).where("doc_id = 1").collect()}) == 1 and st.place(odd, names, ["doc_id"]).count() == 3
     assert st.place(odd.limit(0), names, ["doc_id"]).collect() == []
+
+
+def test_circles_of_quotes_are_cut(spark):
+    rows = [(1, 0, "user", "Alpha is here.\n> Beta is here."), (2, 0, "user", "Beta is here.\n> Alpha is here."), (0, 0, "user", "Gamma.\n> Beta is here."), (3, 0, "user", "Delta.\n> unknown words\n>> Alpha is here.")]
+    got = {r.conv_id: r for r in ct.threads(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).collect()}
+    assert (got[2].parent_conv, got[1].parent_conv, got[3].parent_conv) == (1, None, 1)
+    assert got[0].parent_conv is None and got[3].thread_conv == got[2].thread_conv == 1
