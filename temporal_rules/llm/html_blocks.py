@@ -45,6 +45,25 @@ ATTRIBUTE = re.compile(r"(class|id|role|aria-hidden|style|itemprop|hidden)(?:\s*
 SIGN = re.compile(r"^\W+|\W+$")
 
 
+def closed(page: str) -> str:
+    """The page without tags that would hide its rest: self-closed graphics, a head or another such element that is never closed."""
+    low = page.lower()
+    if "<svg" in low:
+        page = re.sub(r"<svg\b[^>]*/>", " ", page, flags=re.I)
+        low = page.lower()
+    for name in ("head", "svg", "select", "object", "canvas"):
+        if f"<{name}" not in low:
+            continue
+        last = low.rfind(f"</{name}")
+        tail = re.sub(rf"<{name}(?=[\s>])[^>]*>", " ", page[last + 1 :], flags=re.I)
+        if len(tail) != len(page) - last - 1:
+            if name == "head":
+                tail = re.sub(r"<title\b[^>]*>.*?</title\s*>", " ", tail, flags=re.I | re.S)
+            page = page[: last + 1] + tail
+            low = page.lower()
+    return page
+
+
 class Block:
     __slots__ = ("text", "linked", "furniture", "article", "heading", "label")
 
@@ -92,7 +111,7 @@ def blocks_of(page: str) -> list[Block]:
         if in_link:
             linked += len(text.strip())
 
-    for m in TOKEN.finditer(page):
+    for m in TOKEN.finditer(closed(page)):
         if m.start() > at:
             add(page[at : m.start()])
         at = m.end()
