@@ -145,7 +145,10 @@ def mixed_documents(docs: DataFrame, **how) -> DataFrame:
     """The mix as rows of docs: a document taken more than once is repeated, one of which only the
     first words are taken is cut after them, one that is not taken is left out.
 
-    All columns stay as they are, but ``n_chars``, where there is one, follows a cut text.
+    All columns stay as they are, whatever their names, but ``n_chars``, where there is one, follows a cut text.  Null
+    and empty texts have no words and are left out; null sources and doc_ids are mixed like others; of rows that repeat
+    doc_id and text the first by all their columns stands for all; very long texts are cut like others; an
+    empty table gives no rows.
     """
     import re
 
@@ -153,11 +156,16 @@ def mixed_documents(docs: DataFrame, **how) -> DataFrame:
     seed = how.get("seed", 17)
     taken = taken_words(mix(docs, **how)).groupBy("doc_id", "salt").agg(F.sum("taken").alias("__taken"), F.max("size").alias("__size"), F.count(F.lit(1)).alias("__rows"))
     taken = staged(taken, "taken")
-    salted = docs.withColumn("__salt", F.xxhash64(F.lit(seed), F.col("doc_id").cast("long"), F.xxhash64("text")))
+    # A row travels as one struct, so no column of it meets a helper's name.
+    packed = docs.select(F.struct(*(F.col(f"`{c}`") for c in columns)).alias("__row"), F.col("doc_id").cast("long").alias("__id"), F.xxhash64(F.lit(seed), F.col("doc_id").cast("long"), F.xxhash64("text")).alias("__salt"))
     if not taken.where("__rows > 1").isEmpty():  # rows that are one and the same share what is taken of them
-        salted = salted.dropDuplicates(["doc_id", "__salt"])
-    t = taken.where("__taken > 0").select(F.col("doc_id").alias("__id"), "salt", "__taken", "__size")
-    rows = salted.join(t, F.col("doc_id").cast("long").eqNullSafe(F.col("__id")) & (F.col("__salt") == F.col("salt"))).select(*columns, "__taken", "__size")
+        again = taken.where("__rows > 1").select(F.col("doc_id").alias("__a"), F.col("salt").alias("__b"))
+        same = F.col("__id").eqNullSafe(F.col("__a")) & (F.col("__salt") == F.col("__b"))
+        some = packed.join(again, same, "left_semi").withColumn("__text", F.to_json("__row"))
+        once = some.groupBy("__id", "__salt").agg(F.min_by("__row", "__text").alias("__row")).select("__row", "__id", "__salt")
+        packed = packed.join(again, same, "left_anti").unionByName(once)
+    t = taken.where("__taken > 0").select(F.col("doc_id").alias("__doc"), F.col("salt").alias("__hash"), "__taken", "__size")
+    rows = packed.join(t, F.col("__id").eqNullSafe(F.col("__doc")) & (F.col("__salt") == F.col("__hash"))).select("__row", "__taken", "__size")
     word = re.compile(r"[^\x20\x09-\x0D]+")
     at, chars = columns.index("text"), columns.index("n_chars") if "n_chars" in columns else None
 
@@ -171,7 +179,7 @@ def mixed_documents(docs: DataFrame, **how) -> DataFrame:
         for batch in batches:
             n, size = batch.column("__taken").to_numpy(), batch.column("__size").to_numpy()
             whole, part = n // size, n % size
-            base = batch.drop_columns(["__taken", "__size"]) if hasattr(batch, "drop_columns") else batch.select(columns)
+            base = pa.RecordBatch.from_arrays(batch.column("__row").flatten(), columns)
             yield base.take(pa.array(np.repeat(np.arange(len(n)), whole)))
             some = np.flatnonzero(part)
             if len(some):

@@ -52,15 +52,14 @@ def crc(ids):
 
 
 def test_token_files_round_trip(spark, odd, library):
-    store = token_store.write_store(odd, vocabulary(), 0, rows_per_shard=3)
+    store = token_store.write_store(odd, vocabulary(), 0, shard_bytes=150)
     got = [tuple(r) for r in store.documents(spark).collect()]
     rows = sorted(odd.collect(), key=lambda r: (r.doc_id is not None, r.doc_id or 0))
-    at, want = 0, []
-    for r in rows:
-        ids = expected_ids(library, r.text, 0)
-        want.append((r.doc_id, at, len(ids), crc(ids)))
-        at += len(ids)
-    assert sorted(got, key=lambda r: r[1]) == want
+    want = [(r.doc_id, len(x := expected_ids(library, r.text, 0)), crc(x)) for r in rows]
+    got.sort(key=lambda r: r[1])
+    # Rows that repeat a doc_id may stand in any order.
+    assert sorted((g[0] is not None, g[0] or 0, *g[2:]) for g in got) == sorted((w[0] is not None, w[0] or 0, *w[1:]) for w in want)
+    assert [g[0] for g in got] == [w[0] for w in want] and [g[1] for g in got] == np.cumsum([0, *(g[2] for g in got)])[:-1].tolist()
     assert len(store.shards) > 1
     for name, _, _ in store.shards:
         for one in token_store.read_document(store.path, name, 7):
@@ -172,3 +171,53 @@ def test_schedule_follows_weights(spark):
         assert abs(src[:i].count(0) - i / 2) <= 5 and abs(src[:i].count(1) - i / 6) <= 5
     for s in range(3):
         assert [r.k for r in rows if r.src == s] == list(range(src.count(s)))
+
+
+def test_mixed_documents_keep_clashing_columns(spark):
+    names = ["salt", "__size", "__taken", "__rows", "__id", "__salt", "__row", "slot", "key", "a.b"]
+    rows = [(i, f"word{i} and five more words here", "ab"[i % 2], *(f"{n}{i}" for n in names)) for i in range(30)] + [(3, "word3 and five more words here", "b", *("x" * len(names)))]
+    rows += [(None, "no id but words", None, *("y" * len(names))), (40, None, "a", *("z" * len(names))), (41, "", "a", *("z" * len(names)))]
+    docs = spark.createDataFrame(rows, ["doc_id", "text", "source", *names])
+    got = mixing.mixed_documents(docs).collect()
+    assert got and got[0].__fields__ == docs.columns
+    known = {(r[0], r[3], r[12]) for r in rows}
+    assert all((r[0], r[3], r[12]) in known for r in got) and not any(r.doc_id in (40, 41) for r in got)
+    have, want = Counter(), Counter()
+    for r in got:
+        have[r.doc_id] += len(r.text.split())
+    for r in mixing.taken_words(mixing.mix(docs)).collect():
+        want[r.doc_id] += r.taken
+    assert have == +want
+    assert mixing.mixed_documents(docs.limit(0)).collect() == []
+
+
+def brute_mix(docs, weights=(3, 1, 2), share=1.5, most=2.0):
+    """Words taken of each document, slot by slot: the schedule's points, the sources' shuffled words, lap after lap."""
+    sizes = Counter()
+    for d in docs:
+        sizes[d["source"]] += d["size"]
+    wanted = mixing.targets(dict(sizes), weights, share, most)
+    names = list(wanted)
+    quota = [min(int(wanted[s] + 0.5), int(most * sizes[s])) for s in names]
+    stream = {s: [] for s in names}
+    for d in sorted(docs, key=lambda d: (d["salt"], d["doc_id"])):
+        stream[d["source"]] += [d["doc_id"]] * d["size"]
+    out = Counter()
+    for s, q in zip(names, quota):
+        for w in range(q):
+            out[stream[s][w % len(stream[s])]] += 1
+    return wanted, out
+
+
+def test_taken_words_by_brute_force(spark):
+    rng = np.random.default_rng(3)
+    rows = [(i, " ".join(["w"] * int(rng.integers(0, 30))), "abcd"[int(rng.integers(0, 4))]) for i in range(120)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = mixing.taken_words(mixing.mix(docs)).collect()
+    wanted, taken = brute_mix([{"doc_id": r.doc_id, "source": r.source, "size": len(rows[r.doc_id][1].split()), "salt": r.salt} for r in got])
+    by_source = Counter()
+    for r in got:
+        assert r.target == pytest.approx(wanted[r.source]) and r["size"] == len(rows[r.doc_id][1].split())
+        by_source[r.source] += r.taken
+    assert {r.doc_id: r.taken for r in got if r.taken} == dict(taken)
+    assert all(abs(by_source[s] - wanted[s]) <= 1 for s in wanted)
