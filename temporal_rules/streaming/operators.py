@@ -14,8 +14,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from pyspark.sql.types import LongType, StringType, StructField, StructType
 
-from ..model import HI, LO, Range
-from ..operators.unary import Transform, as_transform
+from ..model import HI, LO, Range, TemporalRelation, Timeline
+from ..operators.unary import Transform, as_transform, shift_ends
 
 
 def stream_diamond(sdf: DataFrame, op: str, rng: Range, scale: int = 1) -> DataFrame:
@@ -23,7 +23,10 @@ def stream_diamond(sdf: DataFrame, op: str, rng: Range, scale: int = 1) -> DataF
     t = as_transform(op, rng)
     if not t.widen or t.start is None or t.end is None:
         raise ValueError("only sometime-operators over bounded ranges are stateless")
-    return sdf.withColumn(LO, F.col(LO) + scale * t.start).withColumn(HI, F.col(HI) + scale * t.end)
+    timeline = Timeline(scale == 2)
+    t = as_transform(op, rng.on(timeline))
+    moved = shift_ends(TemporalRelation(sdf, tuple(c for c in sdf.columns if c not in (LO, HI)), timeline), t)
+    return moved.df.select(*sdf.columns)
 
 
 def _islands(rows: list[list[int]], lo: int, hi: int) -> tuple[list[list[int]], list[int], bool]:
@@ -54,6 +57,8 @@ class _Merge(StatefulProcessor):
         for lo, hi in rows:
             if self.shrink is not None:
                 lo, hi = lo + self.scale * self.shrink.start, hi + self.scale * self.shrink.end
+                if self.scale == 2:  # an open end of an always-operator closes the result's end
+                    lo, hi = (lo - (lo & 1) if self.shrink.start_open else lo), (hi + (hi & 1) if self.shrink.end_open else hi)
             if lo <= hi:
                 out.append((*key, lo, hi))
         return pd.DataFrame(out, columns=[*self.keys, LO, HI])
@@ -67,7 +72,7 @@ class _Merge(StatefulProcessor):
             self.state.update((json.dumps(kept),)) if kept else self.state.clear()
         return gone
 
-    def handleInputRows(self, key, rows, timer):
+    def handleInputRows(self, key, rows, timerValues):
         islands, changed = self._load(), []
         for pdf in rows:
             for lo, hi in zip(pdf["lo"].tolist(), pdf["hi"].tolist()):
@@ -80,8 +85,8 @@ class _Merge(StatefulProcessor):
         if not self.final:
             yield self._out(key, changed)
 
-    def handleExpiredTimer(self, key, timer, expired):
-        gone = self._expire(expired.getExpiryTimeInMs())
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo):
+        gone = self._expire(expiredTimerInfo.getExpiryTimeInMs())
         if self.final:
             yield self._out(key, gone)
         left = self._load()
@@ -112,8 +117,10 @@ def stream_merge(sdf: DataFrame, keys: list[str], mode: str = "update", gap: int
 
 def stream_box(sdf: DataFrame, keys: list[str], op: str, rng: Range, scale: int = 1, ticks_per_ms: float = 1.0, mode: str = "update") -> DataFrame:
     """An always-operator: merge, then shrink.  In update mode a part that is long enough is emitted at once, as
-    later facts can only lengthen it; append mode waits for the watermark."""
-    t = as_transform(op, rng)
+    later facts can only lengthen it; append mode waits for the watermark.  ``scale`` is 2 on a dense timeline's cells."""
+    t = as_transform(op, rng.on(Timeline(scale == 2)))
+    if t.widen or t.start is None or t.end is None:
+        raise ValueError("an always-operator over a bounded range")
     p = _Merge(keys, mode == "append", 0, t, scale, ticks_per_ms)
     return _named(sdf).groupBy(*keys).transformWithStateInPandas(p, outputStructType=_schema(sdf, keys), outputMode="Append" if mode == "append" else "Update", timeMode="EventTime")
 
@@ -131,39 +138,59 @@ def stream_join(left: DataFrame, right: DataFrame, on: list[str], at_left: str,
 
 
 class _Ordered(StatefulProcessor):
-    """Rows of both sides wait until the watermark is past them, then a pure function of (left, right) intervals
-    answers for the closed time; negation, since and until need that."""
+    """Both sides' facts wait until the watermark is past what an answer needs; then the closed time is answered and all
+    that no later answer can read is dropped, so a key that never pauses keeps a bounded state.
+
+    The answer at an instant reads from ``before`` ticks earlier to ``after`` ticks later.  Facts that are cut leave an
+    island that begins one tick before what is kept, so what held throughout still does.
+    """
 
     def __init__(self, keys: list[str], kind: str, rng: tuple[int, int], ticks_per_ms: float):
         self.keys, self.kind, self.range, self.ticks = keys, kind, rng, ticks_per_ms
+        self.before = rng[1] + 1 if kind == "since" else 0
+        self.after = rng[1] + 1 if kind == "until" else 0
 
     def init(self, handle):
         self.handle = handle
         self.state = handle.getValueState("rows", StructType([StructField("v", StringType())]))
 
-    def handleInputRows(self, key, rows, timer):
-        kept = json.loads(self.state.get()[0]) if self.state.exists() else {"l": [], "r": []}
+    def _load(self):
+        return json.loads(self.state.get()[0]) if self.state.exists() else {"l": [], "r": [], "done": None}
+
+    def _wait(self, kept, now_ms):
+        """A timer for when the first instant that is not answered yet will be closed."""
+        ends = [x[1] for v in (kept["l"], kept["r"]) for x in v]
+        if ends:
+            first = min(x[0] for v in (kept["l"], kept["r"]) for x in v)
+            first = max(first, kept["done"] + 1) if kept["done"] is not None else first
+            last = max(ends) + self.before + self.after
+            if first <= last:
+                self.handle.registerTimer(max(int((first + self.after) / self.ticks) + 2, now_ms + 1))
+
+    def handleInputRows(self, key, rows, timerValues):
+        kept = self._load()
         for pdf in rows:
             for side, lo, hi in zip(pdf["side"], pdf["lo"], pdf["hi"]):
-                kept[side].append([int(lo), int(hi)])
+                kept[side], _, _ = _islands(kept[side], int(lo), int(hi))
         self.state.update((json.dumps(kept),))
-        last = max(x[1] for v in kept.values() for x in v)
-        self.handle.registerTimer(int((last + self.range[1]) / self.ticks) + 2)
+        self._wait(kept, timerValues.getCurrentWatermarkInMs())
         return iter(())
 
-    def handleExpiredTimer(self, key, timer, expired):
-        kept = json.loads(self.state.get()[0]) if self.state.exists() else {"l": [], "r": []}
-        limit = expired.getExpiryTimeInMs() * self.ticks - self.range[1]
-        if any(x[1] >= limit for v in kept.values() for x in v):
-            return
-        self.state.clear()
-        merged = {}
-        for side in ("l", "r"):
-            out: list[list[int]] = []
-            for lo, hi in kept[side]:
-                out, _, _ = _islands(out, lo, hi)
-            merged[side] = out
-        got = answer(self.kind, merged["l"], merged["r"], self.range)
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo):
+        kept = self._load()
+        now = max(expiredTimerInfo.getExpiryTimeInMs(), timerValues.getCurrentWatermarkInMs())
+        closed = int(now * self.ticks) - 1 - self.after  # facts that may still come begin later
+        start = kept["done"]
+        got = [[max(lo, start + 1) if start is not None else lo, min(hi, closed)] for lo, hi in answer(self.kind, kept["l"], kept["r"], self.range)]
+        keep = closed - self.before  # instants up to here are read by no later answer
+        rest = {side: [[max(lo, keep - 1), hi] for lo, hi in kept[side] if hi >= keep] for side in ("l", "r")}
+        rest["done"] = closed if start is None else max(start, closed)
+        if rest["l"] or rest["r"]:
+            self.state.update((json.dumps(rest),))
+            self._wait(rest, now)
+        else:
+            self.state.clear()
+        got = [g for g in got if g[0] <= g[1]]
         if got:
             yield pd.DataFrame([(*key, lo, hi) for lo, hi in got], columns=[*self.keys, LO, HI])
 
