@@ -191,3 +191,10 @@ def test_indexed_probing_equals_hash_join(spark):
     for op in unary.OPERATORS:
         cells = {tuple(x) for x in baselines.pointwise(l, op, Range(1, 2)).collect()}
         assert cells == {(x.k, c) for x in unary.OPERATORS[op](l, Range(1, 2)).df.collect() for c in range(x[LO], x[HI] + 1)}
+
+
+def test_recursive_sums_give_way_to_larger_ones(spark):
+    rules = "near(S) :- seed(S). near(S) :- total(S, T), T > 50. total(S, T) :- near(Y), own(Y, S, P), T = msum(P, <Y>)."
+    own = rel(spark, [("a", "b", 60, 0, 10), ("a", "c", 30, 0, 10), ("b", "c", 30, 5, 10), ("c", "d", 70, 0, 10)], "y", "x", "p")
+    e = Engine(rules, {"seed": rel(spark, [("a", 0, 10)], "z"), "own": own})
+    assert [(s, int(t), a, b) for s, t, a, b in got(e.query("total"))] == [("b", 60, 0, 10), ("c", 30, 0, 5), ("c", 60, 5, 10), ("d", 70, 5, 10)]
