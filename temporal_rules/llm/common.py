@@ -29,6 +29,22 @@ def reach_workers(spark: SparkSession, rows: int = 1_000, size: int = 6 << 20) -
         env["PYTHONPATH"] = os.pathsep.join(x for x in (known, PACKAGE_HOME) if x)
 
 
+_kept: dict = {}
+
+
+def kept(key, make):
+    """A large model that a worker keeps from task to task: one at a time."""
+    if key not in _kept:
+        _kept.clear()
+        _kept[key] = make()
+    return _kept[key]
+
+
+def let_go() -> None:
+    """Free it; called by tasks that hold a large model of another kind, which the same workers run."""
+    _kept.clear()
+
+
 def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{shared_folder(spark)}/llm-{name}-{uuid.uuid4().hex}"
 

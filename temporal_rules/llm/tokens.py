@@ -16,14 +16,13 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
+from .common import kept
+
 _MARK = {"\x01": ",", "\x02": ".", "\x03": ""}
-_encoders: dict[str, "BatchEncoder"] = {}
 
 
 def encoder(path: str) -> "BatchEncoder":
-    if path not in _encoders:
-        _encoders[path] = BatchEncoder(path)
-    return _encoders[path]
+    return kept(("encoder", path), lambda: BatchEncoder(path))
 
 
 def by_bytes(batch: pa.RecordBatch, column: int, limit: int = 6 << 20):

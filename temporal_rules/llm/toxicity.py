@@ -18,10 +18,11 @@ from collections import Counter
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import forget, reach_workers, staged
+from .common import forget, let_go, reach_workers, staged
 from .shingles import shingle_hashes
 
 WORD = re.compile(r"[^\W_]+")
@@ -42,19 +43,44 @@ def likelihood_ratio(a: int, b: int, n1: int, n0: int) -> float:
     return 2 * out
 
 
+def word_hash(word: str) -> int:
+    return xxhash.xxh64_intdigest(word.encode("utf-8", "surrogatepass"), 42)
+
+
 class Vocabulary:
-    def __init__(self, weight: dict[str, float]):
-        self.number = {w: i for i, w in enumerate(sorted(weight))}
-        self.weight = np.array([weight[w] for w in self.number])
+    """Terms by 64-bit hashes of their words, in order, each with its weight: 16 bytes a term, whatever the words."""
+
+    #: Words whose numbers are remembered.
+    RECENT = 1 << 16
+
+    def __init__(self, hashes: np.ndarray, weight: np.ndarray):
+        order = np.argsort(hashes, kind="stable")
+        self.hashes, self.weight = hashes[order], weight[order]
+        self.recent: dict[str, int] = {}
+
+    def __getstate__(self):
+        return self.__dict__ | {"recent": {}}
+
+    def numbers(self, words: list[str]) -> np.ndarray:
+        """Term numbers of distinct words, -1 for unknown ones."""
+        new = [w for w in words if w not in self.recent]
+        if new and len(self.hashes):
+            if len(self.recent) + len(new) > self.RECENT:
+                self.recent.clear()
+                new = words
+            h = np.fromiter(map(word_hash, new), np.uint64, len(new))
+            at = np.minimum(np.searchsorted(self.hashes, h), len(self.hashes) - 1)
+            self.recent.update(zip(new, np.where(self.hashes[at] == h, at, -1).tolist()))
+        return np.fromiter((self.recent.get(w, -1) for w in words), np.int32, len(words))
 
     def vector(self, text: str | None) -> tuple[np.ndarray, np.ndarray]:
         """Term numbers in order and weights of unit norm; empty where no word is known."""
-        get = self.number.get
-        tf = {i: n for w, n in Counter(terms_of(text)).items() if (i := get(w)) is not None}
-        terms = np.fromiter(tf, np.int32, len(tf))
-        order = np.argsort(terms)
-        terms = terms[order]
-        raw = (1 + np.log(np.fromiter(tf.values(), float, len(tf))[order])) * self.weight[terms]
+        count = Counter(terms_of(text))
+        terms, tf = self.numbers(list(count)), np.fromiter(count.values(), float, len(count))
+        known = np.flatnonzero(terms >= 0)
+        known = known[np.argsort(terms[known])]
+        terms = terms[known]
+        raw = (1 + np.log(tf[known])) * self.weight[terms]
         return terms, raw / (math.sqrt(float(raw @ raw)) or 1.0)
 
 
@@ -90,7 +116,8 @@ class BlockMaxIndex:
         self.original = alike(self.matrix, self.block)
         self.spot = np.empty(self.size, np.int32)
         self.spot[self.original] = np.arange(self.size, dtype=np.int32)
-        self.matrix = self.matrix[self.original]
+        self.matrix[:] = 0  # filled again in the new order: no second matrix
+        self.matrix[self.spot[rows[at >= 0]], at[at >= 0]] = self.weights[at >= 0]
         self.edges = list(range(0, self.size, self.block))
         self.greatest = np.maximum.reduceat(self.matrix, self.edges, axis=0) if self.size else self.matrix
         length = np.sqrt((self.matrix * self.matrix).sum(axis=1))
@@ -141,8 +168,13 @@ class BlockMaxIndex:
         dense[of[place >= 0], place[place >= 0]] = weights[place >= 0]
         rare, whose, by = terms[place < 0], of[place < 0], weights[place < 0]
         lengths = self.post_start[rare + 1] - self.post_start[rare]
-        entry = np.repeat(self.post_start[rare] - np.cumsum(lengths) + lengths, lengths) + np.arange(lengths.sum())
-        score = np.bincount(np.repeat(whose * self.size, lengths) + self.post_row[entry], np.repeat(by, lengths) * self.post_weight[entry], n * self.size).astype(float).reshape(n, self.size)
+        score = np.empty((n, self.size))
+        for lo in range(0, n, 8):  # few queries at a time: their postings are many
+            hi = min(n, lo + 8)
+            some = slice(*np.searchsorted(whose, [lo, hi]))
+            size, start = lengths[some], self.post_start[rare[some]]
+            entry = np.repeat(start - np.cumsum(size) + size, size) + np.arange(size.sum())
+            score[lo:hi] = np.bincount(np.repeat((whose[some] - lo) * self.size, size) + self.post_row[entry], np.repeat(by[some], size) * self.post_weight[entry], (hi - lo) * self.size).reshape(hi - lo, self.size)
         for i, skip in enumerate(skips):
             if skip:
                 score[i, self.spot[list(skip)]] = -2.0
@@ -192,7 +224,7 @@ def alike(rows: np.ndarray, block: int) -> np.ndarray:
         if len(some) <= block:
             done.append(some)
             continue
-        x = rows[some]
+        x = rows if len(some) == len(rows) else rows[some]
         mean = x.mean(axis=0)
         v = np.random.default_rng(7).standard_normal(x.shape[1]).astype(np.float32)
         for _ in range(8):
@@ -308,10 +340,10 @@ def fit(docs: DataFrame, labels: DataFrame, examples: int = 16_384, k: int = 15)
 
     def spell(batches):
         for batch in batches:
-            rows = [(copy_of(t), y, sorted(set(terms_of(t)))) for t, y in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist())]
-            yield pa.record_batch([pa.array([c for c, _, _ in rows], pa.int64()), pa.array([y for _, y, _ in rows], pa.int32()), pa.array([w for _, _, w in rows], pa.list_(pa.string()))], ["copy", "toxic", "words"])
+            rows = [(copy_of(t), y, np.fromiter(map(word_hash, set(terms_of(t))), np.uint64).view(np.int64)) for t, y in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist())]
+            yield pa.record_batch([pa.array([c for c, _, _ in rows], pa.int64()), pa.array([y for _, y, _ in rows], pa.int32()), pa.array([w for _, _, w in rows], pa.list_(pa.int64()))], ["copy", "toxic", "words"])
 
-    spelt = staged(sample.select("text", "toxic").mapInArrow(spell, "copy long, toxic int, words array<string>"), "examples")
+    spelt = staged(sample.select("text", "toxic").mapInArrow(spell, "copy long, toxic int, words array<long>"), "examples")
     sizes = {r["toxic"]: r["n"] for r in spelt.select("copy", "toxic").distinct().groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     n1, n0 = sum(n for y, n in sizes.items() if y), sizes.get(0, 0)
     n = float(n1 + n0)
@@ -319,9 +351,9 @@ def fit(docs: DataFrame, labels: DataFrame, examples: int = 16_384, k: int = 15)
     a, b = F.col("a").cast("double"), F.col("b").cast("double")
     term = lambda x, rows, cols: F.when(x > 0, x * F.log(x * n / (rows * cols))).otherwise(0.0)
     ratio = 2 * (term(a, F.lit(float(n1)), a + b) + term(b, F.lit(float(n0)), a + b) + term(n1 - a, F.lit(float(n1)), n - a - b) + term(n0 - b, F.lit(float(n0)), n - a - b)) if n1 and n0 else F.lit(0.0)
-    # One weight for each word of the examples, whose number is bounded.
+    # One hash and weight for each word of the examples, whose number is bounded.
     table = counts.select("word", (F.log(1 + n / (a + b)) * (1 + F.greatest(ratio, F.lit(0.0)))).alias("weight")).toArrow()
-    vocabulary = Vocabulary(dict(zip(table.column(0).to_pylist(), table.column(1).to_pylist())))
+    vocabulary = Vocabulary(table.column(0).to_numpy().view(np.uint64), table.column(1).to_numpy())
     del table
     shared = docs.sparkSession.sparkContext.broadcast(vocabulary)
 
@@ -344,6 +376,7 @@ def fit(docs: DataFrame, labels: DataFrame, examples: int = 16_384, k: int = 15)
     searched = docs.sparkSession.sparkContext.broadcast(wordless)
 
     def vote(batches):
+        let_go()
         for batch in batches:
             yield pa.record_batch([batch.column(0), pa.array(searched.value.votes(batch.column(0).to_pylist()), pa.float64())], ["id", "vote"])
 
@@ -365,6 +398,7 @@ def score_documents(docs: DataFrame, scorer: Scorer) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast(scorer)
 
     def score(batches):
+        let_go()
         s = shared.value
         for batch in batches:
             got = s.score(batch.column(1).to_pylist())
@@ -388,6 +422,7 @@ def without_toxic(docs: DataFrame, scorer: Scorer, threshold: float = 0.5) -> Da
     at = docs.columns.index("text")
 
     def keep(batches):
+        let_go()
         for batch in batches:
             yield batch.filter(pa.array([x < threshold for x, _ in shared.value.score(batch.column(at).to_pylist())], pa.bool_()))
 
