@@ -25,12 +25,12 @@ from pyspark.sql import functions as F
 from .common import forget, let_go, reach_workers, staged
 from .shingles import shingle_hashes
 
-WORD = re.compile(r"[^\W_]+")
+WORD = re.compile(r"\w+")
 
 
 def terms_of(text: str | None) -> list[str]:
-    """Words in lower case."""
-    return WORD.findall((text or "").lower())
+    """Words in lower case; an underscore parts words."""
+    return WORD.findall((text or "").lower().replace("_", " "))
 
 
 def likelihood_ratio(a: int, b: int, n1: int, n0: int) -> float:
@@ -168,7 +168,7 @@ class BlockMaxIndex:
         dense[of[place >= 0], place[place >= 0]] = weights[place >= 0]
         rare, whose, by = terms[place < 0], of[place < 0], weights[place < 0]
         lengths = self.post_start[rare + 1] - self.post_start[rare]
-        score = np.empty((n, self.size))
+        score = np.empty((n, self.size), np.float32)
         for lo in range(0, n, 8):  # few queries at a time: their postings are many
             hi = min(n, lo + 8)
             some = slice(*np.searchsorted(whose, [lo, hi]))
@@ -254,7 +254,7 @@ class Scorer:
     """What a machine needs to score texts: all parts are bounded by the examples and their words."""
 
     #: Texts searched together.
-    AT_ONCE = 64
+    AT_ONCE = 256
 
     def __init__(self, vocabulary: Vocabulary, ids: list[int], labels: list[int], vectors: list, copies: list[int], k: int):
         full = [i for i, (t, _) in enumerate(vectors) if len(t)]
