@@ -149,6 +149,32 @@ def test_streaming_states_end_in_the_islands(spark):
     assert islands <= {tuple(x) for x in got.df.collect()}
 
 
+def test_streaming_states_of_many_keys(spark):
+    """Batches cut keys anywhere; no Python call is made for each key."""
+    rng = random.Random(21)
+    rows = [(rng.randrange(150) if rng.random() < 0.6 else None, lo, lo + rng.randrange(6), i) for i, lo in enumerate(rng.randrange(200) for _ in range(400))]
+    df = spark.createDataFrame(rows, f"k int, {LO} long, {HI} long, seq int")
+    want = []
+    for k in {x[0] for x in rows}:
+        seen = []
+        for _, a, b, _ in (x for x in rows if x[0] == k):
+            if any(x <= a and b <= y for x, y in seen):
+                continue
+            touch = [(x, y) for x, y in seen if x <= b + 1 and a <= y + 1]
+            a, b = min([a, *(x for x, _ in touch)]), max([b, *(y for _, y in touch)])
+            seen = [s for s in seen if s not in touch] + [(a, b)]
+            want.append((k, a, b))
+    states = merge.stream_states(TemporalRelation(df, ("k",)), "seq").df
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "7")
+    try:
+        got = [tuple(x) for x in states.collect()]
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    order = lambda x: (x[0] is None, x[0] or 0, *x[1:])
+    assert sorted(got, key=order) == sorted(want, key=order)
+    assert "FlatMapGroups" not in states._jdf.queryExecution().toString()
+
+
 def test_keyless_join_and_minus(spark):
     rng = random.Random(5)
     a = [(f"a{i}", lo, hi) for i, (_, lo, hi) in enumerate(random_rows(rng, 12, 5))] + [("inf", NEG, 5), ("all", NEG, POS)]
