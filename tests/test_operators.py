@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from temporal_rules.model import DAYS, HI, LO, NEG, POS, STEPS, Range, TemporalRelation, always_true, never, relation
 from temporal_rules.operators import aggregates, binary, joins, merge, unary
 from temporal_rules.operators.unary import as_transform
+from temporal_rules.workloads import queries
 
 SPAN = range(-90, 160)  # cells looked at; far beyond what the inputs can reach
 
@@ -175,6 +176,26 @@ def test_streaming_states_of_many_keys(spark):
     assert "FlatMapGroups" not in states._jdf.queryExecution().toString()
 
 
+def test_keyless_join_of_long_and_short_facts(spark):
+    """Facts that only ask on a level do not meet each other there, and a join of coalesced sides is coalesced."""
+    rng = random.Random(8)
+    a = [(f"a{i}", lo, lo + (900 if i % 9 == 0 else rng.randrange(5))) for i, lo in enumerate(rng.randrange(1000) for _ in range(60))]
+    b = [(f"b{i}", lo, lo + (60 if i % 7 == 0 else rng.randrange(5))) for i, lo in enumerate(rng.randrange(1000) for _ in range(60))]
+    got = joins.temporal_join(merge.coalesce(rel(spark, a, keys=("a",))), merge.coalesce(rel(spark, b, keys=("b",))), [], bucket=5)
+    want = sorted((x[0], y[0], max(x[1], y[1]), min(x[2], y[2])) for x in a for y in b if max(x[1], y[1]) <= min(x[2], y[2]))
+    assert sorted(map(tuple, got.df.collect())) == want
+    assert got.coalesced
+    assert "__way" in got.df._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_theta_query_exchanges_no_result(spark, sf):
+    """Above the join of the two sides nothing is exchanged."""
+    plan = queries.QUERIES["temporal_join_theta"](spark, sf)._jdf.queryExecution().sparkPlan().toString()
+    assert "SortMergeJoin" in plan or "HashJoin" in plan
+    above = plan[: min(x for x in (plan.find("SortMergeJoin"), plan.find("HashJoin")) if x >= 0)]
+    assert "Window" not in above and "Aggregate" not in above
+
+
 def test_keyless_join_and_minus(spark):
     rng = random.Random(5)
     a = [(f"a{i}", lo, hi) for i, (_, lo, hi) in enumerate(random_rows(rng, 12, 5))] + [("inf", NEG, 5), ("all", NEG, POS)]
