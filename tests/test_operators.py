@@ -289,6 +289,42 @@ def test_aggregates_by_cells(spark):
     assert set(covered) == {x[0] for x in rows}
 
 
+def test_monotonic_aggregates_by_cells(spark):
+    """Contributors with many facts, nulls and NaN, cut by batches anywhere; their facts are not joined with their stretches."""
+    rng = random.Random(31)
+    pick = lambda: rng.choice([None, float("nan"), 1.0, 2.0, 3.0, -4.0])
+    rows = [("g%d" % rng.randrange(3), "c%d" % (rng.randrange(40) if rng.random() < 0.5 else 0), pick(), lo, lo + rng.randrange(12)) for lo in (rng.randrange(60) for _ in range(150))]
+    rows += [("g0", "c0", 2.5, NEG, 7), ("g1", "c1", 2.5, 50, POS), ("g2", "c2", None, NEG, POS)]
+    df = spark.createDataFrame(rows, f"g string, c string, v double, {LO} long not null, {HI} long not null")
+    r = TemporalRelation(df, ("g", "c", "v"))
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "5")
+    try:
+        for least in (False, True):
+            best = aggregates.best_at_each_time(r, ["g", "c"], "v", "best", least)
+            got = {}
+            facts = [tuple(x) for x in best.df.collect()]
+            for g, c, v, lo, hi in facts:
+                for t in range(max(lo, -3), min(hi, 80) + 1):
+                    assert (g, c, t) not in got
+                    got[g, c, t] = repr(v)
+            want = defaultdict(list)
+            for g, c, v, lo, hi in rows:
+                for t in range(max(lo, -3), min(hi, 80) + 1):
+                    want[g, c, t].append(v)
+
+            def calc(vs):
+                known = sorted((v for v in vs if v is not None), key=lambda v: (v != v, 0 if v != v else v))
+                return repr(known[0 if least else -1] if known else None)
+
+            assert got == {k: calc(v) for k, v in want.items()}
+            islands = merge.coalesce(best, force=True).df.collect()
+            assert sorted(map(repr, facts)) == sorted(repr(tuple(x)) for x in islands)
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    plan = aggregates.monotonic(r, ["g"], "msum", "v", ["c"]).df._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan and plan.count("Exchange hashpartitioning") == 2
+
+
 def test_thirteen_relations(spark):
     pairs = [(a, b, c, d) for a in range(6) for b in range(a, 6) for c in range(6) for d in range(c, 6)]
     df = spark.createDataFrame(pairs, "a int, b int, c int, d int")
