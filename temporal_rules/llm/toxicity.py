@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import forget, let_go, reach_workers, staged
+from .common import forget, give_back, let_go, reach_workers, staged
 from .shingles import shingle_hashes
 
 WORD = re.compile(r"\w+")
@@ -88,7 +88,7 @@ class BlockMaxIndex:
     """Examples by term: the commonest terms as a matrix in blocks of similar examples, each with its
     greatest weights; the others as postings.  Blocks are alike (of one language, say), so most can't hold a near example."""
 
-    def __init__(self, vectors: list, block: int = 128, common: int = 1024):
+    def __init__(self, vectors: list, block: int = 128, common: int = 512):
         self.block, self.common, self.size = block, common, len(vectors)
         self.start = np.concatenate([[0], np.cumsum([len(t) for t, _ in vectors])]).astype(np.int64)
         self.terms = np.concatenate([np.zeros(0, np.int32), *(np.asarray(t, np.int32) for t, _ in vectors)])
@@ -112,22 +112,36 @@ class BlockMaxIndex:
         self.place[most] = np.arange(len(most))
         at = self.place[self.terms]
         self.matrix = np.zeros((self.size, len(most)), np.float32)
-        self.matrix[rows[at >= 0], at[at >= 0]] = self.weights[at >= 0]
+        self._fill(rows, at, np.arange(self.size, dtype=np.int32))
         self.original = alike(self.matrix, self.block)
         self.spot = np.empty(self.size, np.int32)
         self.spot[self.original] = np.arange(self.size, dtype=np.int32)
         self.matrix[:] = 0  # filled again in the new order: no second matrix
-        self.matrix[self.spot[rows[at >= 0]], at[at >= 0]] = self.weights[at >= 0]
+        self._fill(rows, at, self.spot)
         self.edges = list(range(0, self.size, self.block))
         self.greatest = np.maximum.reduceat(self.matrix, self.edges, axis=0) if self.size else self.matrix
-        length = np.sqrt((self.matrix * self.matrix).sum(axis=1))
+        length = np.sqrt(np.einsum("ij,ij->i", self.matrix, self.matrix))
         self.longest = np.maximum.reduceat(length, self.edges) if self.size else length
-        rest = np.flatnonzero(at < 0)
-        rest = rest[np.argsort(self.terms[rest], kind="stable")]
-        self.post_row, self.post_weight = self.spot[rows[rest]], self.weights[rest].astype(np.float32)
+        # Every worker of a machine builds at the same time, so postings are sorted a range of terms at a time.
         self.post_start = np.concatenate([[0], np.cumsum(np.where(self.place < 0, count, 0))]).astype(np.int64)
+        total = int(self.post_start[-1])
+        self.post_row, self.post_weight = np.empty(total, np.uint16 if self.size <= 1 << 16 else np.int32), np.empty(total, np.float32)
+        cuts = [*np.searchsorted(self.post_start, np.arange(0, total, 1 << 19)).tolist(), self.width]
+        for lo, hi in zip(cuts, cuts[1:]):
+            rest = np.flatnonzero((self.terms >= lo) & (self.terms < hi) & (at < 0))
+            rest = rest[np.argsort(self.terms[rest], kind="stable")]
+            here = slice(self.post_start[lo], self.post_start[hi])
+            self.post_row[here], self.post_weight[here] = self.spot[rows[rest]], self.weights[rest]
+        del rows, at
         self.parts = list(range(0, self.size, max(1, min(64, self.size // 256))))
         self.query = np.zeros(self.width)
+        give_back()
+
+    def _fill(self, rows: np.ndarray, at: np.ndarray, spot: np.ndarray, step: int = 1 << 18) -> None:
+        """The common terms' weights in the matrix, each example in its spot; a part at a time."""
+        for lo in range(0, len(at), step):
+            some = np.flatnonzero(at[lo : lo + step] >= 0) + lo
+            self.matrix[spot[rows[some]], at[some]] = self.weights[some]
 
     def vector(self, i: int) -> tuple[np.ndarray, np.ndarray]:
         at = slice(self.start[i], self.start[i + 1])
@@ -169,8 +183,8 @@ class BlockMaxIndex:
         rare, whose, by = terms[place < 0], of[place < 0], weights[place < 0]
         lengths = self.post_start[rare + 1] - self.post_start[rare]
         score = np.empty((n, self.size), np.float32)
-        for lo in range(0, n, 8):  # few queries at a time: their postings are many
-            hi = min(n, lo + 8)
+        for lo in range(0, n, 4):  # few queries at a time: their postings are many
+            hi = min(n, lo + 4)
             some = slice(*np.searchsorted(whose, [lo, hi]))
             size, start = lengths[some], self.post_start[rare[some]]
             entry = np.repeat(start - np.cumsum(size) + size, size) + np.arange(size.sum())
@@ -339,6 +353,7 @@ def fit(docs: DataFrame, labels: DataFrame, examples: int = 16_384, k: int = 15)
         return int(h[:1].view(np.int64)[0]) if len(h) else 0
 
     def spell(batches):
+        let_go()
         for batch in batches:
             rows = [(copy_of(t), y, np.fromiter(map(word_hash, set(terms_of(t))), np.uint64).view(np.int64)) for t, y in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist())]
             yield pa.record_batch([pa.array([c for c, _, _ in rows], pa.int64()), pa.array([y for _, y, _ in rows], pa.int32()), pa.array([w for _, _, w in rows], pa.list_(pa.int64()))], ["copy", "toxic", "words"])
@@ -358,6 +373,7 @@ def fit(docs: DataFrame, labels: DataFrame, examples: int = 16_384, k: int = 15)
     shared = docs.sparkSession.sparkContext.broadcast(vocabulary)
 
     def vectors(batches):
+        let_go()
         for batch in batches:
             got = [shared.value.vector(t) for t in batch.column(1).to_pylist()]
             copies = [copy_of(t) for t in batch.column(1).to_pylist()]

@@ -52,3 +52,36 @@ def test_batches_and_blocks_are_exact():
         want = np.lexsort((np.arange(900), -sims))[:9]
         want = [int(i) for i in want if sims[i] > 0]
         assert [i for _, i in got] == want and [s for s, _ in got] == pytest.approx(sims[want].tolist())
+
+
+def test_building_an_index_needs_little_besides_it():
+    """Every worker of a machine builds one at the same time."""
+    import tracemalloc
+
+    rng = np.random.default_rng(4)
+    vectors = [(np.sort(rng.choice(60_000, 1000, replace=False)).astype(np.int32), np.full(1000, 1000**-0.5)) for _ in range(2000)]
+    index = toxicity.BlockMaxIndex(vectors, common=16)
+    tracemalloc.start()
+    try:
+        index._build()
+        peak = tracemalloc.get_traced_memory()[1]
+    finally:
+        tracemalloc.stop()
+    assert peak < 30 * len(index.terms)
+    assert [i for _, i in index.nearest(*vectors[5], 1)] == [5]
+    assert index.post_start[-1] + (index.matrix > 0).sum() == len(index.terms)
+
+
+def test_a_model_that_is_let_go_is_freed_at_once():
+    """Even where it refers to itself: a worker's next task holds large things too."""
+    import weakref
+
+    from temporal_rules.llm import common
+
+    class Model:
+        def __init__(self):
+            self.me = self
+
+    seen = weakref.ref(common.kept("model", Model))
+    common.let_go()
+    assert seen() is None
