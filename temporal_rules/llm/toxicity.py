@@ -12,9 +12,9 @@ from __future__ import annotations
 
 import copy
 import hashlib
+import itertools
 import math
 import re
-from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -25,12 +25,23 @@ from pyspark.sql import functions as F
 from .common import forget, give_back, let_go, reach_workers, staged
 from .shingles import shingle_hashes
 
-WORD = re.compile(r"\w+")
+NO_WORD = re.compile(r"[^\w ]+")
+#: A space for every ASCII character that is in no word.
+PARTED = bytes(b if b >= 128 or chr(b).isalnum() else 32 for b in range(256))
 
 
-def terms_of(text: str | None) -> list[str]:
-    """Words in lower case; an underscore parts words."""
-    return WORD.findall((text or "").lower().replace("_", " "))
+def words_apart(text: str | None) -> bytes:
+    """The words (``\\w+``) of a text in lower case, spaces between; an underscore parts words."""
+    lower = (text or "").lower()
+    out = lower.encode("utf-8", "surrogatepass").translate(PARTED)
+    if lower.isascii():
+        return out
+    apart = out.decode("utf-8", "surrogatepass")
+    return out if apart.replace(" ", "").isalnum() else NO_WORD.sub(" ", apart).encode()
+
+
+def terms_of(text: str | None) -> list[bytes]:
+    return words_apart(text).split()
 
 
 def likelihood_ratio(a: int, b: int, n1: int, n0: int) -> float:
@@ -43,45 +54,68 @@ def likelihood_ratio(a: int, b: int, n1: int, n0: int) -> float:
     return 2 * out
 
 
-def word_hash(word: str) -> int:
-    return xxhash.xxh64_intdigest(word.encode("utf-8", "surrogatepass"), 42)
+def word_hashes(words) -> np.ndarray:
+    return np.fromiter(map(xxhash.xxh64_intdigest, words, itertools.repeat(42)), np.uint64, len(words))
 
 
 class Vocabulary:
     """Terms by 64-bit hashes of their words, in order, each with its weight: 16 bytes a term, whatever the words."""
 
-    #: Words whose numbers are remembered.
-    RECENT = 1 << 16
+    #: Texts are looked up together until they have so many characters.
+    TOGETHER = 1 << 20
 
     def __init__(self, hashes: np.ndarray, weight: np.ndarray):
         order = np.argsort(hashes, kind="stable")
         self.hashes, self.weight = hashes[order], weight[order]
-        self.recent: dict[str, int] = {}
 
-    def __getstate__(self):
-        return self.__dict__ | {"recent": {}}
-
-    def numbers(self, words: list[str]) -> np.ndarray:
+    def numbers(self, words: list[bytes]) -> np.ndarray:
         """Term numbers of distinct words, -1 for unknown ones."""
-        new = [w for w in words if w not in self.recent]
-        if new and len(self.hashes):
-            if len(self.recent) + len(new) > self.RECENT:
-                self.recent.clear()
-                new = words
-            h = np.fromiter(map(word_hash, new), np.uint64, len(new))
-            at = np.minimum(np.searchsorted(self.hashes, h), len(self.hashes) - 1)
-            self.recent.update(zip(new, np.where(self.hashes[at] == h, at, -1).tolist()))
-        return np.fromiter((self.recent.get(w, -1) for w in words), np.int32, len(words))
+        if not len(self.hashes):
+            return np.full(len(words), -1, np.int64)
+        h = word_hashes(words)
+        order = np.argsort(h)  # neighbours in the table are searched one after the other
+        h, at = h[order], np.empty(len(words), np.int64)
+        near = np.minimum(np.searchsorted(self.hashes, h), len(self.hashes) - 1)
+        at[order] = np.where(self.hashes[near] == h, near, -1)
+        return at
 
     def vector(self, text: str | None) -> tuple[np.ndarray, np.ndarray]:
         """Term numbers in order and weights of unit norm; empty where no word is known."""
-        count = Counter(terms_of(text))
-        terms, tf = self.numbers(list(count)), np.fromiter(count.values(), float, len(count))
-        known = np.flatnonzero(terms >= 0)
-        known = known[np.argsort(terms[known])]
-        terms = terms[known]
-        raw = (1 + np.log(tf[known])) * self.weight[terms]
-        return terms, raw / (math.sqrt(float(raw @ raw)) or 1.0)
+        return self._some([text])[0]
+
+    def vectors(self, texts: list[str | None]) -> list[tuple[np.ndarray, np.ndarray]]:
+        """``vector`` of each text."""
+        out, lo, size = [], 0, 0
+        for i, text in enumerate(texts):
+            size += len(text or "")
+            if size >= self.TOGETHER or i + 1 == len(texts):
+                out += self._some(texts[lo : i + 1])
+                lo, size = i + 1, 0
+        return out
+
+    def _some(self, texts: list[str | None]) -> list[tuple[np.ndarray, np.ndarray]]:
+        """Every word is hashed and looked up once, however many of the texts hold it."""
+        apart = [words_apart(t) for t in texts]
+        letters = np.frombuffer(b" ".join([b"", *apart, b""]), np.uint8)
+        inside = letters != 32
+        start, end = np.flatnonzero(inside[1:] > inside[:-1]) + 1, np.flatnonzero(inside[1:] < inside[:-1]) + 1
+        of = np.searchsorted(np.cumsum([len(x) + 1 for x in apart]), start, side="right")
+        ends = np.concatenate([[0], np.cumsum(end - start)])
+        number = pa.Array.from_buffers(pa.large_binary(), len(start), [None, pa.py_buffer(ends), pa.py_buffer(letters[inside])]).dictionary_encode().indices.to_numpy()
+        first = np.unique(number, return_index=True)[1]
+        whole = letters.tobytes()
+        words = list(map(whole.__getitem__, map(slice, start[first].tolist(), end[first].tolist())))
+        terms = self.numbers(words)[number]
+        width = len(self.hashes) + 1
+        keys, tf = np.unique((of * width + terms)[terms >= 0], return_counts=True)
+        ends = np.searchsorted(keys, np.arange(len(texts) + 1) * width)
+        terms = (keys % width).astype(np.int32)
+        raw = (1 + np.log(tf)) * self.weight[terms]
+        out = []
+        for a, b in itertools.pairwise(ends.tolist()):
+            mine = raw[a:b]
+            out.append((terms[a:b].copy(), mine / (math.sqrt(float(mine @ mine)) or 1.0)))
+        return out
 
 
 class BlockMaxIndex:
@@ -180,15 +214,18 @@ class BlockMaxIndex:
         place = self.place[terms]
         dense = np.zeros((n, self.matrix.shape[1]), np.float32)
         dense[of[place >= 0], place[place >= 0]] = weights[place >= 0]
-        rare, whose, by = terms[place < 0], of[place < 0], weights[place < 0]
+        rare, whose, by = terms[place < 0], of[place < 0], weights[place < 0].astype(np.float32)
         lengths = self.post_start[rare + 1] - self.post_start[rare]
         score = np.empty((n, self.size), np.float32)
-        for lo in range(0, n, 4):  # few queries at a time: their postings are many
-            hi = min(n, lo + 4)
-            some = slice(*np.searchsorted(whose, [lo, hi]))
-            size, start = lengths[some], self.post_start[rare[some]]
-            entry = np.repeat(start - np.cumsum(size) + size, size) + np.arange(size.sum())
-            score[lo:hi] = np.bincount(np.repeat((whose[some] - lo) * self.size, size) + self.post_row[entry], np.repeat(by[some], size) * self.post_weight[entry], (hi - lo) * self.size).reshape(hi - lo, self.size)
+        starts, ends = self.post_start[rare].tolist(), self.post_start[rare + 1].tolist()
+        part = np.searchsorted(whose, np.arange(n + 1)).tolist()
+        for i, (lo, hi) in enumerate(itertools.pairwise(part)):  # one query at a time: its postings are many
+            if lo == hi:
+                score[i] = 0
+                continue
+            lists = list(map(slice, starts[lo:hi], ends[lo:hi]))
+            row, weight = pieces(self.post_row, lists), pieces(self.post_weight, lists)
+            score[i] = np.bincount(row, weight * np.repeat(by[lo:hi], lengths[lo:hi]), self.size)
         for i, skip in enumerate(skips):
             if skip:
                 score[i, self.spot[list(skip)]] = -2.0
@@ -220,16 +257,21 @@ class BlockMaxIndex:
                 out.append([])
                 continue
             size = self.start[found + 1] - self.start[found]
-            first = np.cumsum(size) - size
-            entry = np.repeat(self.start[found] - first, size) + np.arange(size.sum())
+            lists = list(map(slice, self.start[found].tolist(), self.start[found + 1].tolist()))
             self.query[t] = w
-            exact = np.add.reduceat(self.query[self.terms[entry]] * self.weights[entry], first)
+            exact = np.add.reduceat(self.query[pieces(self.terms, lists)] * pieces(self.weights, lists), np.cumsum(size) - size)
             self.query[t] = 0.0
             best = [(round(float(s), 12), int(f)) for s, f in zip(exact, found) if s > 0]
             out.append(sorted(best, key=lambda x: (-x[0], x[1]))[:k])
         return out
 
 
+def pieces(x: np.ndarray, lists: list[slice]) -> np.ndarray:
+    """Slices of an array, joined: copied whole, where an index would take each element by itself."""
+    joined = b"".join(map(memoryview(x).__getitem__, lists))
+    return np.frombuffer(joined, x.dtype) if joined else x[:0]
+
+
 def alike(rows: np.ndarray, block: int) -> np.ndarray:
     """An order of rows in which every ``block`` of them are similar: halves along the direction of most variance, again and again."""
     done, todo = [], [np.arange(len(rows))]
@@ -313,8 +355,9 @@ class Scorer:
             keys = [hashlib.blake2b((t or "").encode("utf-8", "surrogatepass"), digest_size=16).digest() for t in some]
             if len(self.seen) > 20_000:
                 self.seen.clear()
-            new = {key: self.vocabulary.vector(t) for key, t in dict(zip(keys, some)).items() if key not in self.seen}
+            new = {key: t for key, t in dict(zip(keys, some)).items() if key not in self.seen}
             if new:
+                new = dict(zip(new, self.vocabulary.vectors(list(new.values()))))
                 for key, best in zip(new, self.index.nearest_of(list(new.values()), self.k, [frozenset()] * len(new))):
                     if not best:
                         self.seen[key] = (self.base, [])
@@ -355,7 +398,7 @@ def fit(docs: DataFrame, labels: DataFrame, examples: int = 16_384, k: int = 15)
     def spell(batches):
         let_go()
         for batch in batches:
-            rows = [(copy_of(t), y, np.fromiter(map(word_hash, set(terms_of(t))), np.uint64).view(np.int64)) for t, y in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist())]
+            rows = [(copy_of(t), y, word_hashes(set(terms_of(t))).view(np.int64)) for t, y in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist())]
             yield pa.record_batch([pa.array([c for c, _, _ in rows], pa.int64()), pa.array([y for _, y, _ in rows], pa.int32()), pa.array([w for _, _, w in rows], pa.list_(pa.int64()))], ["copy", "toxic", "words"])
 
     spelt = staged(sample.select("text", "toxic").mapInArrow(spell, "copy long, toxic int, words array<long>"), "examples")
@@ -375,8 +418,8 @@ def fit(docs: DataFrame, labels: DataFrame, examples: int = 16_384, k: int = 15)
     def vectors(batches):
         let_go()
         for batch in batches:
-            got = [shared.value.vector(t) for t in batch.column(1).to_pylist()]
-            copies = [copy_of(t) for t in batch.column(1).to_pylist()]
+            texts = batch.column(1).to_pylist()
+            got, copies = shared.value.vectors(texts), [copy_of(t) for t in texts]
             yield pa.record_batch([batch.column(0), batch.column(2), pa.array([t for t, _ in got], pa.list_(pa.int32())), pa.array([w for _, w in got], pa.list_(pa.float64())), pa.array(copies, pa.int64())], ["doc_id", "toxic", "terms", "weights", "copy"])
 
     got = sample.select("doc_id", "text", "toxic").mapInArrow(vectors, "doc_id long, toxic int, terms array<int>, weights array<double>, copy long").toArrow()

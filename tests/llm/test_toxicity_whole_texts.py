@@ -85,3 +85,49 @@ def test_a_model_that_is_let_go_is_freed_at_once():
     seen = weakref.ref(common.kept("model", Model))
     common.let_go()
     assert seen() is None
+
+
+def a_vocabulary(words):
+    hashes = np.array([toxicity.xxhash.xxh64_intdigest(w.encode(), 42) for w in words], np.uint64)
+    return toxicity.Vocabulary(hashes, np.arange(1, len(words) + 1) / 7)
+
+
+def test_words_of_texts_searched_together_are_looked_up_together(monkeypatch):
+    """Most of a text's words stand in other texts as well: a look-up for each text is most of a score's cost."""
+    rng = random.Random(5)
+    words = [f"w{i}" for i in range(3_000)]
+    texts = [" ".join(rng.choices(words, k=80)) for _ in range(200)]
+    vocabulary = a_vocabulary(words)
+    vectors = [vocabulary.vector(t) for t in texts[:40]]
+    scorer = toxicity.Scorer(vocabulary, list(range(40)), [i % 2 for i in range(40)], vectors, list(range(40)), 3)
+    scorer.calibrate(scorer.votes(list(range(40))))
+    seen, one = [], toxicity.Vocabulary.numbers
+    monkeypatch.setattr(toxicity.Vocabulary, "numbers", lambda self, some: seen.append(len(some)) or one(self, some))
+    got = scorer.score(texts)
+    assert seen == [len({w for t in texts for w in t.split()})]
+    monkeypatch.undo()
+    for text, together in zip(texts, got):
+        scorer.seen.clear()
+        assert scorer.score([text]) == [together]
+
+
+def test_words_are_those_of_the_pattern():
+    import re
+
+    rng = random.Random(6)
+    signs = "aZ9_ -.,'\t\n\x00\x1c\x7f\x85 ²ßÉİ́٣’ 　中가\ud800\U0001f600\U0001d7d8"
+    texts = ["", None, "_", "plain words, here", *("".join(rng.choices(signs, k=rng.randrange(40))) for _ in range(4_000))]
+    want = [re.findall(r"\w+", (t or "").lower().replace("_", " ")) for t in texts]
+    assert [[w.decode("utf-8", "surrogatepass") for w in toxicity.terms_of(t)] for t in texts] == want
+    every = sorted({w for some in want for w in some})
+    known = every[::2]
+    vocabulary = a_vocabulary(known)
+    number = {w: int(vocabulary.numbers([w.encode()])[0]) for w in known}
+    vocabulary.TOGETHER = 500  # many calls, some of one text
+    got = vocabulary.vectors(texts)
+    assert len(got) == len(texts) and vocabulary.vectors([]) == []
+    for some, (terms, weights) in zip(want, got):
+        tf = {number[w]: some.count(w) for w in some if w in number}
+        raw = np.array([(1 + np.log(tf[t])) * vocabulary.weight[t] for t in sorted(tf)])
+        assert terms.tolist() == sorted(tf)
+        assert weights == pytest.approx(raw / (np.sqrt(raw @ raw) if len(raw) else 1))
